@@ -91,7 +91,7 @@ def hash_ranges(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, seed: int
     """64-bit hashes of byte ranges of any length."""
     at = eights(buf)
     size = (ends - starts).astype(np.int64)
-    out = mix(size.astype(U64) + U64(seed * 2 + 1) * U64(0x9E3779B97F4A7C15))
+    out = mix(size.astype(U64) + odd(1, seed)[0])
     live, k = np.arange(len(starts)), 0
     while len(live):
         left = size[live] - 8 * k

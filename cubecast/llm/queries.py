@@ -7,16 +7,26 @@ from pyspark.sql import DataFrame, SparkSession
 
 from . import mixing, url_rules
 from .exact_dedup import duplicate_classes
+from .substring_dedup import repeated_words
+from .suffix_dedup import repeated_bytes
 from .tables import read
 from .token_counts import count_tokens
 
 COUNTED_WITH = "word_bpe_49k.json"
 
 
+def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeated_words(read(spark, sf_dir, "documents"))
+
+
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return duplicate_classes(read(spark, sf_dir, "documents"))
 
 
+def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeated_bytes(read(spark, sf_dir, "documents"))
+
+
 def op7_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(read(spark, sf_dir, "documents"))
 
@@ -29,7 +39,7 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(read(spark, sf_dir, "documents"), public_tokenizers.path(COUNTED_WITH))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op5_exact_dedup, op7_source_mixing, op8_url_filter, op9_token_counts)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op4_substring_dedup, op5_exact_dedup, op6_suffix_dedup, op7_source_mixing, op8_url_filter, op9_token_counts)}
 
 ORACLES: dict[str, str] = {
     "op5_exact_dedup": r"""

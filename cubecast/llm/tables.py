@@ -34,3 +34,9 @@ def ident(name: str = "doc_id") -> Column:
 
 def unident(name: str) -> Column:
     return F.when(F.col(name) != F.lit(LAST), F.col(name))
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that all executors share; a local one only where none is set (tests)."""
+    place = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    return place or os.path.join(tempfile.gettempdir(), "cubecast-checkpoints")
