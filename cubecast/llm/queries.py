@@ -4,8 +4,9 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import mixing, url_rules
+from . import mixing, topk_search, url_rules
 from .exact_dedup import duplicate_classes
 from .substring_dedup import repeated_words
 from .suffix_dedup import repeated_bytes
@@ -15,6 +16,10 @@ from .token_counts import count_tokens
 COUNTED_WITH = "word_bpe_49k.json"
 
 
+def op3_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return topk_search.top_k(read(spark, sf_dir, "embeddings"), F.col("id") % 20 == 0)
+
+
 def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repeated_words(read(spark, sf_dir, "documents"))
 
@@ -39,9 +44,10 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(read(spark, sf_dir, "documents"), public_tokenizers.path(COUNTED_WITH))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op4_substring_dedup, op5_exact_dedup, op6_suffix_dedup, op7_source_mixing, op8_url_filter, op9_token_counts)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op3_exact_topk, op4_substring_dedup, op5_exact_dedup, op6_suffix_dedup, op7_source_mixing, op8_url_filter, op9_token_counts)}
 
 ORACLES: dict[str, str] = {
+    "op3_exact_topk": topk_search.ORACLE,
     "op5_exact_dedup": r"""
 select doc_id, first_value(doc_id) over w as keep_id, count(*) over (partition by plain) as group_size,
        doc_id = first_value(doc_id) over w as kept, sha256(plain) as text_sha256
