@@ -6,14 +6,22 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import mixing, topk_search, url_rules
+from . import mixing, quality, topk_search, url_rules
 from .exact_dedup import duplicate_classes
+from .pieces import round_trip
 from .substring_dedup import repeated_words
 from .suffix_dedup import repeated_bytes
 from .tables import read
 from .token_counts import count_tokens
 
 COUNTED_WITH = "word_bpe_49k.json"
+ENCODED_WITH = "piece_bpe_32k.model"
+
+
+def op2_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents")
+    scorer, _ = quality.trained(docs)
+    return quality.judged(docs, scorer)
 
 
 def op3_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -44,7 +52,11 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(read(spark, sf_dir, "documents"), public_tokenizers.path(COUNTED_WITH))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op3_exact_topk, op4_substring_dedup, op5_exact_dedup, op6_suffix_dedup, op7_source_mixing, op8_url_filter, op9_token_counts)}
+def op10_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return round_trip(read(spark, sf_dir, "documents"), public_tokenizers.path(ENCODED_WITH))
+
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op2_quality_classifier, op3_exact_topk, op4_substring_dedup, op5_exact_dedup, op6_suffix_dedup, op7_source_mixing, op8_url_filter, op9_token_counts, op10_pieces)}
 
 ORACLES: dict[str, str] = {
     "op3_exact_topk": topk_search.ORACLE,
