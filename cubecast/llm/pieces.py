@@ -377,5 +377,3 @@ def round_trip(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str
 
     kind = docs.schema[id_col].dataType.simpleString()
     return docs.select(id_col, text_col).mapInArrow(run, f"doc_id {kind}, n_ids long, ids array<int>, decoded_sha256 string, exact boolean")
-
-

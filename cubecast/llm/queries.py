@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from . import mixing, quality, topk_search, url_rules
 from .exact_dedup import duplicate_classes
+from .jaccard_join import linked_documents
 from .pieces import round_trip
 from .substring_dedup import repeated_words
 from .suffix_dedup import repeated_bytes
@@ -18,6 +19,10 @@ COUNTED_WITH = "word_bpe_49k.json"
 ENCODED_WITH = "piece_bpe_32k.model"
 
 
+def op1_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return linked_documents(read(spark, sf_dir, "documents"))
+
+
 def op2_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read(spark, sf_dir, "documents")
     scorer, _ = quality.trained(docs)
@@ -56,7 +61,7 @@ def op10_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     return round_trip(read(spark, sf_dir, "documents"), public_tokenizers.path(ENCODED_WITH))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op2_quality_classifier, op3_exact_topk, op4_substring_dedup, op5_exact_dedup, op6_suffix_dedup, op7_source_mixing, op8_url_filter, op9_token_counts, op10_pieces)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_jaccard_join, op2_quality_classifier, op3_exact_topk, op4_substring_dedup, op5_exact_dedup, op6_suffix_dedup, op7_source_mixing, op8_url_filter, op9_token_counts, op10_pieces)}
 
 ORACLES: dict[str, str] = {
     "op3_exact_topk": topk_search.ORACLE,
