@@ -1,7 +1,7 @@
 """Connected components of an edge table by alternating stars, in DataFrame operations.
 
-A large star hangs a node's larger neighbours on its least neighbour, a small star its smaller ones; the two alternate until the
-edges don't change. Each round is written to the shared folder, so no lineage grows; hubs are pre-aggregated before
+A large star hangs a node's larger neighbours on its least neighbour, a small star its smaller ones; the two alternate until
+only stars are left. Each round is written to the shared folder, so no lineage grows; hubs are pre-aggregated before
 the shuffle, and joins on them can be split. Loops and repeated edges are dropped; nulls take no part; no edges, no rows.
 """
 
@@ -13,25 +13,19 @@ from .repeats import shared_table
 
 def components(edges: DataFrame) -> DataFrame:
     """node, root (the least node of its component) from edges a, b; only nodes with an edge."""
-    e = edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct()
-    e = shared_table(e)
-    mark = state(e)
-    while mark[0]:
+    e = shared_table(edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
+    while not stars(e):
         both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        large = shared_table(large.where("u <> v").distinct())
+        large = large.where("u <> v").distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.explode(F.array(F.struct(F.col("v").alias("u"), F.col("m").alias("v")), F.struct("u", F.col("m").alias("v")))).alias("x")).select("x.*")
         e = shared_table(small.where("u <> v").distinct())
-        new = state(e)
-        if new == mark:
-            break
-        mark = new
     roots = e.select(F.col("u").alias("node"), F.col("v").alias("root"))
     return roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct())
 
 
-def state(e: DataFrame) -> tuple:
-    row = e.agg(F.count("*").alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("h")).first()
-    return row["n"], row["h"]
+def stars(e: DataFrame) -> bool:
+    """Whether each node hangs on one other, and that one on none."""
+    return e.groupBy("u").count().where("count > 1").isEmpty() and e.select(F.col("v").alias("u")).distinct().join(e, "u", "left_semi").isEmpty()

@@ -8,11 +8,14 @@ key, a digest of its whole content and its source coordinates. Rows meet by key:
 * paths of one content form a class; every window of a class also starts in the class's first document,
   so members in later documents are repeated whole;
 * a key under which there are several classes is a branching place: the windows of each class's first
-  document go on one by one, by two independent 64-bit digests, to the same judgement.
+  document go through the same again with grams nearly as long as a window, which takes chance meetings apart,
+  and what still branches goes on window by window, by two independent 64-bit digests.
 
 What comes out are source coordinates (document, first window, number of windows), which merge into spans.
 """
 
+import gc
+import time
 import uuid
 import zlib
 
@@ -36,26 +39,41 @@ def tags(buf: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return np.fromiter((zlib.crc32(view[a:b]) & ((1 << TAG_BITS) - 1) for a, b in zip(offsets[:-1], offsets[1:], strict=True)), np.int64, len(offsets) - 1)
 
 
-def paths(grams: np.ndarray, bounds: np.ndarray, gram: int, length: int):
-    """Row, first window (from 0 in all rows), number of windows, and value of each path."""
+def paths(grams: np.ndarray, at: np.ndarray, row: np.ndarray, gram: int, length: int):
+    """First window, number of windows, row and value of each path of the windows at some places, in order."""
     w = length - gram + 1
-    low = window_min(grams, w)
-    sizes = np.maximum(np.diff(bounds) - length + 1, 0)
-    if not sizes.sum():
+    if not len(at):
         none = np.zeros(0, np.int64)
         return none, none, none, np.zeros(0, U64)
-    at = ragged(bounds[:-1], sizes)
-    value = low[at]
+    value = window_min(grams, w)[at]
     new = np.ones(len(at), bool)
-    new[1:] = value[1:] != value[:-1]
-    new[np.concatenate([[0], np.cumsum(sizes)[:-1]])[sizes > 0]] = True
+    new[1:] = (value[1:] != value[:-1]) | (at[1:] != at[:-1] + 1) | (row[1:] != row[:-1])
     first = np.flatnonzero(new)
     run = np.diff(np.append(first, len(at)))
     parts = -(-run // w)  # long runs, as in periodic text, are cut every w windows
     if (parts > 1).any():
         step = ragged(np.zeros(len(run), np.int64), parts) * w
         first, run = np.repeat(first, parts) + step, np.minimum(np.repeat(run, parts) - step, w)
-    return np.repeat(np.arange(len(sizes)), sizes)[first], at[first], run, value[first]
+    return at[first], run, row[first], value[first]
+
+
+def all_windows(bounds: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+    """Place and row of every window."""
+    sizes = np.maximum(np.diff(bounds) - length + 1, 0)
+    return ragged(bounds[:-1], sizes), np.repeat(np.arange(len(sizes)), sizes)
+
+
+def path_batch(grams, at, row, gram: int, length: int, bounds, doc, tag, splitters=None) -> pa.RecordBatch:
+    at, n, row, value = paths(grams, at, row, gram, length)
+    m = odd(2, 99)
+    digest = mix(window_digest(grams, at, gram, length, 1) * m[0] + window_digest(grams, at + n - 1, gram, length, 2) * m[1] + n.astype(U64))
+    key = (value << U64(40) | value >> U64(24)).view(np.int64) if splitters is not None else value.view(np.int64)
+    columns = [pa.array(key), pa.array(digest.view(np.int64)), pa.array(doc[row]), pa.array((at - bounds[row]).astype(np.int32)), pa.array((tag[row] << 5 | n - 1).astype(np.int32))]
+    names = ["key", "digest", "doc", "start", "tagged"]
+    if splitters is not None:
+        columns.append(pa.array(np.searchsorted(splitters, key, "right").astype(np.int32)))
+        names.append("bucket")
+    return pa.RecordBatch.from_arrays(columns, names)
 
 
 def window_digest(grams: np.ndarray, at: np.ndarray, gram: int, length: int, seed: int) -> np.ndarray:
@@ -68,25 +86,14 @@ def window_digest(grams: np.ndarray, at: np.ndarray, gram: int, length: int, see
 
 
 def path_rows(docs: DataFrame, tokens, grams, gram: int, length: int, splitters=None) -> DataFrame:
-    """The paths of all documents. tokens(buf, offsets) -> (token starts or None, bounds); grams(buf, starts, seed) -> values."""
+    """The paths of all documents. tokens(buf, offsets) -> (token starts or None, bounds); grams(buf, starts, seed, gram) -> values."""
 
     def run(batches):
         for batch in slices(batches, "text"):
             buf, offsets = buffer_of(batch.column("text"))
             starts, bounds = tokens(buf, offsets)
-            g = grams(buf, starts, 0)
-            row, at, n, value = paths(g, bounds, gram, length)
-            m = odd(2, 99)
-            digest = mix(window_digest(g, at, gram, length, 1) * m[0] + window_digest(g, at + n - 1, gram, length, 2) * m[1] + n.astype(U64))
-            tag = tags(buf, offsets)
             doc = batch.column("doc").to_numpy(zero_copy_only=False)
-            key = (value << U64(40) | value >> U64(24)).view(np.int64) if splitters is not None else value.view(np.int64)
-            columns = [pa.array(key), pa.array(digest.view(np.int64)), pa.array(doc[row]), pa.array((at - bounds[row]).astype(np.int32)), pa.array((tag[row] << 5 | n - 1).astype(np.int32))]
-            names = ["key", "digest", "doc", "start", "tagged"]
-            if splitters is not None:
-                columns.append(pa.array(np.searchsorted(splitters, key, "right").astype(np.int32)))
-                names.append("bucket")
-            yield pa.RecordBatch.from_arrays(columns, names)
+            yield path_batch(grams(buf, starts, 0, gram), *all_windows(bounds, length), gram, length, bounds, doc, tags(buf, offsets), splitters)
 
     return docs.mapInArrow(run, PATH + (", bucket int" if splitters is not None else ""))
 
@@ -199,51 +206,72 @@ def shared_table(df: DataFrame) -> DataFrame:
     spark = df.sparkSession
     where = f"{shared_folder(spark)}/table-{uuid.uuid4().hex}"
     df.write.parquet(where)
+    for _ in range(2):  # what was shuffled for it can go
+        gc.collect()
+        spark._jvm.System.gc()
+        time.sleep(0.2)
     return spark.read.schema(df.schema).parquet(where)
 
 
-def removed(docs: DataFrame, tokens, grams, gram: int, length: int, finish, schema: str, splitters=None) -> DataFrame:
-    """finish(batch, buf, offsets, starts, bounds, gone) -> columns of schema, gone: for each token whether it is covered by a window that also starts in a document with a smaller identifier."""
-    spark = docs.sparkSession
-    n = partitions(spark)
-    rows = path_rows(docs, tokens, grams, gram, length, splitters)
-    rows = rows.repartition(n, "key") if splitters is None else rows.repartitionById(n, F.col("bucket")).drop("bucket")
-    hits = judged(rows, True)
-    by_doc = hits.groupBy("doc", F.shiftright("tagged", 5).alias("tag")).agg(
+def by_document(hits: DataFrame) -> DataFrame:
+    """doc, tag, and the spans of hits: whole, and those to be checked further."""
+    return hits.groupBy("doc", F.shiftright("tagged", 5).alias("tag")).agg(
         F.collect_list(F.when(~F.col("check"), span())).alias("whole"), F.collect_list(F.when(F.col("check"), span())).alias("checks")
     )
-    by_doc = shared_table(by_doc)
+
+
+def removed(docs: DataFrame, tokens, grams, sizes: tuple[int, int, int], finish, schema: str, splitters=None) -> DataFrame:
+    """finish(buf, offsets, starts, bounds, gone) -> columns of schema; gone: for each token whether it is covered by a window that
+    also starts in a document with a smaller identifier. sizes: gram, longer gram, window."""
+    gram, longer, length = sizes
+    n = partitions(docs.sparkSession)
+    rows = path_rows(docs, tokens, grams, gram, length, splitters)
+    rows = rows.repartition(n, "key") if splitters is None else rows.repartitionById(n, F.col("bucket")).drop("bucket")
+    first = shared_table(by_document(judged(rows, True)))
     texts = packed_docs(docs)
-    windows = texts.join(by_doc.where(F.size("checks") > 0).select("doc", "tag", "checks").hint("shuffle_hash"), ["doc", "tag"]).select("doc", "tag", "size", "packed", "checks")
 
-    def one_by_one(batches):
-        for part, buf, offsets in unpacked(batches):
+    def with_texts(*tables: DataFrame) -> DataFrame:
+        """Texts with the tables' columns; always a left join of the same texts, so that their exchange is reused."""
+        out = texts
+        for t in tables:
+            out = out.join(t.hint("shuffle_hash"), ["doc", "tag"], "left")
+        return out
+
+    def open_windows(batches):
+        """(tokens, bounds, places, rows, doc, tag, buf) of the windows that are to be checked."""
+        for part, buf, offsets in unpacked(only(batches, "checks")):
             starts, bounds = tokens(buf, offsets)
             flat, cut = lists(part.column("checks"))
-            row = owners(cut)
-            at, size = flat >> 5, (flat & 31) + 1
-            pos = ragged(at, size)
-            row = np.repeat(row, size)
-            if not len(pos):
-                continue
-            where = bounds[row] + pos
-            first = window_digest(grams(buf, starts, 0), where, gram, length, 3)
-            second = window_digest(grams(buf, starts, 1), where, gram, length, 4)
-            doc, tag = (part.column(x).to_numpy() for x in ("doc", "tag"))
+            order = np.lexsort((flat, owners(cut)))
+            row, at, size = owners(cut)[order], flat[order] >> 5, (flat[order] & 31) + 1
+            row, at = np.repeat(row, size), ragged(bounds[row] + at, size)
+            if len(at):
+                yield buf, starts, bounds, at, row, part.column("doc").to_numpy(), part.column("tag").to_numpy().astype(np.int64)
+
+    def finer(batches):
+        for buf, starts, bounds, at, row, doc, tag in open_windows(batches):
+            yield path_batch(grams(buf, starts, 0, longer), at, row, longer, length, bounds, doc, tag)
+
+    def one_by_one(batches):
+        for buf, starts, bounds, at, row, doc, tag in open_windows(batches):
+            one, two = (window_digest(grams(buf, starts, seed, gram), at, gram, length, 3 + seed) for seed in (0, 1))
             yield pa.RecordBatch.from_arrays(
-                [pa.array(first.view(np.int64)), pa.array(second.view(np.int64)), pa.array(doc[row]), pa.array(pos.astype(np.int32)), pa.array((tag[row].astype(np.int64) << 5).astype(np.int32))],
+                [pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), pa.array(doc[row]), pa.array((at - bounds[row]).astype(np.int32)), pa.array((tag[row] << 5).astype(np.int32))],
                 ["key", "digest", "doc", "start", "tagged"],
             )
 
-    single = judged(windows.mapInArrow(one_by_one, PATH).repartition(n, "key"), False)
-    more = single.groupBy("doc", F.shiftright("tagged", 5).alias("tag")).agg(F.collect_list(span()).alias("single"))
-    joined = texts.join(by_doc.select("doc", "tag", "whole").hint("shuffle_hash"), ["doc", "tag"], "left").join(more.hint("shuffle_hash"), ["doc", "tag"], "left")
+    open_ = with_texts(first.select("doc", "tag", "checks")).select("doc", "tag", "size", "packed", "checks")
+    second = shared_table(by_document(judged(open_.mapInArrow(finer, PATH).repartition(n, "key"), True)))
+    open_ = with_texts(second.select("doc", "tag", "checks")).select("doc", "tag", "size", "packed", "checks")
+    third = by_document(judged(open_.mapInArrow(one_by_one, PATH).repartition(n, "key"), False))
+    parts = [t.select("doc", "tag", F.col("whole").alias(name)) for t, name in ((first, "first"), (second, "second"), (third, "third"))]
+    names = [x.strip().split(" ")[0] for x in schema.split(",")]
 
     def apply(batches):
         for part, buf, offsets in unpacked(batches):
             starts, bounds = tokens(buf, offsets)
             change = np.zeros(int(bounds[-1]) + 1, np.int32)
-            for name in ("whole", "single"):
+            for name in ("first", "second", "third"):
                 flat, cut = lists(part.column(name))
                 at = bounds[owners(cut)] + (flat >> 5)
                 np.add.at(change, at, 1)
@@ -251,8 +279,16 @@ def removed(docs: DataFrame, tokens, grams, gram: int, length: int, finish, sche
             gone = np.cumsum(change[:-1]) > 0
             yield pa.RecordBatch.from_arrays([part.column("doc"), *finish(buf, offsets, starts, bounds, gone)], names=["doc", *names])
 
-    names = [x.strip().split(" ")[0] for x in schema.split(",")]
-    return joined.select("doc", "tag", "size", "packed", "whole", "single").mapInArrow(apply, f"doc long, {schema}").withColumn("doc", unident("doc")).withColumnRenamed("doc", "doc_id")
+    joined = with_texts(*parts).select("doc", "tag", "size", "packed", "first", "second", "third")
+    return joined.mapInArrow(apply, f"doc long, {schema}").withColumn("doc", unident("doc")).withColumnRenamed("doc", "doc_id")
+
+
+def only(batches, column: str):
+    """The rows whose list is not empty."""
+    for batch in batches:
+        some = batch.filter(pc.greater(pc.list_value_length(batch.column(column)).fill_null(0), 0))
+        if some.num_rows:
+            yield some
 
 
 def span():

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from .arrays import hash_ranges, ragged, rolled, word_bounds
 from .repeats import removed, texts_of
 
-WINDOW, GRAM = 13, 6
+SIZES = (6, 10, 13)  # gram, longer gram, window
 
 
 def words(buf, offsets):
@@ -28,8 +28,8 @@ def words(buf, offsets):
     return (starts, ends), bounds
 
 
-def word_grams(buf, starts, seed):
-    return rolled(hash_ranges(buf, *starts, seed=seed), GRAM, 11 + seed)
+def word_grams(buf, starts, seed, gram):
+    return rolled(hash_ranges(buf, *starts, seed=seed), gram, 11 + seed)
 
 
 def digests(buf, offsets, starts, bounds, gone):
@@ -59,9 +59,9 @@ def kept_words(buf, offsets, starts, bounds, gone):
 
 def repeated_words(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_words, n_removed, kept_sha256 of every row."""
-    return removed(texts_of(docs, id_col, text_col), words, word_grams, GRAM, WINDOW, digests, "n_words long, n_removed long, kept_sha256 string")
+    return removed(texts_of(docs, id_col, text_col), words, word_grams, SIZES, digests, "n_words long, n_removed long, kept_sha256 string")
 
 
 def without_repeated_words(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, text with the repeated words taken out, spans removed."""
-    return removed(texts_of(docs, id_col, text_col), words, word_grams, GRAM, WINDOW, kept_words, "text string, spans array<array<long>>")
+    return removed(texts_of(docs, id_col, text_col), words, word_grams, SIZES, kept_words, "text string, spans array<array<long>>")

@@ -21,11 +21,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .arrays import U64, eights, mix
+from .arrays import U64, eights, mix, odd
 from .repeats import path_rows, removed, texts_of
 from .tables import partitions
 
-WINDOW, GRAM = 50, 20
+SIZES = GRAM, LONGER, WINDOW = 20, 36, 50
 #: Rows (in expectation) from which splitters are estimated; balance depends on them, results do not.
 SAMPLED_DOCS = 2000
 
@@ -34,21 +34,20 @@ def every_byte(buf, offsets):
     return None, offsets
 
 
-def byte_grams(buf, starts, seed):
-    """Values of 20-byte grams: 40 bits of a digest, then the first three bytes."""
-    n = len(buf) - 8 - GRAM + 1
+def byte_grams(buf, starts, seed, gram):
+    """Values of grams at every byte: 40 bits of a digest, then the first three bytes; all bits of a digest for other seeds."""
+    n = len(buf) - 8 - gram + 1
     if n <= 0:
         return np.zeros(0, U64)
     at = eights(buf)
-    first = at[:n]
-    total = first * U64(0x9E3779B97F4A7C15 + 2 * seed)
-    total ^= total >> U64(29)
-    total += at[8 : 8 + n] * U64(0xC2B2AE3D27D4EB4F + 6 * seed)
-    total ^= total >> U64(31)
-    total += at[12 : 12 + n] * U64(0x165667B19E3779F9 + 4 * seed)
+    total = np.zeros(n, U64)
+    for o, m in zip([*range(0, gram - 8, 8), gram - 8], odd(gram // 8 + 1, 51 + seed), strict=False):
+        total += at[o : o + n] * m
+        total ^= total >> U64(29)
     total = mix(total)
     if seed:
         return total
+    first = at[:n]
     total &= U64(0xFFFFFFFFFF000000)
     total |= (first & U64(0xFF)) << U64(16) | (first & U64(0xFF00)) | (first >> U64(16) & U64(0xFF))
     return total
@@ -90,7 +89,7 @@ def kept_bytes(buf, offsets, starts, bounds, gone):
 
 def removal(docs: DataFrame, id_col: str, text_col: str, finish, schema: str) -> DataFrame:
     d = texts_of(docs, id_col, text_col)
-    return removed(d, every_byte, byte_grams, GRAM, WINDOW, finish, schema, splitters_of(d, partitions(docs.sparkSession)))
+    return removed(d, every_byte, byte_grams, SIZES, finish, schema, splitters_of(d, partitions(docs.sparkSession)))
 
 
 def repeated_bytes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -8,9 +8,16 @@ from pyspark.sql import functions as F
 
 #: Stands for a null identifier: larger than all others.
 LAST = 2**63 - 1
+BATCH_BYTES = 4 << 20
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Arrow batches of a few MB: long texts would otherwise make batches of 64 MB, held in the JVM and in Python at once."""
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
 
 
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    small_batches(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
