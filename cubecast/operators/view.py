@@ -94,3 +94,27 @@ def box_rays(bricks: DataFrame, view: ViewSpec, cube: CubeSpec, rectangles: bool
         p = bricks.select("brick", F.lit(0).alias("u0"), F.lit(view.width).alias("u1"), F.lit(0).alias("v0"), F.lit(view.height).alias("v1"))
         p = pixels(p)
     return rays(p.join(F.broadcast(bricks), "brick"), view, cube)
+
+
+def views_frame(spark, views: list[ViewSpec], cube: CubeSpec) -> DataFrame:
+    """frame, angle, w, h, m: a batch of views as rows, so that all their frames are one job."""
+    rows = [(v.frame, float(v.angle), v.width, v.height, v.matrix(cube)) for v in views]
+    return spark.createDataFrame(rows, "frame long, angle double, w int, h int, m array<double>")
+
+
+def rects_batch(bricks: DataFrame, views: DataFrame) -> DataFrame:
+    """frame, angle, brick, node and rectangle for every view of a batch; both sides are control tables, a few rows a worker or request."""
+    corners = F.array(*[F.struct(*[F.col(f"{c}{i >> k & 1}").cast("double").alias(c) for k, c in enumerate("xyz")]) for i in range(8)])
+    p = bricks.select("brick", "node", F.explode(corners).alias("p")).crossJoin(F.broadcast(views))
+
+    def row(i):
+        m = F.col("m")
+        return m[4 * i] * F.col("p.x") + m[4 * i + 1] * F.col("p.y") + m[4 * i + 2] * F.col("p.z") + m[4 * i + 3]
+
+    p = p.select("frame", "angle", "brick", "node", "w", "h", row(0).alias("a"), row(1).alias("b"), row(3).alias("k"))
+    p = p.select("frame", "angle", "brick", "node", "w", "h", (F.col("k") > 0).alias("good"), F.when(F.col("k") > 0, F.col("a") / F.col("k")).alias("u"), F.when(F.col("k") > 0, F.col("b") / F.col("k")).alias("v"))
+    g = p.groupBy("frame", "angle", "brick", "node", "w", "h").agg(F.bool_and("good").alias("good"), F.min("u").alias("ul"), F.max("u").alias("uh"), F.min("v").alias("vl"), F.max("v").alias("vh"))
+    low = lambda c: F.when(F.col("good"), F.greatest(F.floor(c), F.lit(0))).otherwise(0).cast("int")
+    high = lambda c, n: F.when(F.col("good"), F.least(F.ceil(c), F.col(n))).otherwise(F.col(n)).cast("int")
+    out = g.select("frame", "angle", "brick", "node", low("ul").alias("u0"), high("uh", "w").alias("u1"), low("vl").alias("v0"), high("vh", "h").alias("v1"))
+    return out.where("u0 < u1 and v0 < v1")

@@ -123,3 +123,15 @@ prj as (select brick, node, {row(3)} as w, case when {row(3)} > 0 then {row(0)}
 rect0 as (select brick, node, case when bool_and(w > 0) then greatest(floor(min(u)), 0) else 0 end::int as u0, case when bool_and(w > 0) then least(ceil(max(u)), {w}) else {w} end::int as u1,
   case when bool_and(w > 0) then greatest(floor(min(v)), 0) else 0 end::int as v0, case when bool_and(w > 0) then least(ceil(max(v)), {h}) else {h} end::int as v1 from prj group by brick, node),
 rect as (select * from rect0 where u0 < u1 and v0 < v1)"""
+
+
+def rects_batch(views: list[ViewSpec], cube_name: str, boxes: str = "leaf", node: str = "brick") -> str:
+    """rect(frame, angle, brick, node, u0, u1, v0, v1) of many views."""
+    rows = ", ".join(f"({v.frame}::bigint, {d(v.angle)}, {v.width}, {v.height}, [{', '.join(d(x) for x in v.matrix(CUBES[cube_name]))}])" for v in views)
+    row = lambda i: f"(m[{4 * i + 1}] * px + m[{4 * i + 2}] * py + m[{4 * i + 3}] * pz + m[{4 * i + 4}])"
+    return f"""views(frame, angle, w, h, m) as (values {rows}),
+corner as (select brick, {node} as node, (case i & 1 when 1 then x1 else x0 end)::double as px, (case i >> 1 & 1 when 1 then y1 else y0 end)::double as py,
+  (case i >> 2 & 1 when 1 then z1 else z0 end)::double as pz from {boxes}, (select unnest(range(8)) as i)),
+prj as (select frame, angle, brick, node, w, h, {row(0)} / {row(3)} as u, {row(1)} / {row(3)} as v from corner, views),
+rect0 as (select frame, angle, brick, node, greatest(floor(min(u)), 0)::int as u0, least(ceil(max(u)), w)::int as u1, greatest(floor(min(v)), 0)::int as v0, least(ceil(max(v)), h)::int as v1 from prj group by frame, angle, brick, node, w, h),
+rect as (select * from rect0 where u0 < u1 and v0 < v1)"""
