@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+IDLE_MS = 60 * 86_400_000
 # The dialogue of a session: state, message, next state.
 TRANSITIONS = [
     ("init", "signup", "open"),
@@ -80,7 +81,7 @@ def mip_stream(stream: DataFrame, top: int) -> DataFrame:
 
 
 def session_states(stream: DataFrame) -> DataFrame:
-    """The automaton as a stateful stream: user_id, n, state, refused; a session without messages for an hour is dropped."""
+    """The automaton as a stateful stream: user_id, n, state, refused; a session without messages for sixty days of event time is dropped. The stream needs a watermark."""
     table = {(s, m): n for s, m, n in TRANSITIONS}
 
     def step(key, frames, state: GroupState):
@@ -93,10 +94,10 @@ def session_states(stream: DataFrame) -> DataFrame:
             nxt = table.get((name, m))
             name, n, refused = nxt or name, n + 1, refused + (nxt is None)
         state.update((name, n, refused))
-        state.setTimeoutDuration(3_600_000)
+        state.setTimeoutTimestamp(int(rows["ts"].max().timestamp() * 1000) + IDLE_MS)
         yield pd.DataFrame({"user_id": [key[0]], "n": [n], "state": [name], "refused": [refused]})
 
-    return stream.groupBy("user_id").applyInPandasWithState(step, "user_id long, n long, state string, refused long", "state string, n long, refused long", "append", GroupStateTimeout.ProcessingTimeTimeout)
+    return stream.groupBy("user_id").applyInPandasWithState(step, "user_id long, n long, state string, refused long", "state string, n long, refused long", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def start(stream: DataFrame, render: Callable[[DataFrame], DataFrame], sink: str, checkpoint: str):

@@ -273,7 +273,7 @@ def top_user(s, sf):
 
 add("s_cube_inc", lambda s, sf: drained(s, serve.cube_stream(streamed(s, sf), top_user(s, sf))), f"with {S.WIDE} select x, y, z, v from vox")
 add("s_frame_inc", lambda s, sf: drained(s, serve.mip_stream(streamed(s, sf), top_user(s, sf))), "with m as (select max(user_id) + 1 as ux from events) select (user_id * 27) // ux as u, ((hour(ts) * 60 + minute(ts)) * 27) // 1440 as w, max(round(value * 1e2)::bigint)::bigint as val from events, m group by 1, 2")
-add("s_fsm", lambda s, sf: drained(s, serve.session_states(streamed(s, sf)), "append").groupBy("user_id").agg(F.max("n").alias("n")), "select user_id, count(*) as n from events group by user_id")
+add("s_fsm", lambda s, sf: drained(s, serve.session_states(streamed(s, sf).withWatermark("ts", "1 day")), "append").groupBy("user_id").agg(F.max("n").alias("n")), "select user_id, count(*) as n from events group by user_id")
 
 
 @query("s_dedup", "select event_type, count(*) as n from events group by event_type")
