@@ -162,10 +162,10 @@ class Model:
         best[:, 0] = 0
         back = np.zeros((words, n + 1), np.int32)
         for end in range(1, n + 1):
-            sizes = np.arange(1, min(end, len(found)) + 1)
+            sizes = np.arange(min(end, len(found)), 0, -1)  # the longest of equals first
             step = np.stack([best[:, end - s] + self.score_of(found[s - 1, :, end - s]) for s in sizes])
             alone = best[:, end - 1] + self.unknown_score
-            step[0] = np.where(found[0, :, end - 1] >= 0, step[0], alone)
+            step[-1] = np.where(found[0, :, end - 1] >= 0, step[-1], alone)
             pick = step.argmax(axis=0)
             best[:, end] = step[pick, np.arange(words)]
             back[:, end] = sizes[pick]
