@@ -5,9 +5,9 @@ where document pivots tell nothing, so the space is divided twice:
 
 1. The first pivot is the empty set under the symmetric-difference metric: rings by set size. By the triangle inequality a
    document can link only within its ring and the next, so each is replicated to the ring below as well. Inside a ring the
-   hash range is cut into one block more than the largest symmetric difference of a linked pair, with a few to spare;
-   linked sets agree on a whole block that is not empty, and meet there. A set with too many empty blocks for
-   that also meets others of its kind at each shingle of its prefix.
+   hash range is cut into more blocks than the largest symmetric difference of a linked pair, with some to spare;
+   linked sets agree on a whole block of two shingles or more, and meet there. A set with too few such blocks also uses
+   those of one shingle, and where these are too few meets others of its kind at each shingle of its prefix.
 2. Sets that meet, directly or through others, form a region; only regions read whole sets again. A region of more than
    ``TILE`` sets is dealt to pairs of parts. Within a tile, pivots far from each other make Voronoi cells; a set goes to its nearest pivot's cell,
    and to any other whose pivot is at most two radii farther; cells join recursively, small ones by distance, where
@@ -21,12 +21,14 @@ nothing. Null identifier: larger than all others. Repeated rows and identifiers:
 Other columns are ignored by the digest; ``distinct_documents`` keeps them, whatever their names.
 """
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .arrays import U64, buffer_of, hash_ranges, lower_table, mix, odd, ragged, slices, word_bounds
+from .arrays import U64, buffer_of, hash_ranges, lower_table, mix, odd, owners, ragged, slices, word_bounds
 from .components import components
 from .repeats import packed_docs, shared_table, texts_of, unpacked
 from .tables import partitions, unident
@@ -37,6 +39,8 @@ TILE = 256
 LEAF = 24
 PIVOTS = 6
 SEEN = 500_000
+#: Documents looked at for frequent shingles, sets from which one is frequent, and the longest list.
+SAMPLED, OFTEN, MOST = 4000, 5, 200_000
 
 
 def shingles(buf: np.ndarray, offsets: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
@@ -83,11 +87,33 @@ def rings(largest: int, percent: int) -> np.ndarray:
     return np.array(out)
 
 
-def signatures(value: np.ndarray, bounds: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
-    """Row and key of each place where a set meets others."""
+def spare(percent: int) -> float:
+    """Share of additional blocks with which, on average, enough blocks hold two shingles or more."""
+    mean, more = percent / (100 - percent), 0.0
+    while True:
+        m = mean / (1 + more)
+        if (1 - math.exp(-m) * (1 + m)) * (1 + more) >= 1.04 or more >= 1:
+            return more
+        more += 0.02
+
+
+def signatures(value: np.ndarray, bounds: np.ndarray, percent: int, frequent: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Row and key of each place where a set meets others.
+
+    Frequent shingles are left out of the blocks: what differs between two sets without them is no more than what differs
+    with them, so the count of blocks still holds, whatever the list. Blocks of one shingle are used only by sets with too few larger ones.
+    """
     size = np.diff(bounds)
     edge = rings(int(size.max(initial=0)) + 1, percent)
     ring = np.searchsorted(edge, size, "right") - 1
+    whose = owners(bounds)
+    common = np.zeros(len(value), bool)
+    if len(frequent):
+        common = frequent[np.minimum(np.searchsorted(frequent, value), len(frequent) - 1)] == value
+    rare, rare_row = value[~common], whose[~common]
+    rare_bounds = np.searchsorted(rare_row, np.arange(len(size) + 1))
+    ordered = np.lexsort((value, common, whose))  # within a set, frequent shingles last
+    more_blocks = spare(percent)
     rows, keys = [], []
     for shift in (0, 1):
         group = ring - shift
@@ -98,32 +124,54 @@ def signatures(value: np.ndarray, bounds: np.ndarray, percent: int) -> tuple[np.
         reach = size[use] <= top * 100 // percent
         use, top = use[reach], top[reach]
         differ = top * (100 - percent) // percent  # the largest symmetric difference of a linked pair whose smaller set has ``top``
-        blocks = np.where(differ > 0, differ + 1 + -(-3 * (differ + 1) // 100), 1)
-        at = ragged(bounds[:-1][use], size[use])
-        who = np.repeat(np.arange(len(use)), size[use])
-        v = value[at]
+        blocks = np.where(differ > 0, np.ceil((differ + 1) * (1 + more_blocks)).astype(np.int64), 1)
+        own = np.minimum(differ, size[use] * (100 - percent) // percent)  # and of one that this set can be in
+        count = np.diff(rare_bounds)[use]
+        at = ragged(rare_bounds[:-1][use], count)
+        who = np.repeat(np.arange(len(use)), count)
+        v = rare[at]
         block = ((v >> U64(32)) * blocks[who].astype(U64) >> U64(32)).astype(np.int64)
         new = np.ones(len(v), bool)
         new[1:] = (who[1:] != who[:-1]) | (block[1:] != block[:-1])
         head = np.flatnonzero(new)
-        if not len(head):
-            continue
-        content = np.add.reduceat(mix(v * odd(1, 41)[0]), head)
-        w = who[head]
-        rows.append(use[w])
-        keys.append(mix(content + mix((block[head].astype(U64) << U64(24)) + (group[use[w]].astype(U64) << U64(1)) + U64(1))))
-        lacking = np.flatnonzero(np.bincount(w, minlength=len(use)) <= differ)
+        full, some = np.zeros(len(use), np.int64), np.zeros(len(use), np.int64)
+        if len(head):
+            content = np.add.reduceat(mix(v * odd(1, 41)[0]), head)
+            large = np.diff(np.append(head, len(v))) > 1
+            w = who[head]
+            full, some = np.bincount(w[large], minlength=len(use)), np.bincount(w, minlength=len(use))
+            key = mix(content + mix((block[head].astype(U64) << U64(24)) + (group[use[w]].astype(U64) << U64(1)) + U64(1)))
+            send = large | (full <= own)[w]
+            rows.append(use[w[send]])
+            keys.append(key[send])
+        lacking = np.flatnonzero((full <= own) & (some <= own))
         if len(lacking):
             n = size[use[lacking]]
             prefix = n - -(-n * percent // 100) + 1
-            more = ragged(bounds[:-1][use[lacking]], prefix)
+            more = value[ordered[ragged(bounds[:-1][use[lacking]], prefix)]]
             rows.append(np.repeat(use[lacking], prefix))
-            keys.append(mix(value[more] + mix(np.repeat(group[use[lacking]], prefix).astype(U64) << U64(1))))
+            keys.append(mix(more + mix(np.repeat(group[use[lacking]], prefix).astype(U64) << U64(1))))
     if not rows:
         return np.zeros(0, np.int64), np.zeros(0, U64)
     return np.concatenate(rows), np.concatenate(keys)
 
 
+def frequent_shingles(texts: DataFrame, size: int) -> np.ndarray:
+    """Shingles that at least ``OFTEN`` different sets of about ``SAMPLED`` documents have; a hint for cost that no result depends on."""
+
+    def run(batches):
+        for batch in slices(batches, "text"):
+            value, bounds = shingles(*buffer_of(batch.column("text")), size)
+            d1, _ = set_digests(value, bounds)
+            yield pa.RecordBatch.from_arrays([pa.array(d1[owners(bounds)]), pa.array(value.view(np.int64))], ["d1", "shingle"])
+
+    total = texts.count()
+    part = texts if total <= SAMPLED else texts.where(F.pmod(F.xxhash64("doc", "text"), F.lit(1 << 24)) < int((1 << 24) * SAMPLED / total))
+    found = part.mapInArrow(run, "d1 long, shingle long").distinct().groupBy("shingle").count().where(F.col("count") >= OFTEN)
+    rows = found.orderBy(F.desc("count"), "shingle").limit(MOST).select("shingle").toArrow()
+    return np.sort(rows.column(0).to_numpy().view(U64))
+
+
 def set_rows(texts: DataFrame, size: int) -> DataFrame:
     """doc, n, d1, d2 of every row."""
 
@@ -138,13 +186,14 @@ def set_rows(texts: DataFrame, size: int) -> DataFrame:
 
 def meeting_pairs(texts: DataFrame, size: int, percent: int) -> DataFrame:
     """a, b: digests of sets that meet at a key, each paired with the least there."""
+    frequent = frequent_shingles(texts, size)
 
     def emit(batches):
         seen: set = set()  # equal sets of a task go out once, unless forgotten
         for batch in slices(batches, "text"):
             value, bounds = shingles(*buffer_of(batch.column("text")), size)
             d1, _ = set_digests(value, bounds)
-            row, key = signatures(value, bounds, percent)
+            row, key = signatures(value, bounds, percent, frequent)
             fresh = np.zeros(len(d1), bool)
             for i, d in enumerate(d1.tolist()):
                 if d not in seen:
@@ -189,6 +238,19 @@ class Tile:
         self.links: list[tuple[int, int]] = []
         self.radius = 1 - percent / 100
 
+    def linkable(self, items: np.ndarray) -> np.ndarray:
+        """Those whose shingles are shared with others among them often enough for any link."""
+        while len(items) > 1:
+            at = ragged(self.bounds[items], self.size[items])
+            count = np.bincount(self.flat[at], minlength=self.universe)
+            total = np.concatenate([[0], np.cumsum(count[self.flat[at]] > 1)])
+            cut = np.concatenate([[0], np.cumsum(self.size[items])])
+            keep = 100 * np.diff(total[cut]) >= self.percent * self.size[items]
+            if keep.all():
+                break
+            items = items[keep]
+        return items
+
     def shared(self, one: int, items: np.ndarray) -> np.ndarray:
         """Sizes of the intersections of one set with some."""
         mark = np.zeros(self.universe, np.int32)
@@ -253,7 +315,7 @@ def links_of(members: DataFrame, size: int, percent: int) -> DataFrame:
         def tile():
             if len(names) > 1:
                 t = Tile(np.concatenate(sets), np.concatenate([[0], np.cumsum([len(x) for x in sets])]), percent)
-                t.join(np.argsort(t.size, kind="stable"))
+                t.join(t.linkable(np.argsort(t.size, kind="stable")))
                 if t.links:
                     a, b = np.array(t.links).T
                     d = np.array(names)
