@@ -29,6 +29,14 @@ def scratch(s) -> str:
     return f"{base}/{uuid.uuid4().hex}"
 
 
+def shared_path(s) -> str:
+    """The same as a plain path, for writers that use files; refused where the shared folder is an object store."""
+    path = scratch(s).removeprefix("file://").removeprefix("file:")
+    if "://" in path:
+        raise ValueError("brick files and images need a shared folder that tasks can open as files")
+    return path
+
+
 def both(name: str, sql: str, spark_sql: str | None = None) -> None:
     """One ANSI text for both engines (or its Spark spelling); vox is the survey cube."""
     text = spark_sql or sql
@@ -65,9 +73,7 @@ for fmt in ("csv", "json", "orc", "parquet"):
 
 @query("e_scan_cubebin", f"{VOX} select x, y, z, v from vox")
 def _(s, sf):
-    path = scratch(s).removeprefix("file:")
-    if "://" in path.lstrip("/"):
-        path = os.path.join(tempfile.gettempdir(), uuid.uuid4().hex)
+    path = shared_path(s)
     cubebin.register(s)
     cubebin.write(array_engine.pack_bricks(v(s, sf), kd.kd(SURVEY.dims, 8)), path)
     return s.read.format("cubebin").option("path", path).load().select("x", "y", "z", "v")
@@ -238,7 +244,7 @@ def _(s, sf):
 
 @query("e_sink_ppm")
 def _(s, sf):
-    path = os.path.join(tempfile.gettempdir(), f"frame-{uuid.uuid4().hex}")
+    path = shared_path(s)
     sinks.frame_pgm(composite.final(partials(s, sf)), 64, 64, path, 66_191_316)
     return s.read.format("binaryFile").load(path).select(F.col("length").alias("bytes"))
 
