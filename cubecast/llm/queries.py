@@ -65,11 +65,33 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f fo
 
 ORACLES: dict[str, str] = {
     "op3_exact_topk": topk_search.ORACLE,
+    "op4_substring_dedup": r"""
+with w as (select doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') as t from documents),
+p as (select doc_id, t, unnest(range(len(t) - 12)) as i from w where len(t) >= 13),
+k as (select doc_id, i, array_to_string(t[i + 1:i + 13], ' ') as key from p),
+m as (select key, min(doc_id) as least from k group by key),
+gone as (select distinct doc_id, i + j as pos from (select k.doc_id, k.i, unnest(range(13)) as j from k join m on k.key = m.key and m.least < k.doc_id)),
+each_word as (select doc_id, unnest(t) as word, unnest(range(len(t))) as pos from w),
+kept as (select e.doc_id, string_agg(e.word, ' ' order by e.pos) as text, count(*) as n from each_word e anti join gone g on g.doc_id = e.doc_id and g.pos = e.pos group by e.doc_id)
+select w.doc_id, len(w.t) as n_words, len(w.t) - coalesce(kept.n, 0) as n_removed, sha256(coalesce(kept.text, '')) as kept_sha256 from w left join kept on kept.doc_id = w.doc_id
+""",
     "op5_exact_dedup": r"""
 select doc_id, first_value(doc_id) over w as keep_id, count(*) over (partition by plain) as group_size,
        doc_id = first_value(doc_id) over w as kept, sha256(plain) as text_sha256
 from (select doc_id, coalesce(text, '') as text, regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]', '', 'g') as plain from documents)
 window w as (partition by plain order by length(text) desc, doc_id)
+""",
+    "op6_suffix_dedup": r"""
+with w as (select doc_id, hex(encode(coalesce(text, ''))) as h from documents),
+k as (select doc_id, i, substr(h, 2 * i + 1, 100) as key from (select doc_id, h, unnest(range(length(h) // 2 - 49)) as i from w where length(h) >= 100)),
+m as (select key, min(doc_id) as least from k group by key),
+hit as (select k.doc_id, k.i from k join m on k.key = m.key and m.least < k.doc_id),
+edge as (select *, case when i <= max(i) over (partition by doc_id order by i rows between unbounded preceding and 1 preceding) + 50 then 0 else 1 end as new from hit),
+span as (select doc_id, min(i) as a, max(i) + 50 as b from (select *, sum(new) over (partition by doc_id order by i) as g from edge) group by doc_id, g),
+gap as (select doc_id, a, b, coalesce(lag(b) over (partition by doc_id order by a), 0) as prior, lead(a) over (partition by doc_id order by a) as nxt from span),
+cut as (select w.doc_id, sum(b - a) as n, count(*) as spans, string_agg(substr(h, 2 * prior + 1, 2 * (a - prior)) || case when nxt is null then substr(h, 2 * b + 1) else '' end, '' order by a) as kept from gap join w on w.doc_id = gap.doc_id group by w.doc_id)
+select w.doc_id, length(h) // 2 as n_bytes, coalesce(cut.n, 0)::bigint as n_removed, coalesce(cut.spans, 0) as n_spans, sha256(unhex(coalesce(cut.kept, h))) as kept_sha256
+from w left join cut on cut.doc_id = w.doc_id
 """,
     "op7_source_mixing": mixing.ORACLE,
     "op8_url_filter": url_rules.oracle(),
