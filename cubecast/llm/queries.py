@@ -64,6 +64,17 @@ def op10_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_jaccard_join, op2_quality_classifier, op3_exact_topk, op4_substring_dedup, op5_exact_dedup, op6_suffix_dedup, op7_source_mixing, op8_url_filter, op9_token_counts, op10_pieces)}
 
 ORACLES: dict[str, str] = {
+    "op1_jaccard_join": r"""
+with recursive w as (select doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') as t from documents),
+s as (select distinct doc_id, key from (
+  select doc_id, array_to_string(t[i + 1:i + 4], ' ') as key from (select doc_id, t, unnest(range(greatest(1, len(t) - 3))) as i from w where len(t) > 0))),
+n as (select doc_id, count(*) as n from s group by doc_id),
+p as (select a.doc_id as x, b.doc_id as y, count(*) as c from s a join s b on a.key = b.key and a.doc_id < b.doc_id group by 1, 2),
+l as (select x, y from p join n a on a.doc_id = x join n b on b.doc_id = y where 100 * c >= 85 * (a.n + b.n - c)),
+e as (select x, y from l union all select y, x from l),
+r as (select doc_id as d, doc_id as z from w union select r.d, e.y from r join e on e.x = r.z)
+select w.doc_id, coalesce(n.n, 0) as n_shingles, c.component_id from w left join n on n.doc_id = w.doc_id join (select d, min(z) as component_id from r group by d) c on c.d = w.doc_id
+""",
     "op3_exact_topk": topk_search.ORACLE,
     "op4_substring_dedup": r"""
 with w as (select doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') as t from documents),
