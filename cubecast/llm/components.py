@@ -8,7 +8,7 @@ the shuffle, and joins on them can be split. Loops and repeated edges are droppe
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .repeats import shared_table
+from .tables import forget, shared_table
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -21,7 +21,8 @@ def components(edges: DataFrame) -> DataFrame:
         large = large.where("u <> v").distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.explode(F.array(F.struct(F.col("v").alias("u"), F.col("m").alias("v")), F.struct("u", F.col("m").alias("v")))).alias("x")).select("x.*")
-        e = shared_table(small.where("u <> v").distinct())
+        e, old = shared_table(small.where("u <> v").distinct()), e
+        forget(old)
     roots = e.select(F.col("u").alias("node"), F.col("v").alias("root"))
     return roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct())
 

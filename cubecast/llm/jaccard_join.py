@@ -8,9 +8,12 @@ where document pivots tell nothing, so the space is divided twice:
    hash range is cut into more blocks than the largest symmetric difference of a linked pair, with some to spare;
    linked sets agree on a whole block of two shingles or more, and meet there. A set with too few such blocks also uses
    those of one shingle, and where these are too few meets others of its kind at each shingle of its prefix.
-2. Sets that meet, directly or through others, form a region; only regions read whole sets again. A region of more than
-   ``TILE`` sets is dealt to pairs of parts. Within a tile, pivots far from each other make Voronoi cells; a set goes to its nearest pivot's cell,
-   and to any other whose pivot is at most two radii farther; cells join recursively, small ones by distance, where
+2. Sets that meet, directly or through others, form a region; only regions read whole sets again. In a region of more than
+   ``TILE`` sets, dealt to as many parts, every set measures its distance to a few pivots, sets of the region picked by hash.
+   Links with pivots join sets at once; far pivots make Voronoi cells: a set goes to its nearest pivot's cell, and to any
+   other whose pivot is at most two radii farther, so that linked sets share the cell of either one's pivot. Within a cell only
+   pairs with a set outside the region's largest component so far can still tell anything: those sets, in parts, meet all
+   parts of the cell. Within a tile of parts, cells divide further in the same way, until small ones go by distance, where
    only sets of different components within the triangle windows of all pivots are compared.
 
 Equal sets are one point. Components of links are exact; links inside a component that are not needed to connect it need not
@@ -18,26 +21,32 @@ be computed. Digests: 128 bits for sets, 64 for shingles within a region.
 
 Fewer than four words: the whole sequence is the one shingle. No words, or null text: the empty set, linked with
 nothing. Null identifier: larger than all others. Repeated rows and identifiers: one output row each. Empty table: empty result.
-Other columns are ignored by the digest; ``distinct_documents`` keeps them, whatever their names.
+Memory in a worker follows the longest text. Other columns are ignored by ``linked_documents``. ``distinct_documents`` keeps
+them, whatever their names, and one row of each component, and all rows without words; ties of the smallest identifier, as among
+repeated rows or null identifiers, go to the smallest digest of the whole row.
 """
 
 import math
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .arrays import U64, buffer_of, hash_ranges, lower_table, mix, odd, owners, ragged, slices, word_bounds
 from .components import components
-from .repeats import packed_docs, shared_table, texts_of, unpacked
-from .tables import partitions, unident
+from .repeats import packed_docs, texts_of, unpacked
+from .tables import partitions, row_key, shared_table, unident, without
 
 WORDS = 4
 PERCENT = 85
 TILE = 256
 LEAF = 24
 PIVOTS = 6
+#: Pivots of a large region, on average.
+STARS = 12
+FAR = -(2**63)
+SLACK = 1e-9
 SEEN = 500_000
 #: Documents looked at for frequent shingles, sets from which one is frequent, and the longest list.
 SAMPLED, OFTEN, MOST = 4000, 5, 200_000
@@ -173,15 +182,15 @@ def frequent_shingles(texts: DataFrame, size: int) -> np.ndarray:
 
 
 def set_rows(texts: DataFrame, size: int) -> DataFrame:
-    """doc, n, d1, d2 of every row."""
+    """doc, key, n, d1, d2 of every row of doc, text, key."""
 
     def run(batches):
         for batch in slices(batches, "text"):
             value, bounds = shingles(*buffer_of(batch.column("text")), size)
             d1, d2 = set_digests(value, bounds)
-            yield pa.RecordBatch.from_arrays([batch.column("doc"), pa.array(np.diff(bounds)), pa.array(d1), pa.array(d2)], ["doc", "n", "d1", "d2"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc"), batch.column("key"), pa.array(np.diff(bounds)), pa.array(d1), pa.array(d2)], ["doc", "key", "n", "d1", "d2"])
 
-    return texts.mapInArrow(run, "doc long, n long, d1 long, d2 long")
+    return texts.mapInArrow(run, "doc long, key binary, n long, d1 long, d2 long")
 
 
 def meeting_pairs(texts: DataFrame, size: int, percent: int) -> DataFrame:
@@ -301,57 +310,147 @@ class Tile:
                 self.compare(int(items[k]), items[rest])
 
 
-def links_of(members: DataFrame, size: int, percent: int) -> DataFrame:
-    """a, b: links that connect the components among members (region, d1, size, packed)."""
-    count = Window.partitionBy("region")
-    dealt = members.withColumn("parts", F.ceil(F.count("*").over(count) / TILE).cast("int"))
-    dealt = dealt.withColumn("part", F.pmod(F.xxhash64("d1"), F.col("parts")).cast("int"))
-    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    dealt = dealt.select("region", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"), "d1", "size", "packed")
+def groups_of(batches, columns: tuple[str, ...], size: int):
+    """Key, names, sets and last flags of the rows of one key after the other, from rows sorted by key."""
+    key, sets, names, flags = None, [], [], []
+    for part, buf, offsets in unpacked(batches):
+        value, bounds = shingles(buf, offsets, size)
+        keys = list(zip(*(part.column(x).to_pylist() for x in columns), strict=True))
+        flag = part.column("flag").to_pylist()
+        for r, d in enumerate(part.column("d1").to_pylist()):
+            if keys[r] != key:
+                if names:
+                    yield key, names, sets, flags
+                key, sets, names, flags = keys[r], [], [], []
+            sets.append(value[bounds[r] : bounds[r + 1]])
+            names.append(d)
+            flags.append(flag[r])
+    if names:
+        yield key, names, sets, flags
+
+
+def tile_of(sets: list, percent: int) -> "Tile":
+    return Tile(np.concatenate(sets), np.concatenate([[0], np.cumsum([len(x) for x in sets])]), percent)
+
+
+def stars(large: DataFrame, size: int, percent: int) -> DataFrame:
+    """region, d1, pivots (linked with the set), cells (pivots in whose cells or windows it lies) of the members of large regions."""
+    part = F.pmod(F.xxhash64("d1", F.lit(1)), F.col("parts")).cast("int")
+    pivot = F.pmod(F.xxhash64("d1", F.lit(2)), F.col("members")) < STARS
+    columns = ["region", "part", "d1", "size", "packed"]
+    centres = large.where(pivot).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    rows = large.withColumn("part", part).select(*columns, F.lit(False).alias("flag")).unionByName(centres.select(*columns, F.lit(True).alias("flag")))
 
     def run(batches):
-        key, sets, names = None, [], []
-
-        def tile():
-            if len(names) > 1:
-                t = Tile(np.concatenate(sets), np.concatenate([[0], np.cumsum([len(x) for x in sets])]), percent)
-                t.join(t.linkable(np.argsort(t.size, kind="stable")))
-                if t.links:
-                    a, b = np.array(t.links).T
-                    d = np.array(names)
-                    yield pa.RecordBatch.from_arrays([pa.array(d[a]), pa.array(d[b])], ["a", "b"])
+        for (region, _), names, sets, flags in groups_of(batches, ("region", "part"), size):
+            t = tile_of(sets, percent)
+            flag = np.array(flags)
+            far_of = {n: i for i, n in enumerate(names) if flag[i]}
+            centre = [far_of[n] for n in sorted(far_of)]  # in the same order in every part
+            mine = np.flatnonzero(~flag)
+            if not len(mine):
+                continue
+            every = np.concatenate([mine, np.array(centre, np.int64)])
+            both = np.array([t.shared(c, every) for c in centre], np.int64).reshape(len(centre), len(every))
+            union = t.size[centre][:, None] + t.size[every][None, :] - both
+            linked = (100 * both >= percent * union)[:, : len(mine)]
+            away = 1 - both / union
+            apart: list[int] = []  # pivots that make cells: far from each other
+            for i in range(len(centre)):
+                if all(away[j, len(mine) + i] > 2 * t.radius + SLACK for j in apart):
+                    apart.append(i)
+            away = away[apart][:, : len(mine)]
+            near = away.min(axis=0, initial=1.0)
+            # sets far from all pivots have a cell of their own, ``FAR``; others reach no farther than a radius into it
+            edge = 1 - t.radius - 0.01
+            inside = (away - near <= 2 * t.radius + SLACK) & (away <= edge + t.radius + SLACK)
+            outside = near > edge - t.radius - SLACK
+            yield pa.RecordBatch.from_arrays(
+                [
+                    pa.array([region] * len(mine), pa.int64()),
+                    pa.array([names[i] for i in mine], pa.int64()),
+                    pa.array([[names[c] for c, x in zip(centre, linked[:, k], strict=True) if x] for k in range(len(mine))], pa.list_(pa.int64())),
+                    pa.array([[names[centre[a]] for a, x in zip(apart, inside[:, k], strict=True) if x] + [FAR] * bool(outside[k]) for k in range(len(mine))], pa.list_(pa.int64())),
+                ],
+                ["region", "d1", "pivots", "cells"],
+            )
+
+    n = partitions(large.sparkSession)
+    dealt = rows.repartition(n, "region", "part").sortWithinPartitions("region", "part", "flag")
+    return dealt.mapInArrow(run, "region long, d1 long, pivots array<long>, cells array<long>")
+
+
+def tiles_joined(tiles: DataFrame, size: int, percent: int) -> DataFrame:
+    """a, b: links found in tiles (region, cell, i, j, d1, size, packed, flag), where two sets without flag aren't compared."""
 
-        for part, buf, offsets in unpacked(batches):
-            value, bounds = shingles(buf, offsets, size)
-            keys = list(zip(*(part.column(x).to_pylist() for x in ("region", "i", "j")), strict=True))
-            for r, d in enumerate(part.column("d1").to_pylist()):
-                if keys[r] != key:
-                    yield from tile()
-                    key, sets, names = keys[r], [], []
-                sets.append(value[bounds[r] : bounds[r + 1]])
-                names.append(d)
-        yield from tile()
+    def run(batches):
+        for _, names, sets, flags in groups_of(batches, ("region", "cell", "i", "j"), size):
+            if len(names) < 2:
+                continue
+            t = tile_of(sets, percent)
+            settled = np.flatnonzero(~np.array(flags))
+            if len(settled):
+                t.root[settled] = settled[0]
+            t.join(t.linkable(np.argsort(t.size, kind="stable")))
+            if t.links:
+                a, b = np.array(t.links).T
+                d = np.array(names)
+                yield pa.RecordBatch.from_arrays([pa.array(d[a]), pa.array(d[b])], ["a", "b"])
 
-    n = partitions(members.sparkSession)
-    return dealt.repartition(n, "region", "i", "j").sortWithinPartitions("region", "i", "j").mapInArrow(run, "a long, b long")
+    n = partitions(tiles.sparkSession)
+    return tiles.repartition(n, "region", "cell", "i", "j").sortWithinPartitions("region", "cell", "i", "j").mapInArrow(run, "a long, b long")
 
 
-def linked_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = WORDS, percent: int = PERCENT) -> DataFrame:
-    """doc_id, n_shingles, component_id of every row."""
+def links_of(members: DataFrame, size: int, percent: int) -> DataFrame:
+    """a, b: links that connect the components among members (region, members, d1, size, packed)."""
+    whole = F.lit(0).alias("i"), F.lit(0).alias("j"), F.lit(True).alias("flag")
+    small = members.where(F.col("members") <= TILE).select("region", F.col("region").alias("cell"), *whole, "d1", "size", "packed")
+    found = tiles_joined(small, size, percent)
+    large = members.where(F.col("members") > TILE).withColumn("parts", F.ceil(F.col("members") / TILE).cast("int"))
+    if large.isEmpty():
+        return found
+    star = shared_table(stars(large, size, percent))
+    links = star.select(F.explode("pivots").alias("a"), F.col("d1").alias("b")).where("a <> b")
+    roots = star.select("region", "d1").join(components(links).withColumnRenamed("node", "d1"), "d1", "left").withColumn("root", F.coalesce("root", "d1"))
+    counted = roots.groupBy("region", "root").count()
+    main = counted.groupBy("region").agg(F.max_by("root", F.struct("count", "root")).alias("main"))
+    opened = roots.join(main, "region").select("d1", (F.col("root") != F.col("main")).alias("open"))
+    cells = shared_table(star.select("region", "d1", F.explode("cells").alias("cell")).join(opened, "d1"))
+    counts = cells.groupBy("region", "cell").agg(F.ceil(F.count("*") / TILE).cast("int").alias("all_parts"), F.ceil(F.count_if("open") / TILE).cast("int").alias("open_parts"))
+    dealt = cells.join(counts.where("open_parts > 0"), ["region", "cell"])
+    # open sets as the one side, all sets as the other; an open set is on both sides
+    one = F.pmod(F.xxhash64("d1", F.lit(3)), F.col("open_parts")).cast("int")
+    other = F.pmod(F.xxhash64("d1", F.lit(4)), F.col("all_parts")).cast("int")
+    across = F.transform(F.sequence(F.lit(0), F.col("open_parts") - 1), lambda x: F.struct(x.alias("i"), other.alias("j")))
+    along = F.transform(F.sequence(F.lit(0), F.col("all_parts") - 1), lambda x: F.struct(one.alias("i"), x.alias("j")))
+    both = dealt.withColumn("at", F.explode(F.array_distinct(F.when(F.col("open"), F.concat(across, along)).otherwise(across))))
+    tiles = both.select("region", "cell", "at.i", "at.j", "d1", F.col("open").alias("flag")).join(large.select("d1", "size", "packed"), "d1")
+    return found.unionByName(tiles_joined(tiles, size, percent)).unionByName(links)
+
+
+def marked_documents(docs: DataFrame, id_col: str, text_col: str, size: int, percent: int, tie: Column | None = None) -> DataFrame:
+    """doc, key, n, component of every row."""
     texts = texts_of(docs, id_col, text_col)
-    sets = shared_table(set_rows(texts, size))
+    keyed = texts_of(docs, id_col, text_col, F.lit(b"") if tie is None else tie)
+    sets = shared_table(set_rows(keyed, size))
     points = sets.where("n > 0").groupBy("d1", "d2", "n").agg(F.min("doc").alias("doc"))
     regions = components(meeting_pairs(texts, size, percent))
-    chosen = regions.withColumnRenamed("node", "d1").join(points, "d1").select("doc", "d1", F.col("root").alias("region"))
+    counted = regions.join(regions.groupBy("root").agg(F.count("*").alias("members")), "root")
+    chosen = counted.withColumnRenamed("node", "d1").join(points, "d1").select("doc", "d1", F.col("root").alias("region"), "members")
     # the identifier may be repeated with another text: its set's digest tells them apart
     members = packed_docs(texts).join(chosen.select("doc").distinct().hint("shuffle_hash"), "doc", "left_semi")
-    members = packed_sets(members, size).dropDuplicates(["d1"]).join(chosen.select("d1", "region"), "d1")
+    members = shared_table(packed_sets(members, size).dropDuplicates(["d1"]).join(chosen.select("d1", "region", "members"), "d1"))
     roots = components(links_of(members, size, percent))
     least = sets.where("n > 0").groupBy("d1").agg(F.min("doc").alias("doc"))
     labelled = least.join(roots.withColumnRenamed("node", "d1"), "d1", "left").withColumn("root", F.coalesce("root", "d1"))
     ids = labelled.groupBy("root").agg(F.min("doc").alias("component"))
-    lookup = labelled.join(ids, "root").select("d1", "component")
-    out = sets.join(lookup, "d1", "left").withColumn("component", F.when(F.col("n") > 0, F.col("component")).otherwise(F.col("doc")))
+    lookup = labelled.join(ids, "root").select("d1", "root", "component")
+    return sets.join(lookup, "d1", "left").withColumn("component", F.when(F.col("n") > 0, F.col("component")).otherwise(F.col("doc")))
+
+
+def linked_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = WORDS, percent: int = PERCENT) -> DataFrame:
+    """doc_id, n_shingles, component_id of every row."""
+    out = marked_documents(docs, id_col, text_col, size, percent)
     return out.select(unident("doc").alias("doc_id"), F.col("n").alias("n_shingles"), unident("component").alias("component_id"))
 
 
@@ -368,5 +467,8 @@ def packed_sets(packed: DataFrame, size: int) -> DataFrame:
 
 def distinct_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = WORDS, percent: int = PERCENT) -> DataFrame:
     """The first row of each component (by identifier), and all rows without words, with all their columns."""
-    gone = linked_documents(docs, id_col, text_col, size, percent).where("doc_id is not null and doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(gone, docs[id_col] == F.col("__gone"), "left_anti")
+    rows = shared_table(marked_documents(docs, id_col, text_col, size, percent, row_key(docs)).where("n > 0").select("root", "doc", "key"))
+    counted = rows.groupBy("root", "doc", "key").agg(F.count("*").alias("same"))
+    first = counted.groupBy("root").agg(F.min(F.struct("doc", "key")).alias("first"), F.sum("same").alias("n")).where("n > 1")
+    keys = counted.join(first, "root").select("key", (F.struct("doc", "key") != F.col("first")).alias("gone"), "same")
+    return without(docs, keys.where("gone or same > 1").select("key", "gone"))

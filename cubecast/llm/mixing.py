@@ -1,7 +1,8 @@
 """Mixing sources to target weights by exponential keys (weighted sampling without replacement).
 
 Targets: the mix holds ``share`` times all sizes; sources share it by weight, none above ``cap`` times its
-own size, the excess going to the others by weight until none is above. A source's whole epochs come
+own size, the excess going to the others by weight until none is above (one row a source meets in one task there: sources are
+few against documents; sums by source are made before). A source's whole epochs come
 first: every document floor(target / source size) times. The rest of the target is drawn: each document
 gets the key -ln(u) / w, with u from a hash of its identifier and w its quality weight, and documents are
 taken in order of the key until the prefix sum of sizes meets the rest.
@@ -12,28 +13,38 @@ text with 4 to 11 code points a word on average, else 1 (or a given column).
 
 Null text: size 0, taken 0 in the drawn part. Null source: last in the order of weights, a source of its own.
 Null or repeated identifiers: their rows share a key, ordered by size; repeated rows are drawn alike, each with its
-own place in the prefix sum. All sizes 0: targets 0. Empty table: empty result. Other columns are ignored.
+own place in the prefix sum. All sizes 0: targets 0. Very long texts are read once, by built-in functions. Empty table: empty
+result. Other columns are ignored by ``mix`` and travel with their row, whatever their names, in ``mixed_documents``.
 """
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .tables import named
+
 WORDS = r"[^\x20\x09-\x0D]+"
 SLOTS = 4096
 
 
-def sizes(docs: DataFrame, id_col: str, text_col: str, source_col: str, seed: int) -> DataFrame:
-    """doc_id, source, size, key, slot. The slot follows the order of the key."""
-    size = F.coalesce(F.regexp_count(text_col, F.lit(WORDS)), F.lit(0)).cast("long")
-    points = F.coalesce(F.length(text_col), F.lit(0)).cast("long")
-    digest = F.sha2(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col(id_col).cast("string"), F.lit("null"))), 256)
+def sizes(docs: DataFrame, id_col: str, text_col: str, source_col: str, seed: int, carry: bool = False) -> DataFrame:
+    """doc_id, named, known, size, key, slot, and the whole row if it is to be carried. The slot follows the order of the key.
+
+    named, known: the source without nulls, so that windows and joins by it deal rows out alike.
+    """
+    size = F.coalesce(F.regexp_count(named(text_col), F.lit(WORDS)), F.lit(0)).cast("long")
+    points = F.coalesce(F.length(named(text_col)), F.lit(0)).cast("long")
+    source = named(source_col)
+    digest = F.sha2(F.concat(F.lit(f"{seed}:"), F.coalesce(named(id_col).cast("string"), F.lit("null"))), 256)
+    row = [F.struct(*map(named, docs.columns)).alias("row")] if carry else []
     u = (F.conv(F.substring(digest, 1, 12), 16, 10).cast("double") + F.lit(0.5)) / F.lit(float(2**48))
     return (
-        docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), size.alias("size"), points.alias("points"), u.alias("u"))
+        docs.select(
+            named(id_col).alias("doc_id"), F.coalesce(source.cast("string"), F.lit("")).alias("named"), source.isNotNull().alias("known"), size.alias("size"), points.alias("points"), u.alias("u"), *row
+        )
         .withColumn("weight", F.when((F.col("points") >= 4 * F.col("size")) & (F.col("points") <= 11 * F.col("size")), 2.0).otherwise(1.0))
         .withColumn("key", -F.log("u") / F.col("weight"))
         .withColumn("slot", F.floor(-F.expm1(-F.col("key")) * SLOTS).cast("int"))
-        .select("doc_id", "source", "size", "key", "slot")
+        .select("doc_id", "named", "known", "size", "key", "slot", *(["row"] if carry else []))
     )
 
 
@@ -69,30 +80,46 @@ def mix(
     source_col: str = "source",
 ) -> DataFrame:
     """doc_id, size, source_size, target, taken of every row; source too."""
-    d = sizes(docs, id_col, text_col, source_col, seed)
-    slots = d.groupBy("source", "slot").agg(F.sum("size").alias("slot_size"))
-    totals = slots.groupBy("source").agg(F.sum("slot_size").alias("source_size"))
+    kind = docs.schema[source_col].dataType
+    out = planned(sizes(docs, id_col, text_col, source_col, seed), weights, share, cap)
+    return out.select("doc_id", F.when(F.col("known"), F.col("named")).cast(kind).alias("source"), "size", "source_size", "target", "taken")
+
+
+def planned(d: DataFrame, weights: tuple[float, ...], share: float, cap: float) -> DataFrame:
+    """d with source_size, target, taken."""
+    of = ["named", "known"]
+    slots = d.groupBy(*of, "slot").agg(F.sum("size").alias("slot_size"))
+    totals = slots.groupBy(*of).agg(F.sum("slot_size").alias("source_size"))
+    totals = totals.select(F.when(F.col("known"), F.col("named")).alias("source"), "source_size")
     goal = targets(totals, list(weights), share, cap).withColumn("epochs", F.coalesce(F.floor(F.try_divide(F.col("target"), F.col("source_size"))), F.lit(0)).cast("long"))
     goal = goal.withColumn("rest", F.col("target") - F.col("epochs") * F.col("source_size"))
-    run = Window.partitionBy("source").orderBy("slot").rowsBetween(Window.unboundedPreceding, -1)
-    start = slots.withColumn("before", F.coalesce(F.sum("slot_size").over(run), F.lit(0)))
-    plan = start.join(goal, start["source"].eqNullSafe(goal["source"])).select(start["source"].alias("p_source"), start["slot"].alias("p_slot"), "before", "source_size", "target", "epochs", "rest")
-    in_slot = Window.partitionBy("source", "slot").orderBy("key", F.col("doc_id").asc_nulls_last(), "size").rowsBetween(Window.unboundedPreceding, 0)
-    d = d.withColumn("within", F.sum("size").over(in_slot))
-    joined = d.join(plan, d["source"].eqNullSafe(F.col("p_source")) & (d["slot"] == F.col("p_slot")))
+    goal = goal.select(F.coalesce("source", F.lit("")).alias("named"), F.col("source").isNotNull().alias("known"), "source_size", "target", "epochs", "rest")
+    run = Window.partitionBy(*of).orderBy("slot").rowsBetween(Window.unboundedPreceding, -1)
+    start = slots.withColumn("before", F.coalesce(F.sum("slot_size").over(run), F.lit(0))).drop("slot_size")
+    plan = start.join(goal, of)
+    in_slot = Window.partitionBy(*of, "slot").orderBy("key", F.col("doc_id").asc_nulls_last(), "size").rowsBetween(Window.unboundedPreceding, 0)
+    joined = d.withColumn("within", F.sum("size").over(in_slot)).join(plan, [*of, "slot"])
     reach = F.col("before") + F.col("within")
     # the document on the border is taken if its middle lies within the rest
     drawn = F.when(reach - F.col("size") / 2 <= F.col("rest"), F.col("size")).otherwise(F.lit(0))
-    return joined.select("doc_id", "source", "size", "source_size", "target", (F.col("epochs") * F.col("size") + drawn).cast("long").alias("taken"))
+    return joined.withColumn("taken", (F.col("epochs") * F.col("size") + drawn).cast("long"))
 
 
-def mixed_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **how) -> DataFrame:
-    """The rows of docs that the mix takes, repeated as often as it takes them, with their columns."""
-    plan = mix(docs, id_col=id_col, text_col=text_col, source_col=source_col, **how)
-    times = F.when(F.col("size") > 0, F.expr("taken div size")).otherwise(F.lit(1))
-    plan = plan.groupBy("doc_id").agg(F.max(times).cast("int").alias("__times")).where("__times > 0").withColumnRenamed("doc_id", "__doc")
-    out = docs.join(plan, docs[id_col].eqNullSafe(F.col("__doc"))).drop("__doc")
-    return out.withColumn("__each", F.explode(F.sequence(F.lit(1), F.col("__times")))).drop("__times", "__each")
+def mixed_documents(
+    docs: DataFrame,
+    weights: tuple[float, ...] = (5, 2, 1),
+    share: float = 1.5,
+    cap: float = 2.0,
+    seed: int = 7,
+    id_col: str = "doc_id",
+    text_col: str = "text",
+    source_col: str = "source",
+) -> DataFrame:
+    """The rows of docs that the mix takes, repeated as often as it takes them, with their columns. A row of no words comes once."""
+    out = planned(sizes(docs, id_col, text_col, source_col, seed, carry=True), weights, share, cap)
+    times = F.when(F.col("size") > 0, F.expr("taken div size")).otherwise(F.lit(1)).cast("int")
+    out = out.select("row", times.alias("times")).where("times > 0")
+    return out.select(F.explode(F.array_repeat(F.lit(0), F.col("times"))), "row").select("row.*")
 
 
 ORACLE = r"""

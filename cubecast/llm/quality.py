@@ -16,6 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .arrays import U64, buffer_of, eights, hash_ranges, mix, owners, slices, word_bounds
+from .tables import named
 
 TRAIN_ROWS = 4000
 BITS = 11
@@ -127,7 +128,9 @@ def estimated(patterns: np.ndarray, counts: np.ndarray, rounds: int = 100) -> tu
     """Posterior of good for each vote pattern, P(vote | class) as [labeller, class, vote], P(good).
 
     Class 0 is good, 1 bad. The start is the share of good votes; one vote of each kind in each class is added to the counts.
-    Labellers are taken to be better than chance: a bad vote is at least ``EDGE`` times as likely on a bad document.
+    Labellers are taken to be better than chance: a bad vote is at least ``EDGE`` times as likely on a bad document. Without that,
+    EM is free to call the larger of two groups of languages bad; with it, a labeller whose bad votes fall on both classes is
+    estimated as weak (few bad votes in either class), not as wrong.
     """
     good, bad = (patterns == GOOD).sum(1), (patterns == BAD).sum(1)
     post = np.where(good + bad > 0, (good + 0.5) / (good + bad + 1.0), 0.5)
@@ -183,7 +186,7 @@ def pattern_counts(docs: DataFrame, text_col: str) -> DataFrame:
             found, n = np.unique(votes @ 3 ** np.arange(votes.shape[1]), return_counts=True)
             yield pa.RecordBatch.from_arrays([pa.array(found.astype(np.int64)), pa.array(n.astype(np.int64))], ["pattern", "n"])
 
-    return docs.select(F.col(text_col).alias("text")).mapInArrow(run, "pattern long, n long").groupBy("pattern").agg(F.sum("n").alias("n"))
+    return docs.select(named(text_col).alias("text")).mapInArrow(run, "pattern long, n long").groupBy("pattern").agg(F.sum("n").alias("n"))
 
 
 def trained(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rows: int = TRAIN_ROWS) -> tuple[Scorer, dict]:
@@ -200,7 +203,7 @@ def trained(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", row
     posterior = dict(zip(ids.tolist(), post.tolist(), strict=True))
 
     def run(batches):
-        for batch in slices(batches, "text"):
+        for batch in (b.slice(i, 500) for b in slices(batches, "text") for i in range(0, b.num_rows, 500)):
             r = Reader(batch.column("text"))
             votes = r.votes() @ 3 ** np.arange(size)
             x = np.zeros((len(votes), PARTS << BITS), np.float32)
@@ -209,13 +212,14 @@ def trained(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", row
             x /= (r.count + CALM)[:, None]
             yield pa.RecordBatch.from_arrays([pa.array(votes.astype(np.int64)), pa.array([row.astype(np.float16).tobytes() for row in x], pa.binary())], ["pattern", "x"])
 
-    # the share is set so that about ``rows`` documents are picked; the limit is a guard that chance doesn't reach
+    # the share is set so that about ``rows`` documents are picked, equal ones once; the limit, in the order of the hash, is a
+    # guard that chance doesn't reach
     total = counts.sum()
-    pick = F.xxhash64(F.col(id_col), F.col(text_col))
-    part = docs.select(F.col(text_col).alias("text"), pick.alias("pick"))
+    part = docs.select(named(text_col).alias("text"), F.xxhash64(named(id_col), named(text_col)).alias("pick"))
     if total > rows:
-        part = part.where(F.pmod("pick", F.lit(1 << 20)) < F.lit(int((1 << 20) * min(1.0, rows / total))))
-    sample = part.select("text").mapInArrow(run, "pattern long, x binary").limit(2 * rows).collect()
+        part = part.where(F.pmod("pick", F.lit(1 << 48)) < F.lit(max(1, int((1 << 48) * min(1.0, rows / total)))))
+    part = part.groupBy("pick").agg(F.min("text").alias("text")).orderBy("pick").limit(2 * rows)
+    sample = part.select("text").mapInArrow(run, "pattern long, x binary").collect()
     if not sample:
         return Scorer(np.zeros(PARTS << BITS, np.float32), 0.0), {"posterior": posterior, "labellers": {}, "good": prior}
     x = np.stack([np.frombuffer(s["x"], np.float16) for s in sample]).astype(np.float32)

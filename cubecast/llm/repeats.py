@@ -14,19 +14,16 @@ key, a digest of its whole content and its source coordinates. Rows meet by key:
 What comes out are source coordinates (document, first window, number of windows), which merge into spans.
 """
 
-import gc
-import time
-import uuid
 import zlib
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .arrays import U64, buffer_of, mix, odd, owners, ragged, slices, window_min
-from .tables import ident, partitions, unident
+from .tables import ident, named, partitions, shared_table, unident
 
 TAG_BITS = 26
 PATH = "key long, digest long, doc long, start int, tagged int"
@@ -199,20 +196,6 @@ def lists(column) -> tuple[np.ndarray, np.ndarray]:
     return column.flatten().to_numpy(zero_copy_only=False), np.concatenate([[0], np.cumsum(sizes)])
 
 
-def shared_table(df: DataFrame) -> DataFrame:
-    """df by way of a table in the shared checkpoint folder: computed once, compressed, readable after an executor is lost."""
-    from .tables import shared_folder
-
-    spark = df.sparkSession
-    where = f"{shared_folder(spark)}/table-{uuid.uuid4().hex}"
-    df.write.parquet(where)
-    for _ in range(2):  # what was shuffled for it can go
-        gc.collect()
-        spark._jvm.System.gc()
-        time.sleep(0.2)
-    return spark.read.schema(df.schema).parquet(where)
-
-
 def by_document(hits: DataFrame) -> DataFrame:
     """doc, tag, and the spans of hits: whole, and those to be checked further."""
     return hits.groupBy("doc", F.shiftright("tagged", 5).alias("tag")).agg(
@@ -296,5 +279,5 @@ def span():
     return F.col("start").cast("long") * 32 + F.col("tagged").bitwiseAND(31)
 
 
-def texts_of(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    return docs.select(ident(id_col).alias("doc"), F.col(text_col).alias("text"))
+def texts_of(docs: DataFrame, id_col: str, text_col: str, key: Column | None = None) -> DataFrame:
+    return docs.select(ident(id_col).alias("doc"), named(text_col).alias("text"), *([] if key is None else [key.alias("key")]))
