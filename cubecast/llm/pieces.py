@@ -4,19 +4,21 @@ Texts are cut where a run of spaces begins: no piece crosses such a place. The d
 grouped by length, so that equal-length words advance together in matrices: substring hashes of all starts and
 lengths probe the sorted piece keys once (a second hash confirms each hit), and then
 
-* a unigram model goes through Viterbi: at each end, a maximum over piece lengths, with backpointers;
-* a merge model (byte-pair scores) takes for all words at once the best-scoring pair, the leftmost of equals, until none is
-  left. Viterbi would give other pieces than the model's library there, as merges are greedy.
+* a unigram model goes through Viterbi: at each end, a maximum of scores over piece lengths, with backpointers;
+* a merge model (byte-pair scores) goes through the same lattice, where a step counts only if the piece follows the one before
+  it as merging would leave them. Merging works in a fixed order and locally, so a row of pieces is what merging gives if and only
+  if merging the characters of each two neighbours gives these two. So at each end exactly one piece may be
+  the last one; it is found longest first and its length is the backpointer. Verdicts on pairs come from batched merging of the
+  pair's characters; a worker remembers up to ``REMEMBERED``. Maximal sums of scores would give other pieces than the model's library.
 
-Words longer than ``LONG`` code points go through the same rules one by one with a heap (merge models) or alone in their
-group (Viterbi). Code points that no piece holds become byte pieces, or the unknown piece.
+Words longer than ``LONG`` code points go through the same lattice one by one.
+Code points that no piece holds become byte pieces, or the unknown piece.
 
 Null text: as empty, no pieces. Null or repeated identifiers and repeated rows: one output row each. Empty table: empty
 result. Other columns are ignored.
 """
 
 import hashlib
-import heapq
 import struct
 
 import numpy as np
@@ -27,7 +29,11 @@ from pyspark.sql import DataFrame
 from .arrays import U64, buffer_of, ragged, slices
 
 SLICE = 4_000_000
-LONG = 64
+LONG = 48
+REMEMBERED = 5_000_000
+#: Places (word, start, length) that are looked up at once.
+CELLS = 8_000_000
+FILL = "\U0010ffff"
 MARK = 0x2581
 BASES = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)
 # Field numbers and piece types of the public model format.
@@ -74,6 +80,16 @@ def grown(code: np.ndarray, base: int) -> np.ndarray:
     return out
 
 
+class Memory:
+    """Verdicts on pairs that a worker remembers of one model, sorted by pair. What is forgotten is judged again."""
+
+    def __init__(self):
+        self.pairs, self.verdict = np.zeros(0, np.int64), np.zeros(0, bool)
+
+
+MEMORIES: dict[str, Memory] = {}
+
+
 class Model:
     """Pieces, scores and tables of one model file; small enough to travel with a function."""
 
@@ -101,6 +117,8 @@ class Model:
         self.scores = np.array([pieces[i][1] for i in usable], np.float64)[order]
         # Fixed value: what an unknown code point loses against the worst piece
         self.unknown_score = float(self.scores.min(initial=0.0)) - 10.0
+        self.base = len(pieces) + 0x110001  # pieces, then code points without a piece, then no piece at all
+        self.name = hashlib.sha256(repr((kind, dummy_prefix, pieces)).encode()).hexdigest()
         shown = [self.shown(i) for i in range(len(pieces))]
         self.flat = np.frombuffer(b"".join(shown), np.uint8)
         self.cuts = np.concatenate([[0], np.cumsum([len(x) for x in shown])])
@@ -169,6 +187,12 @@ class Model:
             pick = step.argmax(axis=0)
             best[:, end] = step[pick, np.arange(words)]
             back[:, end] = sizes[pick]
+        return self.traced(back), found
+
+    @staticmethod
+    def traced(back: np.ndarray) -> np.ndarray:
+        """Symbol ends along the backpointers."""
+        words, n = back.shape[0], back.shape[1] - 1
         ends = np.zeros((words, n), np.int32)
         at = np.full(words, n)
         live = np.arange(words)
@@ -177,7 +201,7 @@ class Model:
             ends[live, start] = at[live]
             at[live] = start
             live = live[start > 0]
-        return ends, found
+        return ends
 
     def merged(self, code: np.ndarray):
         """Symbol ends by merging the best pair of each word, again and again, for all words at once."""
@@ -217,31 +241,108 @@ class Model:
             gain[live[inner], p[inner]] = pair(live[inner], p[inner])
         return ends, found
 
-    def merged_alone(self, code: np.ndarray):
-        """The same for one long word, with a heap."""
-        found = self.probe(code)
-        n = code.shape[1]
-        place = found[:, 0, :]
-        ends, before = list(range(1, n + 1)), list(range(-1, n))
-        heap: list = []
-
-        def push(a):
-            b = ends[a]
-            if b < n and (size := ends[b] - a) <= len(place) and (at := place[size - 1, a]) >= 0:
-                heapq.heappush(heap, (-self.scores[at], a, b, ends[b]))
-
-        for a in range(n - 1):
-            push(a)
-        while heap:
-            _, a, b, c = heapq.heappop(heap)
-            if ends[a] != b or b >= n or ends[b] != c:
-                continue
-            ends[a], ends[b] = c, 0
-            before[c] = a
-            push(a)
-            if before[a] >= 0:
-                push(before[a])
-        return np.array([ends], np.int32), found
+    @property
+    def memory(self) -> Memory:
+        return MEMORIES.setdefault(self.name, Memory())
+
+    def spelled(self, symbol: int) -> str:
+        n = len(self.pieces)
+        return self.pieces[symbol][0] if symbol < n else chr(symbol - n) if symbol < self.base - 1 else ""
+
+    def judge(self, pairs: np.ndarray) -> np.ndarray:
+        """Whether merging the characters of two symbols gives the two."""
+        left = [self.spelled(int(x)) for x in pairs // self.base]
+        texts = [a + self.spelled(int(x)) for a, x in zip(left, pairs % self.base, strict=True)]
+        middle, size = np.array([len(x) for x in left]), np.array([len(x) for x in texts])
+        room = -(-size // 8) * 8  # filled up with what no piece holds, so that a few matrices take all
+        out = np.zeros(len(pairs), bool)
+        for n in np.unique(room):
+            group = np.flatnonzero(room == n)
+            for at in range(0, len(group), 20_000):
+                part = group[at : at + 20_000]
+                block = np.frombuffer("".join(texts[i].ljust(n, FILL) for i in part).encode("utf-32-le", "surrogatepass"), np.uint32).reshape(len(part), n)
+                ends, _ = self.merged(block)
+                m, k, row = middle[part], size[part], np.arange(len(part))
+                out[part] = np.where(m > 0, (ends[row, 0] == m) & (ends[row, np.minimum(m, n - 1)] == k), ends[row, 0] == k)
+        return out
+
+    def follow(self, before: np.ndarray, symbol: np.ndarray) -> np.ndarray:
+        """Verdicts on pairs of symbols."""
+        known, pairs = self.memory, before * self.base + symbol
+        at = np.searchsorted(known.pairs, pairs)
+        miss = np.ones(len(pairs), bool)
+        inside = at < len(known.pairs)
+        miss[inside] = known.pairs[at[inside]] != pairs[inside]
+        if miss.any():
+            new = np.unique(pairs[miss])
+            if len(known.pairs) > REMEMBERED:
+                new, known.pairs, known.verdict = np.unique(pairs), np.zeros(0, np.int64), np.zeros(0, bool)
+            place = np.searchsorted(known.pairs, new)
+            known.pairs, known.verdict = np.insert(known.pairs, place, new), np.insert(known.verdict, place, self.judge(new))
+            at = np.searchsorted(known.pairs, pairs)
+        return known.verdict[at]
+
+    def chained(self, blocks: list[np.ndarray]):
+        """Symbol ends, by the lattice in which each symbol may follow the one before. A block holds words of one length; shorter blocks come first."""
+        found = [self.probe(x) for x in blocks]
+        rows = np.array([len(x) for x in blocks])
+        length = np.repeat([x.shape[1] for x in blocks], rows)
+        inner = np.concatenate([np.arange(n) for n in rows]) * length
+        place_at = np.repeat(np.concatenate([[0], np.cumsum([x.size for x in found])[:-1]]), rows) + inner  # of a word's first start, for length 1
+        stride = np.repeat([x.size for x in blocks], rows)  # to the next length
+        code_at = np.repeat(np.concatenate([[0], np.cumsum([x.size for x in blocks])[:-1]]), rows) + inner
+        state_at = np.concatenate([[0], np.cumsum(length + 1)[:-1]])
+        places, code = np.concatenate([x.ravel() for x in found]), np.concatenate([x.ravel() for x in blocks]).astype(np.int64)
+        last = np.full(int((length + 1).sum()), self.base - 1, np.int64)
+        back = np.zeros(len(last), np.int32)
+        for end in range(1, int(length[-1]) + 1):
+            waiting = np.arange(np.searchsorted(length, end), len(length))
+            for size in range(min(end, self.longest), 0, -1):
+                place = places[place_at[waiting] + (size - 1) * stride[waiting] + end - size]
+                symbol = self.ids[place]
+                if size == 1:
+                    symbol = np.where(place >= 0, symbol, len(self.pieces) + code[code_at[waiting] + end - 1])
+                    maybe = np.ones(len(waiting), bool)
+                else:
+                    maybe = place >= 0
+                    if not maybe.any():
+                        continue
+                who, symbol = waiting[maybe], symbol[maybe]
+                good = self.follow(last[state_at[who] + end - size], symbol)
+                state = state_at[who[good]] + end
+                last[state], back[state] = symbol[good], size
+                maybe[maybe] = good
+                waiting = waiting[~maybe]
+                if not len(waiting):
+                    break
+        cuts = np.concatenate([[0], np.cumsum([len(x) * (x.shape[1] + 1) for x in blocks])])
+        return [(self.traced(back[i:j].reshape(len(x), x.shape[1] + 1)), f) for i, j, x, f in zip(cuts[:-1], cuts[1:], blocks, found, strict=True)]
+
+    def chained_alone(self, code: np.ndarray):
+        """The same for one long word."""
+        found, n, none = self.probe(code), code.shape[1], self.base - 1
+        back = np.zeros((1, n + 1), np.int32)
+        last = [none] * (n + 1)
+        verdicts: dict = {}
+        size_of, end_of = np.nonzero(found[:, 0, :] >= 0)
+        ends = end_of + size_of + 1
+        order = np.lexsort((-size_of, ends))
+        steps = zip(ends[order].tolist(), (size_of[order] + 1).tolist(), self.ids[found[size_of, 0, end_of]][order].tolist(), strict=True)
+        by_end: dict = {}
+        for end, size, symbol in steps:
+            by_end.setdefault(end, []).append((size, symbol))
+        for end in range(1, n + 1):
+            options = by_end.pop(end, [])
+            if not options or options[-1][0] > 1:
+                options.append((1, len(self.pieces) + int(code[0, end - 1])))
+            for size, symbol in options:
+                pair = (last[end - size], symbol)
+                if pair not in verdicts:
+                    verdicts[pair] = bool(self.follow(np.array([pair[0]]), np.array([pair[1]]))[0])
+                if verdicts[pair]:
+                    last[end], back[0, end] = symbol, size
+                    break
+        return self.traced(back), found
 
     def words(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all words, one after the other, and n + 1 cuts. Spaces stand for the mark."""
@@ -251,36 +352,59 @@ class Model:
         code[code == 32] = MARK
         cuts = np.concatenate([[0], np.cumsum(sizes)])
         word, start, ident = [], [], []
-        for n in np.unique(sizes):
-            if not n:
-                continue
-            group = np.flatnonzero(sizes == n)
-            step = max(1, min(20_000, 2_000_000 // int(n * min(n, self.longest))))
-            if self.kind == MERGES and n > LONG:
-                step = 1
-            for at in range(0, len(group), step):
-                part = group[at : at + step]
-                block = code[cuts[part][:, None] + np.arange(n)]
-                ends, found = (self.viterbi if self.kind == UNIGRAM else self.merged if n <= LONG else self.merged_alone)(block)
+
+        def settle(parts):
+            """parts: word numbers of one length each, shorter ones first."""
+            blocks = [code[cuts[p][:, None] + np.arange(sizes[p[0]])] for p in parts]
+            if self.kind == UNIGRAM:
+                done = [self.viterbi(x) for x in blocks]
+            else:
+                done = self.chained(blocks) if sizes[parts[-1][0]] <= LONG else [self.chained_alone(x) for x in blocks]
+            for part, block, (ends, found) in zip(parts, blocks, done, strict=True):
                 w, a = np.nonzero(ends)
                 place = found[np.minimum(ends[w, a] - a, len(found)) - 1, w, a]
                 known = place >= 0
                 word.append(part[w[known]])
                 start.append(a[known] * 4)
                 ident.append(self.ids[place[known]])
-                for i in np.flatnonzero(~known):
-                    spelled = chr(int(block[w[i], a[i]])).encode("utf-8", "replace")
-                    parts = self.byte_ids[list(spelled)]
-                    parts = parts if (parts >= 0).all() else np.array([self.unknown])
-                    word.append(np.full(len(parts), part[w[i]]))
-                    start.append(a[i] * 4 + np.arange(len(parts)))
-                    ident.append(parts)
+                if not known.all():
+                    w, a = w[~known], a[~known]
+                    ids, row, byte = self.unknown_ids(block[w, a])
+                    word.append(part[w[row]])
+                    start.append(a[row] * 4 + byte)
+                    ident.append(ids)
+
+        held, cells = [], 0
+        for n in np.unique(sizes):
+            if not n:
+                continue
+            group = np.flatnonzero(sizes == n)
+            step = 1 if n > LONG else max(1, CELLS // int(n * min(n, self.longest)))
+            for at in range(0, len(group), step):
+                part = group[at : at + step]
+                if held and (n > LONG or cells + len(part) * int(n * min(n, self.longest)) > CELLS):
+                    settle(held)
+                    held, cells = [], 0
+                held.append(part)
+                cells += len(part) * int(n * min(n, self.longest))
+        if held:
+            settle(held)
         if not word:
             return np.zeros(0, np.int32), np.zeros(len(sizes) + 1, np.int64)
         word, start, ident = np.concatenate(word), np.concatenate(start), np.concatenate(ident)
         order = np.lexsort((start, word))
         return ident[order].astype(np.int32), np.searchsorted(word[order], np.arange(len(sizes) + 1))
 
+    def unknown_ids(self, points: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Ids of code points without a piece: byte pieces where the model has all of them, else the unknown piece; with each id's row and byte."""
+        size = 1 + (points >= 0x80) + (points >= 0x800) + (points >= 0x10000).astype(np.int64)
+        data = np.frombuffer(points.astype("<u4").tobytes().decode("utf-32-le").encode(), np.uint8)
+        ids, row = self.byte_ids[data], np.repeat(np.arange(len(points)), size)
+        byte = np.arange(len(data)) - np.repeat(np.cumsum(size) - size, size)
+        lacking = np.bincount(row, ids < 0, len(points)) > 0
+        keep = ~lacking[row] | (byte == 0)
+        return np.where(lacking[row], self.unknown, ids)[keep], row[keep], byte[keep]
+
     def encode(self, column) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all rows, one after the other, and n + 1 cuts."""
         buf, offsets = buffer_of(column)
