@@ -3,7 +3,7 @@
 A window is ``length`` consecutive tokens (words or bytes) of one document. Each window is filed under the
 smallest of its gram values (a gram is ``gram`` consecutive tokens), so equal windows are filed alike wherever they
 stand. Consecutive windows under one gram form a path: it does not branch, and one row carries it, as its gram's
-key, a digest of its whole content and its source coordinates. Rows meet by key:
+key, a digest of its whole content and its source coordinates. Rows meet in ordered buckets (see ``buckets``):
 
 * paths of one content form a class; every window of a class also starts in the class's first document,
   so members in later documents are repeated whole;
@@ -11,7 +11,7 @@ key, a digest of its whole content and its source coordinates. Rows meet by key:
   document go through the same again with grams nearly as long as a window, which takes chance meetings apart,
   and what still branches goes on window by window, by two independent 64-bit digests.
 
-What comes out are source coordinates (document, first window, number of windows), which merge into spans.
+What comes out are source coordinates (document, first window, number of windows).
 """
 
 import zlib
@@ -22,12 +22,13 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from . import buckets
 from .arrays import U64, buffer_of, mix, odd, owners, ragged, slices, window_min
-from .tables import ident, named, partitions, shared_table, unident
+from .tables import ident, named, partitions
 
 TAG_BITS = 26
-PATH = "key long, digest long, doc long, start int, tagged int"
-HIT = "doc long, start int, tagged int, check boolean"
+#: Documents (in expectation) from which splitters are estimated.
+SAMPLED_DOCS = 2000
 
 
 def tags(buf: np.ndarray, offsets: np.ndarray) -> np.ndarray:
@@ -60,15 +61,26 @@ def all_windows(bounds: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray
     return ragged(bounds[:-1], sizes), np.repeat(np.arange(len(sizes)), sizes)
 
 
-def path_batch(grams, at, row, gram: int, length: int, bounds, doc, tag, splitters=None) -> pa.RecordBatch:
+def anchors(grams: np.ndarray, at: np.ndarray, n: np.ndarray, value: np.ndarray) -> np.ndarray:
+    """Place of the first gram of the path's value in its last window."""
+    out = at + n - 1
+    todo = np.arange(len(at))
+    while len(todo):
+        todo = todo[grams[out[todo]] != value[todo]]
+        out[todo] += 1
+    return out
+
+
+def path_batch(kind, buf, starts, grams, at, row, gram: int, length: int, bounds, doc, tag, splitters=None) -> pa.RecordBatch:
     at, n, row, value = paths(grams, at, row, gram, length)
     m = odd(2, 99)
     digest = mix(window_digest(grams, at, gram, length, 1) * m[0] + window_digest(grams, at + n - 1, gram, length, 2) * m[1] + n.astype(U64))
-    key = (value << U64(40) | value >> U64(24)).view(np.int64) if splitters is not None else value.view(np.int64)
-    columns = [pa.array(key), pa.array(digest.view(np.int64)), pa.array(doc[row]), pa.array((at - bounds[row]).astype(np.int32)), pa.array((tag[row] << 5 | n - 1).astype(np.int32))]
-    names = ["key", "digest", "doc", "start", "tagged"]
+    lead, rest = kind.order(buf, starts, value, anchors(grams, at, n, value) if kind.by_bytes else None)
+    src, dst = kind.nodes(grams, at, n, gram, length)
+    rows = {"lead": lead, "gram": rest, "digest": digest.view(np.int64), "doc": doc[row], "place": (at - bounds[row]) << 31 | tag[row] << 5 | n - 1, "src": src, "dst": dst}
+    columns, names = [pa.array(rows[c]) for c in buckets.COLUMNS], list(buckets.COLUMNS)
     if splitters is not None:
-        columns.append(pa.array(np.searchsorted(splitters, key, "right").astype(np.int32)))
+        columns.append(pa.array(buckets.places(splitters, rows).astype(np.int32)))
         names.append("bucket")
     return pa.RecordBatch.from_arrays(columns, names)
 
@@ -82,77 +94,26 @@ def window_digest(grams: np.ndarray, at: np.ndarray, gram: int, length: int, see
     return mix(total)
 
 
-def path_rows(docs: DataFrame, tokens, grams, gram: int, length: int, splitters=None) -> DataFrame:
-    """The paths of all documents. tokens(buf, offsets) -> (token starts or None, bounds); grams(buf, starts, seed, gram) -> values."""
+def path_rows(docs: DataFrame, kind, splitters=None) -> DataFrame:
+    """The paths of all documents."""
+    gram, _, length = kind.sizes
 
     def run(batches):
         for batch in slices(batches, "text"):
             buf, offsets = buffer_of(batch.column("text"))
-            starts, bounds = tokens(buf, offsets)
+            starts, bounds = kind.tokens(buf, offsets)
             doc = batch.column("doc").to_numpy(zero_copy_only=False)
-            yield path_batch(grams(buf, starts, 0, gram), *all_windows(bounds, length), gram, length, bounds, doc, tags(buf, offsets), splitters)
-
-    return docs.mapInArrow(run, PATH + (", bucket int" if splitters is not None else ""))
-
-
-class Judge:
-    """Rows sorted by (key, digest, doc) in, hits out, batch by batch; remembers no more than the first class's first document."""
-
-    def __init__(self, checks: bool):
-        self.checks, self.key, self.digest, self.least, self.classes, self.waiting = checks, None, None, None, 0, []
-
-    def __call__(self, batch: pa.RecordBatch):
-        if not batch.num_rows:
-            return
-        key, digest, doc = (batch.column(x).to_numpy() for x in ("key", "digest", "doc"))
-        new_key, new_class = np.ones(len(key), bool), np.ones(len(key), bool)
-        new_key[1:] = key[1:] != key[:-1]
-        new_key[0] = self.key is None or key[0] != self.key
-        new_class[1:] = digest[1:] != digest[:-1]
-        new_class[0] = digest[0] != self.digest
-        new_class |= new_key
-        heads = np.flatnonzero(new_class)
-        if len(heads) and heads[0] == 0:
-            least = np.repeat(doc[heads], np.diff(np.append(heads, len(doc))))
-        else:
-            least = np.repeat(np.append(self.least, doc[heads]), np.diff(np.concatenate([[0], heads, [len(doc)]])))
-        full = doc > least
-        check = np.zeros(len(doc), bool)
-        if self.checks:
-            group = np.cumsum(new_key) - (1 if new_key[0] else 0)  # group 0 goes on from the last batch if new_key[0] is false
-            group += 0 if new_key[0] else 0
-            classes = np.bincount(group, new_class, group[-1] + 1).astype(np.int64)
-            if not new_key[0]:
-                classes[0] += self.classes
-            many = classes > 1
-            check = many[group] & ~full
-            if self.waiting and not new_key[0] and many[0]:
-                yield from self.waiting
-            if self.waiting and (new_key[0] or many[0] or len(classes) > 1):
-                self.waiting = []
-            last = group == group[-1]
-            if not many[-1] and (hold := last & ~full).any():
-                rows = pa.array(hold)
-                self.waiting.append(self.out(batch.filter(rows), np.ones(int(hold.sum()), bool)))
-            self.classes = int(classes[-1])
-        self.key, self.digest, self.least = key[-1], digest[-1], least[-1]
-        if (keep := full | check).any():
-            yield self.out(batch.filter(pa.array(keep)), check[keep])
-
-    @staticmethod
-    def out(batch, check):
-        return pa.RecordBatch.from_arrays([*(batch.column(x) for x in ("doc", "start", "tagged")), pa.array(check)], ["doc", "start", "tagged", "check"])
-
-
-def judged(rows: DataFrame, checks: bool) -> DataFrame:
-    """Hits among rows of PATH that are partitioned by key."""
+            yield path_batch(kind, buf, starts, kind.grams(buf, starts, 0, gram), *all_windows(bounds, length), gram, length, bounds, doc, tags(buf, offsets), splitters)
 
-    def run(batches):
-        judge = Judge(checks)
-        for batch in batches:
-            yield from judge(batch)
+    return docs.mapInArrow(run, buckets.PATH + (", bucket int" if splitters is not None else ""))
 
-    return rows.sortWithinPartitions("key", "digest", "doc").mapInArrow(run, HIT)
+
+def sampled(docs: DataFrame, kind) -> buckets.Rows:
+    """Splitters of the paths, from a sample of about ``SAMPLED_DOCS`` documents."""
+    n = partitions(docs.sparkSession)
+    total = docs.count()
+    part = docs if total <= SAMPLED_DOCS else docs.sample(False, SAMPLED_DOCS / total, 5)
+    return buckets.splitters_of(path_rows(part, kind), n)
 
 
 def packed_docs(docs: DataFrame) -> DataFrame:
@@ -198,32 +159,43 @@ def lists(column) -> tuple[np.ndarray, np.ndarray]:
 
 def by_document(hits: DataFrame) -> DataFrame:
     """doc, tag, and the spans of hits: whole, and those to be checked further."""
-    return hits.groupBy("doc", F.shiftright("tagged", 5).alias("tag")).agg(
-        F.collect_list(F.when(~F.col("check"), span())).alias("whole"), F.collect_list(F.when(F.col("check"), span())).alias("checks")
+    kind = F.col("kind")
+    return hits.groupBy("doc", tag_of("place").alias("tag")).agg(
+        F.collect_list(F.when(kind == buckets.WHOLE, span_of("place"))).alias("whole"), F.collect_list(F.when(kind == buckets.CHECK, span_of("place"))).alias("checks")
     )
 
 
-def removed(docs: DataFrame, tokens, grams, sizes: tuple[int, int, int], finish, schema: str, splitters=None) -> DataFrame:
-    """finish(buf, offsets, starts, bounds, gone) -> columns of schema; gone: for each token whether it is covered by a window that
-    also starts in a document with a smaller identifier. sizes: gram, longer gram, window."""
-    gram, longer, length = sizes
-    n = partitions(docs.sparkSession)
-    rows = path_rows(docs, tokens, grams, gram, length, splitters)
-    rows = rows.repartition(n, "key") if splitters is None else rows.repartitionById(n, F.col("bucket")).drop("bucket")
-    first = shared_table(by_document(judged(rows, True)))
-    texts = packed_docs(docs)
-
-    def with_texts(*tables: DataFrame) -> DataFrame:
-        """Texts with the tables' columns; always a left join of the same texts, so that their exchange is reused."""
-        out = texts
+def tag_of(place: str) -> Column:
+    return F.shiftright(place, 5).bitwiseAND((1 << TAG_BITS) - 1).cast("int")
+
+
+def span_of(place: str) -> Column:
+    """First window and number of windows, less one, in one long."""
+    return F.shiftright(place, 31) * 32 + F.col(place).bitwiseAND(31)
+
+
+class Texts:
+    """Compressed texts by document; always a left join of the same texts, so that their exchange can be reused in a plan."""
+
+    def __init__(self, docs: DataFrame):
+        self.texts = packed_docs(docs)
+
+    def joined(self, *tables: DataFrame) -> DataFrame:
+        out = self.texts
         for t in tables:
             out = out.join(t.hint("shuffle_hash"), ["doc", "tag"], "left")
         return out
 
+
+def levels(docs: DataFrame, texts: Texts, kind, sources: bool = False) -> list[DataFrame]:
+    """Found rows by whole paths, by paths under longer grams where keys branch, and window by window where they still do."""
+    gram, longer, length = kind.sizes
+    first = buckets.judged(path_rows(docs, kind, sampled(docs, kind)), True, sources)
+
     def open_windows(batches):
         """(tokens, bounds, places, rows, doc, tag, buf) of the windows that are to be checked."""
         for part, buf, offsets in unpacked(only(batches, "checks")):
-            starts, bounds = tokens(buf, offsets)
+            starts, bounds = kind.tokens(buf, offsets)
             flat, cut = lists(part.column("checks"))
             order = np.lexsort((flat, owners(cut)))
             row, at, size = owners(cut)[order], flat[order] >> 5, (flat[order] & 31) + 1
@@ -233,37 +205,38 @@ def removed(docs: DataFrame, tokens, grams, sizes: tuple[int, int, int], finish,
 
     def finer(batches):
         for buf, starts, bounds, at, row, doc, tag in open_windows(batches):
-            yield path_batch(grams(buf, starts, 0, longer), at, row, longer, length, bounds, doc, tag)
+            yield path_batch(kind, buf, starts, kind.grams(buf, starts, 0, longer), at, row, longer, length, bounds, doc, tag)
 
     def one_by_one(batches):
         for buf, starts, bounds, at, row, doc, tag in open_windows(batches):
-            one, two = (window_digest(grams(buf, starts, seed, gram), at, gram, length, 3 + seed) for seed in (0, 1))
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), pa.array(doc[row]), pa.array((at - bounds[row]).astype(np.int32)), pa.array((tag[row] << 5).astype(np.int32))],
-                ["key", "digest", "doc", "start", "tagged"],
-            )
+            grams = kind.grams(buf, starts, 0, gram)
+            one, two = (window_digest(g, at, gram, length, 3 + seed).view(np.int64) for seed, g in ((0, grams), (1, kind.grams(buf, starts, 1, gram))))
+            src, dst = kind.nodes(grams, at, 1, gram, length)
+            columns = (one, np.zeros(len(at), np.int32), two, doc[row], (at - bounds[row]) << 31 | tag[row] << 5, src, dst)
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], list(buckets.COLUMNS))
+
+    def to_check(found: DataFrame) -> DataFrame:
+        table = by_document(found.where(F.col("kind") == buckets.CHECK)).select("doc", "tag", "checks")
+        return texts.joined(table).select("doc", "tag", "size", "packed", "checks")
+
+    second = buckets.judged(to_check(first).mapInArrow(finer, buckets.PATH), True, sources)
+    third = buckets.judged(to_check(second).mapInArrow(one_by_one, buckets.PATH), False, sources)
+    return [first, second, third]
 
-    open_ = with_texts(first.select("doc", "tag", "checks")).select("doc", "tag", "size", "packed", "checks")
-    second = shared_table(by_document(judged(open_.mapInArrow(finer, PATH).repartition(n, "key"), True)))
-    open_ = with_texts(second.select("doc", "tag", "checks")).select("doc", "tag", "size", "packed", "checks")
-    third = by_document(judged(open_.mapInArrow(one_by_one, PATH).repartition(n, "key"), False))
-    parts = [t.select("doc", "tag", F.col("whole").alias(name)) for t, name in ((first, "first"), (second, "second"), (third, "third"))]
-    names = [x.strip().split(" ")[0] for x in schema.split(",")]
-
-    def apply(batches):
-        for part, buf, offsets in unpacked(batches):
-            starts, bounds = tokens(buf, offsets)
-            change = np.zeros(int(bounds[-1]) + 1, np.int32)
-            for name in ("first", "second", "third"):
-                flat, cut = lists(part.column(name))
-                at = bounds[owners(cut)] + (flat >> 5)
-                np.add.at(change, at, 1)
-                np.add.at(change, at + (flat & 31) + length, -1)
-            gone = np.cumsum(change[:-1]) > 0
-            yield pa.RecordBatch.from_arrays([part.column("doc"), *finish(buf, offsets, starts, bounds, gone)], names=["doc", *names])
-
-    joined = with_texts(*parts).select("doc", "tag", "size", "packed", "first", "second", "third")
-    return joined.mapInArrow(apply, f"doc long, {schema}").withColumn("doc", unident("doc")).withColumnRenamed("doc", "doc_id")
+
+def cover(part, names, bounds, length: int) -> np.ndarray:
+    """Whether each token lies in a window of the spans in some columns."""
+    change = np.zeros(int(bounds[-1]) + 1, np.int32)
+    for name in names:
+        flat, cut = lists(part.column(name))
+        at = bounds[owners(cut)] + (flat >> 5)
+        np.add.at(change, at, 1)
+        np.add.at(change, at + (flat & 31) + length, -1)
+    return np.cumsum(change[:-1]) > 0
+
+
+def named_out(schema: str) -> list[str]:
+    return ["doc", *(x.strip().split(" ")[0] for x in schema.split(","))]
 
 
 def only(batches, column: str):
@@ -274,10 +247,5 @@ def only(batches, column: str):
             yield some
 
 
-def span():
-    """First window and number of windows in one long."""
-    return F.col("start").cast("long") * 32 + F.col("tagged").bitwiseAND(31)
-
-
 def texts_of(docs: DataFrame, id_col: str, text_col: str, key: Column | None = None) -> DataFrame:
     return docs.select(ident(id_col).alias("doc"), named(text_col).alias("text"), *([] if key is None else [key.alias("key")]))

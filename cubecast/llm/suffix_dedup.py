@@ -1,17 +1,16 @@
 """Repeated 50-byte strings by sorting suffixes.
 
 Of all suffixes, those that start at a place picked by content (the smallest of 31 consecutive 20-byte grams) are
-sorted; every 50-byte string holds such a place. A suffix's key starts with its leading bytes; splitters sampled from
-the corpus cut the order of keys into ranges, one bucket each, and each bucket sorts by key, then by the content
-around, then by document. Equal keys never lie in two buckets, as the splitters are keys themselves, so
-comparing neighbours within a bucket also covers the bounds between buckets. The sort in a bucket is Spark's own,
-column by column, which spills; a sort in the worker's memory would fail for a range that outgrows it.
-Neighbours of one content form a class, and where contents branch the strings are compared one by
-one (see ``repeats``).
+sorted; every 50-byte string holds such a place, so about one suffix in 16 stands for all strings around it. Suffixes are
+ordered by their first eight bytes as they are, then by the rest of the gram and the content around (as digests), then by
+document. Sampled splitters over that order range-partition them; each bucket sorts by multikey quicksort, spilling by
+range, and buckets are compared across their bounds, so a passage that a third of all documents repeat may fill several
+buckets (see ``buckets``). Neighbours of one content form a class, and where contents branch the strings are compared
+one by one (see ``repeats``).
 
 Null text: no bytes. Texts under 50 bytes: nothing is removed. Null identifier: larger than all others. Rows repeating
 an identifier do not make each other repeated. One output row for each input row; empty table: empty result.
-Other columns are ignored.
+Memory in a worker follows the longest text. Other columns are ignored.
 """
 
 import hashlib
@@ -22,46 +21,44 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .arrays import U64, eights, mix, odd
-from .repeats import path_rows, removed, texts_of
-from .tables import partitions
+from .repeats import Texts, by_document, cover, levels, named_out, texts_of, unpacked
+from .tables import unident
 
 SIZES = GRAM, LONGER, WINDOW = 20, 36, 50
-#: Rows (in expectation) from which splitters are estimated; balance depends on them, results do not.
-SAMPLED_DOCS = 2000
-
-
-def every_byte(buf, offsets):
-    return None, offsets
-
-
-def byte_grams(buf, starts, seed, gram):
-    """Values of grams at every byte: 40 bits of a digest, then the first three bytes; all bits of a digest for other seeds."""
-    n = len(buf) - 8 - gram + 1
-    if n <= 0:
-        return np.zeros(0, U64)
-    at = eights(buf)
-    total = np.zeros(n, U64)
-    for o, m in zip([*range(0, gram - 8, 8), gram - 8], odd(gram // 8 + 1, 51 + seed), strict=False):
-        total += at[o : o + n] * m
-        total ^= total >> U64(29)
-    total = mix(total)
-    if seed:
-        return total
-    first = at[:n]
-    total &= U64(0xFFFFFFFFFF000000)
-    total |= (first & U64(0xFF)) << U64(16) | (first & U64(0xFF00)) | (first >> U64(16) & U64(0xFF))
-    return total
-
-
-def splitters_of(docs: DataFrame, n: int) -> np.ndarray:
-    """n - 1 keys that part a sample's suffixes evenly; the sample's share of rows is set by their number."""
-    if n < 2:
-        return np.zeros(0, np.int64)
-    total = docs.count()
-    part = docs if total <= SAMPLED_DOCS else docs.sample(False, SAMPLED_DOCS / total, 5)
-    keys = path_rows(part, every_byte, byte_grams, GRAM, WINDOW, np.zeros(0, np.int64)).select("key")
-    found = keys.agg(F.percentile_approx("key", [i / n for i in range(1, n)], 20 * n).alias("k")).first()["k"]
-    return np.unique(np.array(found or [], np.int64))
+
+
+class Suffixes:
+    """Bytes as tokens; keys are leading bytes."""
+
+    sizes, by_bytes = SIZES, True
+
+    @staticmethod
+    def tokens(buf, offsets):
+        return None, offsets
+
+    @staticmethod
+    def grams(buf, starts, seed, gram):
+        """Digests of grams at every byte."""
+        n = len(buf) - 8 - gram + 1
+        if n <= 0:
+            return np.zeros(0, U64)
+        at = eights(buf)
+        total = np.zeros(n, U64)
+        for o, m in zip([*range(0, gram - 8, 8), gram - 8], odd(gram // 8 + 1, 51 + seed), strict=False):
+            total += at[o : o + n] * m
+            total ^= total >> U64(29)
+        return mix(total)
+
+    @staticmethod
+    def order(buf, starts, value, at):
+        """Eight leading bytes in byte order, and 32 bits for the rest of the gram."""
+        lead = eights(buf)[at].astype("<u8").byteswap() ^ U64(1 << 63)
+        return lead.view(np.int64), (value >> U64(32)).astype(np.uint32).view(np.int32)
+
+    @staticmethod
+    def nodes(grams, at, n, gram, length):
+        none = np.zeros(len(at), np.int64)
+        return none, none
 
 
 def digests(buf, offsets, starts, bounds, gone):
@@ -89,7 +86,18 @@ def kept_bytes(buf, offsets, starts, bounds, gone):
 
 def removal(docs: DataFrame, id_col: str, text_col: str, finish, schema: str) -> DataFrame:
     d = texts_of(docs, id_col, text_col)
-    return removed(d, every_byte, byte_grams, SIZES, finish, schema, splitters_of(d, partitions(docs.sparkSession)))
+    texts = Texts(d)
+    found = levels(d, texts, Suffixes)
+    names = ["first", "second", "third"]
+
+    def apply(batches):
+        for part, buf, offsets in unpacked(batches):
+            gone = cover(part, names, offsets, WINDOW)
+            yield pa.RecordBatch.from_arrays([part.column("doc"), *finish(buf, offsets, None, offsets, gone)], names=named_out(schema))
+
+    parts = [by_document(t.where("kind = 0")).select("doc", "tag", F.col("whole").alias(name)) for t, name in zip(found, names, strict=True)]
+    rows = texts.joined(*parts).select("doc", "tag", "size", "packed", *names)
+    return rows.mapInArrow(apply, f"doc long, {schema}").select(unident("doc").alias("doc_id"), *named_out(schema)[1:])
 
 
 def repeated_bytes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
