@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.kd import KdPlan, slab
 from ..plans.spec import CubeSpec, ViewSpec
-from . import composite, render
+from . import array_engine, composite, render
 from .render import AXES
 from .view import box_rays, clip, num
+from .view import rects as rectangles_of
 
 
 def previous(voxels: DataFrame, cube: CubeSpec, view: ViewSpec, n: int = 8, rects: bool = False, dynamic: bool = False, kd_plan: KdPlan | None = None) -> DataFrame:
@@ -20,6 +23,46 @@ def previous(voxels: DataFrame, cube: CubeSpec, view: ViewSpec, n: int = 8, rect
     return render.mip(render.nearest(render.samples(r, ("u", "v")), voxels))
 
 
+@dataclass(frozen=True)
+class Step:
+    """One system on the way from the older to the newer one."""
+
+    rects: bool = False
+    tree: bool = False
+    two_stage: bool = False
+    dynamic: bool = False
+
+
+#: Each step adds one change: rectangles, k-d bricks, the merge in two stages, the sample in each crossed voxel.
+LADDER = (Step(), Step(True), Step(True, True), Step(True, True, True), Step(True, True, True, True))
+
+
+def ladder(blocks: dict[bool, DataFrame], plans: dict[bool, KdPlan], cube: CubeSpec, view: ViewSpec, gpus: int = 2) -> DataFrame:
+    """step, rays, samples, merge_rows, bytes, pixels, total of every step. blocks and plans: by whether they come from the k-d tree.
+
+    merge_rows: what the server merges. bytes: messages to it, four a pixel; without rectangles each is a whole frame."""
+    spark = blocks[True].sparkSession
+    out = None
+    for i, step in enumerate(LADDER):
+        parts = array_engine.cast(blocks[step.tree], cube, [view], mode="exact" if step.dynamic else "fixed", rectangles=step.rects)
+        worker = F.expr(f"int(brick div {gpus})") if step.two_stage else F.col("brick")
+        sent = parts.groupBy(worker.alias("worker"), "u", "v").agg(F.max("val").alias("val"), F.sum("samples").alias("samples"))
+        frame = sent.groupBy("u", "v").agg(F.max("val").alias("val"), F.count("*").alias("rows"), F.sum("samples").alias("samples"))
+        facts = frame.agg(F.sum("samples").alias("samples"), F.sum("rows").alias("merge_rows"), F.count("*").alias("pixels"), F.sum("val").alias("total"))
+        table = plans[step.tree].frame(spark)
+        if step.rects:
+            r = rectangles_of(table, view, cube)
+            area = (F.col("u1") - F.col("u0")) * (F.col("v1") - F.col("v0"))
+            mine = r.withColumn("node", worker).groupBy("node").agg(F.min("u0").alias("u0"), F.max("u1").alias("u1"), F.min("v0").alias("v0"), F.max("v1").alias("v1"))
+            cost = r.agg(F.sum(area).alias("rays")).crossJoin(mine.agg((F.sum(area) * 4).alias("bytes")))
+        else:
+            pixels = view.width * view.height
+            cost = table.agg((F.count("*") * pixels).alias("rays"), (F.count("*") * pixels * 4).alias("bytes"))
+        row = facts.crossJoin(cost).select(F.lit(i).alias("step"), "rays", "samples", "merge_rows", "bytes", "pixels", "total")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 def slices(voxels: DataFrame, axis: str, lo: int, hi: int, levels: int = 8) -> DataFrame:
     """Frame-by-frame 2-D views, filled contours: k, u, w, bucket."""
     a, b = [c for c in AXES if c != axis]
@@ -41,6 +84,15 @@ def pyramid(voxels: DataFrame, k: int = 1, agg: str = "mean") -> DataFrame:
     return g.agg((F.expr(f"sum(v) div {f ** 3}") if agg == "mean" else F.max("v")).alias("v"))
 
 
+def pyramid_error(voxels: DataFrame, k: int) -> DataFrame:
+    """What the projection of a mean pyramid loses along z: pixels, those that fade to under half, mean and largest loss."""
+    f = 1 << k
+    fine = voxels.groupBy(F.expr(f"x div {f}").alias("x"), F.expr(f"y div {f}").alias("y")).agg(F.max("v").alias("fine"))
+    coarse = pyramid(voxels, k).groupBy("x", "y").agg(F.max("v").alias("coarse"))
+    d = F.col("fine") - F.col("coarse")
+    return fine.join(coarse, ["x", "y"]).agg(F.count("*").alias("pixels"), F.count_if(F.col("coarse") * 2 < F.col("fine")).alias("faded"), F.round(F.avg(d), 4).alias("mae"), F.max(d).alias("maxabs"))
+
+
 def splat(voxels: DataFrame, cube: CubeSpec, view: ViewSpec) -> DataFrame:
     """Object order: each voxel is drawn over the pixels whose centres lie in its projected box; max. A voxel's footprint is a few pixels."""
     from .view import projected

@@ -27,6 +27,19 @@ def bucket(value: Column, lo: Column, hi: Column, n: int, stretch: str = "linear
     return F.coalesce(F.greatest(F.lit(0), F.least(F.lit(n - 1), b)), F.lit(0)).cast("int")
 
 
+def ranks(frame: DataFrame, n: int = 16) -> DataFrame:
+    """One row lo, hi, edges: the values at which n equal shares of the frame's pixels end; n - 1 numbers, whatever the frame."""
+    shares = F.percentile("val", F.array(*[F.lit(i / n) for i in range(1, n)]))
+    return frame.agg(F.min("val").alias("lo"), F.max("val").alias("hi"), shares.alias("edges"))
+
+
+def apply_ranks(frame: DataFrame, cmap: str = "heat", n: int = 16) -> DataFrame:
+    """u, v, val, bucket, r, g, b with the percentile stretch: a pixel's bucket is the number of shares that end at or below its value."""
+    f = frame.crossJoin(F.broadcast(ranks(frame, n).select("edges")))
+    f = f.withColumn("bucket", F.size(F.filter("edges", lambda e: e <= F.col("val")))).drop("edges")
+    return f.join(F.broadcast(table(frame.sparkSession, cmap, n)), "bucket").select("u", "v", "val", "bucket", "r", "g", "b")
+
+
 def apply(frame: DataFrame, limits: DataFrame, cmap: str = "heat", n: int = 16, stretch: str = "linear") -> DataFrame:
     """u, v, val, bucket, r, g, b. limits: one row lo, hi."""
     colours = table(frame.sparkSession, cmap, n)

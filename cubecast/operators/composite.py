@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 import zlib
 
 import numpy as np
@@ -48,13 +49,20 @@ def tiles(node_images: DataFrame, view: ViewSpec, across: int = 4) -> DataFrame:
     return t.groupBy("tile", "u", "v").agg(F.max("val").alias("val")).select("u", "v", "val")
 
 
+#: A pixel that no partial covers. Pixels travel as four bytes each.
+BLANK = np.iinfo(np.int32).min
+
+
 def pack(node_images: DataFrame, node_rects: DataFrame) -> DataFrame:
-    """One message a node: its rectangle and the clipped buffer, background included. Bounded by the frame."""
+    """One message a node: its rectangle and the clipped buffer, ``PIXEL_BYTES`` a pixel, uncovered pixels included. Bounded by the frame.
+    Values must fit four bytes; a job with others fails rather than sends wrong pixels."""
 
     def dense(table: pa.Table) -> pa.Table:
         c = {n: table.column(n).to_numpy() for n in ("node", "u0", "u1", "v0", "v1", "u", "v", "val")}
+        if (c["val"] <= BLANK).any() or (c["val"] > np.iinfo(np.int32).max).any():
+            raise OverflowError("a pixel's value needs more than four bytes")
         box = [int(c[n][0]) for n in ("node", "u0", "u1", "v0", "v1")]
-        buf = np.zeros((box[2] - box[1], box[4] - box[3]), np.int64)
+        buf = np.full((box[2] - box[1], box[4] - box[3]), BLANK, "<i4")
         buf[c["u"] - box[1], c["v"] - box[3]] = c["val"]
         return pa.Table.from_arrays([*(pa.array([b], pa.int32()) for b in box), pa.array([buf.tobytes()], pa.binary())], names=["node", "u0", "u1", "v0", "v1", "data"])
 
@@ -63,63 +71,89 @@ def pack(node_images: DataFrame, node_rects: DataFrame) -> DataFrame:
 
 
 def unpack(messages: DataFrame) -> DataFrame:
-    """node, u, v, val of the pixels in each message."""
+    """node, u, v, val of the covered pixels in each message."""
 
     def rows(batches):
         for batch in batches:
             for m in batch.to_pylist():
-                buf = np.frombuffer(m["data"], np.int64).reshape(m["u1"] - m["u0"], m["v1"] - m["v0"])
-                u, v = np.nonzero(buf)
+                buf = np.frombuffer(m["data"], "<i4").reshape(m["u1"] - m["u0"], m["v1"] - m["v0"])
+                u, v = np.nonzero(buf != BLANK)
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.full(len(u), m["node"], np.int32)), pa.array((u + m["u0"]).astype(np.int32)), pa.array((v + m["v0"]).astype(np.int32)), pa.array(buf[u, v])], ["node", "u", "v", "val"]
+                    [pa.array(np.full(len(u), m["node"], np.int32)), pa.array((u + m["u0"]).astype(np.int32)), pa.array((v + m["v0"]).astype(np.int32)), pa.array(buf[u, v].astype(np.int64))], ["node", "u", "v", "val"]
                 )
 
     return messages.mapInArrow(rows, "node int, u int, v int, val long")
 
 
+def encode_buffer(data: bytes, kind: str) -> bytes:
+    a = np.frombuffer(data, "<i4")
+    if kind == "zlib":
+        return zlib.compress(data, 1)
+    if kind == "sparse":
+        at = np.flatnonzero(a != BLANK).astype("<i4")
+        return np.int32(len(at)).tobytes() + at.tobytes() + a[at].tobytes()
+    first = np.concatenate([[0], np.flatnonzero(a[1:] != a[:-1]) + 1])
+    return np.int32(len(first)).tobytes() + np.diff(np.append(first, len(a))).astype("<i4").tobytes() + a[first].tobytes()
+
+
+def decode_buffer(data: bytes, size: int, kind: str) -> bytes:
+    if kind == "zlib":
+        return zlib.decompress(data)
+    n = int(np.frombuffer(data[:4], "<i4")[0])
+    places, values = np.frombuffer(data[4 : 4 + 4 * n], "<i4"), np.frombuffer(data[4 + 4 * n :], "<i4")
+    if kind == "rle":
+        return np.repeat(values, places).tobytes()
+    out = np.full(size, BLANK, "<i4")
+    out[places] = values
+    return out.tobytes()
+
+
 def encoded(messages: DataFrame, kind: str = "zlib") -> DataFrame:
-    """Messages with their buffer encoded: zlib, sparse (places and values of the foreground) or rle (runs along the buffer)."""
-
-    def code(data: bytes) -> bytes:
-        a = np.frombuffer(data, np.int64)
-        if kind == "zlib":
-            return zlib.compress(data, 1)
-        if kind == "sparse":
-            at = np.flatnonzero(a).astype(np.int32)
-            return np.int32(len(at)).tobytes() + at.tobytes() + a[at].tobytes()
-        cut = np.flatnonzero(np.diff(a)) + 1
-        first = np.concatenate([[0], cut])
-        return np.int32(len(first)).tobytes() + np.diff(np.append(first, len(a))).astype(np.int32).tobytes() + a[first].tobytes()
+    """Messages with their buffer encoded: zlib, sparse (places and values of covered pixels) or rle (runs along the buffer)."""
 
     def run(batches):
         for batch in batches:
-            data = [code(x) for x in batch.column("data").to_pylist()]
+            data = [encode_buffer(x, kind) for x in batch.column("data").to_pylist()]
             yield batch.set_column(batch.schema.get_field_index("data"), "data", pa.array(data, pa.binary()))
 
     return messages.mapInArrow(run, messages.schema)
 
 
 def decoded(messages: DataFrame, kind: str = "zlib") -> DataFrame:
-    def back(data: bytes, size: int) -> bytes:
-        if kind == "zlib":
-            return zlib.decompress(data)
-        n = int(np.frombuffer(data[:4], np.int32)[0])
-        places, values = np.frombuffer(data[4 : 4 + 4 * n], np.int32), np.frombuffer(data[4 + 4 * n :], np.int64)
-        if kind == "rle":
-            return np.repeat(values, places).tobytes()
-        out = np.zeros(size, np.int64)
-        out[places] = values
-        return out.tobytes()
-
     def run(batches):
         for batch in batches:
-            rows = batch.to_pylist()
-            data = [back(r["data"], (r["u1"] - r["u0"]) * (r["v1"] - r["v0"])) for r in rows]
+            data = [decode_buffer(r["data"], (r["u1"] - r["u0"]) * (r["v1"] - r["v0"]), kind) for r in batch.to_pylist()]
             yield batch.set_column(batch.schema.get_field_index("data"), "data", pa.array(data, pa.binary()))
 
     return messages.mapInArrow(run, messages.schema)
 
 
+def encoding_cost(messages: DataFrame, kinds: tuple[str, ...] = ("rle", "sparse", "zlib"), repeat: int = 20) -> DataFrame:
+    """node, kind, raw, bytes, encode_ms, decode_ms: what an encoding saves of a message and what it costs in CPU time, as the median of some runs."""
+
+    def run(batches):
+        def ms(f):
+            times = []
+            for _ in range(repeat):
+                t = time.process_time_ns()
+                out = f()
+                times.append(time.process_time_ns() - t)
+            return out, sorted(times)[repeat // 2] / 1e6
+
+        for batch in batches:
+            rows = []
+            for m in batch.to_pylist():
+                size = (m["u1"] - m["u0"]) * (m["v1"] - m["v0"])
+                for kind in kinds:
+                    code, there = ms(lambda m=m, kind=kind: encode_buffer(m["data"], kind))
+                    _, back = ms(lambda code=code, size=size, kind=kind: decode_buffer(code, size, kind))
+                    rows.append((m["node"], kind, len(m["data"]), len(code), there, back))
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in zip(*rows, strict=True)], ["node", "kind", "raw", "bytes", "encode_ms", "decode_ms"])
+
+    return messages.mapInArrow(run, "node long, kind string, raw long, bytes long, encode_ms double, decode_ms double")
+
+
 def runs(filled: DataFrame) -> DataFrame:
     """Run lengths along scan lines of a filled frame: v, start, length, val (gaps and islands)."""
     g = filled.withColumn("island", F.col("u") - F.row_number().over(Window.partitionBy("v", "val").orderBy("u")))

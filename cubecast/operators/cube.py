@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..plans.spec import CubeSpec
+from ..plans.spec import VEC, CubeSpec
 
 AXES = ("x", "y", "z")
 
@@ -127,7 +127,13 @@ def particle_scaled(spark: SparkSession, sf_dir: str, mode: str = "nearest") ->
     return resample(particle(spark, sf_dir), CubeSpec("particle", (32, 32, 32)), (81, 81, 81), mode)
 
 
-BUILDERS = {"survey": survey, "wide": wide, "particle": particle, "survey_scaled": survey_scaled, "particle_scaled": particle_scaled}
+def vec(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Vectors as particles: their first three components in grid units."""
+    rows = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("embedding")
+    return cloud(rows, [(F.col("embedding")[i].cast("double") + 1.0) * 16.0 for i in range(3)], VEC)
+
+
+BUILDERS = {"vec": vec, "survey": survey, "wide": wide, "particle": particle, "survey_scaled": survey_scaled, "particle_scaled": particle_scaled}
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

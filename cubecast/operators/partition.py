@@ -19,22 +19,37 @@ def tree_case(tree) -> Column:
     return F.when(F.col(AXES[axis]) < at, tree_case(low)).otherwise(tree_case(high))
 
 
+def crown(tree, leaves: int) -> tuple[list, object]:
+    """The cuts of the first levels, down to at most ``leaves`` subtrees: (subtrees, tree over their numbers)."""
+    subtrees = [tree]
+    while True:
+        wider = [x for t in subtrees for x in (t[2:] if not isinstance(t, int) else (t,))]
+        if len(wider) > leaves or wider == subtrees:
+            break
+        subtrees = wider
+    number = {id(t) if not isinstance(t, int) else t: i for i, t in enumerate(subtrees)}
+
+    def top(t):
+        key = id(t) if not isinstance(t, int) else t
+        return number[key] if key in number else (t[0], t[1], top(t[2]), top(t[3]))
+
+    return subtrees, top(tree)
+
+
+def leaves_of(tree) -> list[int]:
+    return [tree] if isinstance(tree, int) else leaves_of(tree[2]) + leaves_of(tree[3])
+
+
 def assign(voxels: DataFrame, plan: KdPlan) -> DataFrame:
-    """voxels with their brick. Small plans: comparisons in generated code. Larger ones: a bucket of the coarse grid, an equi-join with the
-    bricks that touch the bucket, and the box test as the rest; never a nested loop over voxels."""
+    """voxels with their brick. Small plans: comparisons in generated code. Larger ones: comparisons down to at most ``INLINE_LEAVES`` subtrees,
+    then an equi-join with the subtree's bricks, one row a brick, and the box test as the rest; never a nested loop over all bricks."""
     if len(plan) <= INLINE_LEAVES:
         return voxels.withColumn("brick", tree_case(plan.tree))
-    steps = [max(1, min(b.box[2 * i + 1] - b.box[2 * i] for b in plan.bricks)) for i in range(3)]
-    rows = [
-        (i, j, k, b.brick, *b.box)
-        for b in plan.bricks
-        for i in range(b.box[0] // steps[0], (b.box[1] - 1) // steps[0] + 1)
-        for j in range(b.box[2] // steps[1], (b.box[3] - 1) // steps[1] + 1)
-        for k in range(b.box[4] // steps[2], (b.box[5] - 1) // steps[2] + 1)
-    ]
-    table = voxels.sparkSession.createDataFrame(rows, "bi int, bj int, bk int, brick int, x0 int, x1 int, y0 int, y1 int, z0 int, z1 int")
-    keyed = voxels.select("*", *[F.expr(f"int({a} div {s})").alias(n) for a, s, n in zip(AXES, steps, ("bi", "bj", "bk"), strict=True)])
-    return keyed.join(F.broadcast(table), ["bi", "bj", "bk"]).where("x >= x0 and x < x1 and y >= y0 and y < y1 and z >= z0 and z < z1").select(*voxels.columns, "brick")
+    subtrees, top = crown(plan.tree, INLINE_LEAVES)
+    rows = [(i, b, *plan.bricks[b].box) for i, t in enumerate(subtrees) for b in leaves_of(t)]
+    table = voxels.sparkSession.createDataFrame(rows, "part int, brick int, x0 int, x1 int, y0 int, y1 int, z0 int, z1 int")
+    keyed = voxels.withColumn("part", tree_case(top))
+    return keyed.join(F.broadcast(table), "part").where("x >= x0 and x < x1 and y >= y0 and y < y1 and z >= z0 and z < z1").select(*voxels.columns, "brick")
 
 
 def assign_range(voxels: DataFrame, bricks: DataFrame) -> DataFrame:

@@ -144,6 +144,13 @@ def skip_empty(voxels: DataFrame, plan: KdPlan, background: int = 0) -> DataFram
     return plan.frame(voxels.sparkSession).join(busy, "brick", "left_semi")
 
 
+def skipping_frame(voxels: DataFrame, cube: CubeSpec, view: ViewSpec, plan: KdPlan, background: int) -> DataFrame:
+    """The projection of what lies above a background; rays start only in bricks that have any of it."""
+    bright = voxels.where(F.col("v") > background)
+    r = mids(clip(box_rays(skip_empty(voxels, plan, background), view, cube)))
+    return mip(nearest(samples(r, ("u", "v")), bright))
+
+
 # Emission and opacity
 
 

@@ -108,7 +108,15 @@ WIDE = CubeSpec("wide", (27, 27, 16))
 PARTICLE = CubeSpec("particle", (32, 32, 32))
 SURVEY_SCALED = CubeSpec("survey_scaled", (80, 80, 36))
 PARTICLE_SCALED = CubeSpec("particle_scaled", (81, 81, 81))
+#: Points in the space of the first three vector components, [-1, 1) on each axis.
+VEC = CubeSpec("vec", (32, 32, 32))
 CUBES = {c.name: c for c in (SURVEY, WIDE, PARTICLE, SURVEY_SCALED, PARTICLE_SCALED)}
+
+
+def spec_of(name: str) -> CubeSpec:
+    return VEC if name == "vec" else CUBES[name]
+
+
 # The published datasets, dimensions and size in GB.
 PUBLISHED = {
     "particle": ((1024, 1024, 1024), 4.0),

@@ -1,4 +1,5 @@
-"""A data source of raw brick files: one file a brick, a JSON header line, then little-endian int64 values; one partition a brick."""
+"""A data source of raw block files: one file a block of a brick, a JSON header line (box, ghost layer, value form), then the values; one partition a file.
+Paths are of a file system that the driver and all tasks have mounted."""
 
 from __future__ import annotations
 
@@ -11,6 +12,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
+from ..operators.array_engine import blank
+
 
 class CubeBin(DataSource):
     @classmethod
@@ -32,17 +35,20 @@ class CubeBinReader(DataSourceReader):
 
     def partitions(self):
         files = sorted(glob.glob(os.path.join(self.path, "brick-*.bin")))
-        number = lambda f: int(os.path.basename(f)[6:-4])
+        number = lambda f: int(os.path.basename(f).split("-")[1])
         return [InputPartition(f) for f in files if self.bricks is None or number(f) in self.bricks]
 
     def read(self, partition):
         with open(partition.value, "rb") as file:
             head = json.loads(file.readline())
             x0, x1, y0, y1, z0, z1 = head["box"]
-            cells = np.frombuffer(file.read(), "<i8").reshape(x1 - x0, y1 - y0, z1 - z0)
-        x, y, z = np.nonzero(cells)
+            ghost = head["ghost"]
+            cells = np.frombuffer(file.read(), head["dtype"]).reshape(x1 - x0 + 2 * ghost, y1 - y0 + 2 * ghost, z1 - z0 + 2 * ghost)
+        own = slice(ghost, -ghost) if ghost else slice(None)
+        cells = cells[own, own, own]
+        x, y, z = np.nonzero(~blank(cells))
         yield pa.RecordBatch.from_arrays(
-            [pa.array(np.full(len(x), head["brick"], np.int32)), pa.array(x + x0), pa.array(y + y0), pa.array(z + z0), pa.array(cells[x, y, z])], ["brick", "x", "y", "z", "v"]
+            [pa.array(np.full(len(x), head["brick"], np.int32)), pa.array(x + x0), pa.array(y + y0), pa.array(z + z0), pa.array(cells[x, y, z].astype(np.int64))], ["brick", "x", "y", "z", "v"]
         )
 
 
@@ -52,8 +58,8 @@ def write(bricks: DataFrame, path: str) -> None:
     def save(rows):
         os.makedirs(path, exist_ok=True)
         for r in rows:
-            head = {"brick": r["brick"], "box": [r[c] for c in ("x0", "x1", "y0", "y1", "z0", "z1")]}
-            with open(os.path.join(path, f"brick-{r['brick']:06d}.bin"), "wb") as file:
+            head = {"brick": r["brick"], "box": [r[c] for c in ("x0", "x1", "y0", "y1", "z0", "z1")], "ghost": r["ghost"], "dtype": r["dtype"]}
+            with open(os.path.join(path, f"brick-{r['brick']:06d}-{r['block']}.bin"), "wb") as file:
                 file.write(json.dumps(head).encode() + b"\n" + bytes(r["data"]))
 
     bricks.foreachPartition(save)

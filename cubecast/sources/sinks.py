@@ -34,11 +34,6 @@ def frame_pgm(frame: DataFrame, width: int, height: int, folder: str, top: int)
     frame.repartitionByRange(4, "v").foreachPartition(band)
 
 
-def write_bricks(bricks: DataFrame, path: str, groups: int = 16) -> None:
-    """Brick rows partitioned by brick group, so that a view reads only the groups it needs."""
-    bricks.withColumn("brick_group", F.col("brick") % groups).write.mode("overwrite").partitionBy("brick_group").parquet(path)
-
-
 def write_bucketed(voxels: DataFrame, table: str, buckets: int = 8) -> None:
     """Voxels bucketed and sorted by brick, for joins without a shuffle."""
     voxels.write.mode("overwrite").bucketBy(buckets, "brick").sortBy("brick", "x", "y", "z").saveAsTable(table)

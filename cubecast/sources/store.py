@@ -21,6 +21,12 @@ def read_spec(spark: SparkSession, path: str) -> CubeSpec:
     return CubeSpec.from_json(spark.read.text(f"{path}/_spec_json").first()[0])
 
 
+def write_blocks(blocks: DataFrame, path: str) -> None:
+    """Block rows by brick group, sorted by their largest value, so that a filter on it skips row groups and one on bricks skips folders."""
+    dealt = blocks.withColumn("brick_group", F.col("brick") % GROUPS).repartition("brick_group").sortWithinPartitions("brick_group", "hi")
+    dealt.write.mode("overwrite").partitionBy("brick_group").parquet(path)
+
+
 def read_bricks(spark: SparkSession, path: str, bricks: list[int] | None = None, schema: str | None = None) -> DataFrame:
     """Brick rows; a list of bricks prunes partitions and row groups."""
     reader = spark.read.schema(schema) if schema else spark.read

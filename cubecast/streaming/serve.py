@@ -10,6 +10,11 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from ..operators import array_engine
+from ..plans.spec import CubeSpec, ViewSpec
+
+#: What a request can choose from.
+ANGLE_STEPS, ZOOMS = 24, 4
 IDLE_MS = 60 * 86_400_000
 # The dialogue of a session: state, message, next state.
 TRANSITIONS = [
@@ -26,8 +31,8 @@ def decode(events: DataFrame) -> DataFrame:
     return events.select(
         F.col("event_id").alias("frame"),
         F.col("user_id").alias("session"),
-        (F.lit(15) * (k % 24)).alias("angle"),
-        (1 + (k % 4) / 2).alias("zoom"),
+        (F.lit(15) * (k % ANGLE_STEPS)).alias("angle"),
+        (1 + (k % ZOOMS) / 2).alias("zoom"),
         F.col("event_type").alias("cmap"),
         "ts",
     )
@@ -35,22 +40,41 @@ def decode(events: DataFrame) -> DataFrame:
 
 def latest(requests: DataFrame) -> DataFrame:
     """Newest request of each session; the larger frame on ties."""
-    return requests.groupBy("session").agg(F.max_by(F.struct("frame", "angle", "zoom", "cmap"), F.struct("ts", "frame")).alias("r")).select("session", "r.*")
+    return requests.groupBy("session").agg(F.max_by(F.struct("frame", "angle", "zoom", "cmap", "ts"), F.struct("ts", "frame")).alias("r")).select("session", "r.*")
+
+
+def drawn(requests: DataFrame, blocks: DataFrame, cube: CubeSpec, side: int) -> DataFrame:
+    """session, frame, angle, ts, u, v, val: the image of each request; one row without a pixel for a blank image.
+
+    Requests choose among ``ANGLE_STEPS`` angles and ``ZOOMS`` zooms, so the views that are asked for are a bounded set: each is cast
+    once, and sessions are joined to the images by their view."""
+    asked = requests.select("angle", "zoom").distinct().collect()
+    views = {(r["angle"], r["zoom"]): ViewSpec(float(r["angle"]), side, side, float(r["zoom"]), frame=i) for i, r in enumerate(asked)}
+    names = requests.sparkSession.createDataFrame([(a, z, v.frame) for (a, z), v in views.items()], "angle int, zoom double, view long")
+    images = array_engine.cast(blocks, cube, list(views.values())).groupBy(F.col("frame").alias("view"), "u", "v").agg(F.max("val").alias("val"))
+    return requests.join(F.broadcast(names), ["angle", "zoom"]).join(images, "view", "left").select("session", "frame", "angle", "ts", "u", "v", "val")
 
 
 def validate(events: DataFrame) -> DataFrame:
-    """user, event, state after it and whether the message was allowed: the automaton folded over the ordered session.
-    A session is bounded by its user's dialogue; long ones go through the stateful stream below."""
-    table = F.create_map(*[F.lit(x) for s, m, n in TRANSITIONS for x in (f"{s}|{m}", n)])
-    g = events.groupBy("user_id").agg(F.array_sort(F.collect_list(F.struct("ts", "event_id", "event_type"))).alias("l"))
-    start = F.struct(F.lit("init").alias("state"), F.array().cast("array<struct<event_id:long,state:string,ok:boolean>>").alias("out"))
-
-    def step(acc, x):
-        nxt = F.try_element_at(table, F.concat_ws("|", acc["state"], x["event_type"]))
-        state = F.coalesce(nxt, acc["state"])
-        return F.struct(state.alias("state"), F.concat(acc["out"], F.array(F.struct(x["event_id"].alias("event_id"), state.alias("state"), nxt.isNotNull().alias("ok")))).alias("out"))
-
-    return g.select("user_id", F.inline(F.aggregate("l", start, step)["out"]))
+    """user_id, event_id, state after it and whether the message was allowed: sessions are sorted next to each other and walked once,
+    batch by batch; what is held is one state, however long a session is."""
+    table = {(s, m): n for s, m, n in TRANSITIONS}
+
+    def walk(frames):
+        state, user = "init", None
+        for frame in frames:
+            after, ok = [], []
+            for u, m in zip(frame["user_id"], frame["event_type"], strict=True):
+                if u != user:
+                    user, state = u, "init"
+                nxt = table.get((state, m))
+                state = nxt or state
+                after.append(state)
+                ok.append(nxt is not None)
+            yield pd.DataFrame({"user_id": frame["user_id"], "event_id": frame["event_id"], "state": after, "ok": ok})
+
+    ordered = events.select("user_id", "ts", "event_id", "event_type").repartition("user_id").sortWithinPartitions("user_id", "ts", "event_id")
+    return ordered.select("user_id", "event_id", "event_type").mapInPandas(walk, "user_id long, event_id long, state string, ok boolean")
 
 
 def alternation(conversations: DataFrame) -> DataFrame:

@@ -3,10 +3,10 @@
 from ..operators import cube, render
 from ..plans.kd import kd
 from ..plans.spec import SURVEY, ViewSpec
-from . import experiments, methods, surface
+from . import experiments, frames, methods, surface
 from .registry import ORACLES, QUERIES
 
-__all__ = ["ORACLES", "QUERIES", "experiments", "flagship", "methods", "surface"]
+__all__ = ["ORACLES", "QUERIES", "experiments", "flagship", "frames", "methods", "surface"]
 
 
 def flagship(spark, sf_dir):

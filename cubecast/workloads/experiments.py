@@ -7,9 +7,9 @@ from pyspark.sql import functions as F
 
 from ..operators import baseline, composite, cube, measure, partition, quant, render, view
 from ..plans import kd
-from ..plans.spec import ANGLES, CUBES, NODES, PUBLISHED, SURVEY, SURVEY_SCALED, ViewSpec
+from ..plans.spec import ANGLES, CUBES, NODES, PUBLISHED, SURVEY, ViewSpec
 from . import sqltext as S
-from .methods import A30, FIXED, UNIT, array_frame, partials, tbl, uniform_sql
+from .methods import A30, EVEN, FIXED, HALF, L1, LINF, UNIT, partials, tbl, uniform_sql
 from .registry import add, query
 
 # Timing
@@ -65,14 +65,13 @@ add(
     f"with {BYN} select cube, round(max(case when nodes = 8 then ms end) / max(case when nodes = 2 then ms end), 6) as ratio from byn group by cube",
 )
 GPU = "pairs as (select angle, max(case when cube = 'view' then ms end) as a, max(case when cube = 'click' then ms end) as b from med group by angle)"
-for name in ("c_gpu", "w4"):
-    add(
-        name,
-        lambda s, sf: measure.reduction(
-            measure.median_runs(runs(s, sf)).groupBy("angle").agg(F.max(F.when(F.col("cube") == "view", F.col("ms"))).alias("a"), F.max(F.when(F.col("cube") == "click", F.col("ms"))).alias("b"))
-        ).select(*[F.round(c, 6).alias(c) for c in ("mean", "least", "most")]),
-        f"{MED}, {GPU} select round(avg(1 - b / a), 6) as mean, round(min(1 - b / a), 6) as least, round(max(1 - b / a), 6) as most from pairs",
-    )
+add(
+    "c_gpu",
+    lambda s, sf: measure.reduction(
+        measure.median_runs(runs(s, sf)).groupBy("angle").agg(F.max(F.when(F.col("cube") == "view", F.col("ms"))).alias("a"), F.max(F.when(F.col("cube") == "click", F.col("ms"))).alias("b"))
+    ).select(*[F.round(c, 6).alias(c) for c in ("mean", "least", "most")]),
+    f"{MED}, {GPU} select round(avg(1 - b / a), 6) as mean, round(min(1 - b / a), 6) as least, round(max(1 - b / a), 6) as most from pairs",
+)
 
 # Communication
 
@@ -98,21 +97,6 @@ add(
 )
 
 
-@query(
-    "c_nm",
-    " union all ".join(
-        f"select * from (with {S.kd_tree(SURVEY.dims, n)}, {S.rects_batch(BATCH, 'survey')} select {n} as nodes, frame, {n} * 16384 as full_bytes, sum({AREA} * 4)::bigint as sent from rect group by frame)" for n in NODES
-    ),
-)
-def _(s, sf):
-    """Bytes of full frames against rectangles, for every node count and angle."""
-    out = None
-    for n in NODES:
-        part = node_rects_batch(s, "survey", n).groupBy("frame").agg(F.sum(F.expr(f"{AREA} * 4L")).alias("sent")).select(F.lit(n).alias("nodes"), "frame", F.lit(n * 16384).alias("full_bytes"), "sent")
-        out = part if out is None else out.unionByName(part)
-    return out
-
-
 add(
     "c_ovl",
     lambda s, sf: composite.depth(view.rects(kd.kd(SURVEY.dims, 16).frame(s), A30, SURVEY)),
@@ -152,19 +136,27 @@ add(
     f"with {S.kd_tree(SURVEY.dims, 16)}, {S.SURVEY} select brick, count(*) * 8 as bytes from vox join leaf on x >= x0 and x < x1 and y >= y0 and y < y1 and z >= z0 and z < z1 group by brick",
 )
 add("c_cic", lambda s, sf: cube.particle(s, sf).agg(F.sum("v").alias("mass")), "select (count(*) * 16777216)::bigint as mass from lineitem")
-for rule, mode, how in (("unit", "uniform", {"rule": "unit"}), ("l1", "uniform", {"rule": "l1"}), ("fixed", "fixed", {"dt": 1.0})):
+for rule, mode, how, n, mid in (("unit", "uniform", {"rule": "unit"}, UNIT, EVEN), ("l1", "uniform", {"rule": "l1"}, L1, EVEN), ("fixed", "fixed", {"dt": 1.0}, "1", FIXED)):
     add(
         f"c_img_{rule}",
-        lambda s, sf, mode=mode, how=how: measure.image_error(render.frame(cube.survey(s, sf), SURVEY, A30), render.frame(cube.survey(s, sf), SURVEY, A30, kd.kd(SURVEY.dims, 1), mode, **how)).drop("psnr"),
-        None
-        if rule == "l1"
-        else f"""with a as ({S.mip(A30, 'survey')}), b as ({uniform_sql(A30, UNIT if rule == 'unit' else '1', 'te + (unnest(range(n)) + 5e-1) * ((tx - te) / n)' if rule == 'unit' else FIXED)}),
+        lambda s, sf, mode=mode, how=how: measure.image_error(render.frame(cube.survey(s, sf), SURVEY, A30), render.frame(cube.survey(s, sf), SURVEY, A30, kd.kd(SURVEY.dims, 1), mode, **how)).withColumn("psnr", F.round("psnr", 4)),
+        f"""with a as ({S.mip(A30, 'survey')}), b as ({uniform_sql(A30, n, mid)}),
 j as (select coalesce(a.val, 0) as a, coalesce(b.val, 0) as b from a full join b on a.u = b.u and a.v = b.v)
-select count(*) filter (a <> b) as differ, round(avg(abs(a - b)), 4) as mae, max(abs(a - b))::bigint as maxabs from j""",
+select count(*) filter (a <> b) as differ, round(avg(abs(a - b)), 4) as mae, max(abs(a - b))::bigint as maxabs, round(10 * log10(max(a)::double * max(a)::double / avg((a - b)::double * (a - b)::double)), 4) as psnr from j""",
     )
 
 
-@query("c_cov")
+def coverage_sql(rule, n):
+    dx, dz = S.d(-A30.sin), S.d(A30.cos)
+    return f"""select '{rule}' as rule, count(*) as crossed, count(*) filter (s.u is null) as missed, round(count(*) filter (s.u is null) / count(*)::double, 6) as share
+from hit h left join (select distinct u, v, floor(ox + t * {dx})::bigint as x, floor(oy)::bigint as y, floor(oz + t * {dz})::bigint as z from (select *, {EVEN} as t from (select px.*, te, tx, {n.format(dx=dx, dz=dz)} as n from ray join px on px.u = ray.u and px.v = ray.v) nn) q) s
+on s.u = h.u and s.v = h.v and s.x = h.x and s.y = h.y and s.z = h.z"""
+
+
+@query(
+    "c_cov",
+    f"with {S.kd_tree(SURVEY.dims, 1)}, {grid_hits(A30)[5:]}, {S.box_hits(A30)} " + " union all ".join(coverage_sql(r, n) for r, n in (("l1", L1), ("linf", LINF), ("unit", UNIT), ("half", HALF))),
+)
 def _(s, sf):
     """Share of crossed voxels that each uniform rule misses."""
     r = render.brick_rays(SURVEY, A30, kd.kd(SURVEY.dims, 1), s)
@@ -176,68 +168,7 @@ def _(s, sf):
     return out
 
 
-# Workloads
-
-SCALED_BATCH = [ViewSpec(a, frame=a) for a in ANGLES]
-add(
-    "w1",
-    lambda s, sf: node_rects_batch(s, "survey_scaled", 64, SCALED_BATCH).groupBy("angle").agg(F.count("*").alias("messages"), F.sum(F.expr(f"bigint{AREA}")).alias("rays"), F.sum(F.expr(f"{AREA} * 4L")).alias("bytes")),
-    f"with {S.kd_tree(SURVEY_SCALED.dims, 64)}, {S.rects_batch(SCALED_BATCH, 'survey_scaled')} select angle, count(*) as messages, sum({AREA})::bigint as rays, sum({AREA} * 4)::bigint as bytes from rect group by angle",
-)
-
-
-@query(
-    "w2",
-    " union all ".join(
-        f"select * from (with {S.kd_tree(spec.dims, n)}, {S.rects_batch([ViewSpec(30)], name)} select '{name}' as cube, {n} as nodes, sum({AREA} * 4)::bigint as bytes, max({AREA})::bigint as largest from rect)"
-        for name, spec in CUBES.items()
-        for n in NODES
-    ),
-)
-def _(s, sf):
-    """Five cubes by node counts: message bytes and the largest worker's rays."""
-    out = None
-    for name, spec in CUBES.items():
-        views = view.views_frame(s, [ViewSpec(30)], spec)
-        table = None
-        for n in NODES:
-            b = kd.kd(spec.dims, n).frame(s).withColumn("nodes", F.lit(n)).withColumn("node", F.col("nodes"))
-            table = b if table is None else table.unionByName(b)
-        part = view.rects_batch(table, views).groupBy(F.col("node").alias("nodes")).agg(F.sum(F.expr(f"{AREA} * 4L")).alias("bytes"), F.max(F.expr(f"bigint{AREA}")).alias("largest")).withColumn("cube", F.lit(name))
-        out = part if out is None else out.unionByName(part)
-    return out.select("cube", "nodes", "bytes", "largest")
-
-
-BIG = ViewSpec(30, 128, 128)
-add("w3", lambda s, sf: composite.final(array_frame(s, sf, BIG, n=16)), S.mip(BIG, "survey"))
-add("w3_relational", lambda s, sf: render.frame(cube.survey(s, sf), SURVEY, BIG), S.mip(BIG, "survey"))
-add(
-    "w6",
-    lambda s, sf: node_rects_batch(s, "particle", 64).groupBy("frame").agg(F.sum(F.expr(f"{AREA} * 4L")).alias("sent")).withColumn("full_bytes", F.lit(64 * 16384)).withColumn("ratio", F.round(F.col("sent") / 16384.0, 6)),
-    f"with {S.kd_tree((32, 32, 32), 64)}, {S.rects_batch(BATCH, 'particle')} select frame, sum({AREA} * 4)::bigint as sent, 1048576 as full_bytes, round(sum({AREA} * 4) / 16384e0, 6) as ratio from rect group by frame",
-)
-
-
-@query(
-    "w7",
-    f"select 0 as step, count(*) as pixels, sum(val)::bigint as total from ({uniform_sql(A30, '1', FIXED)}) union all select 1, count(*), sum(val)::bigint from ({uniform_sql(A30, '1', FIXED)}) union all select 2, count(*), sum(val)::bigint from ({uniform_sql(A30, '1', FIXED)}) union all select 3, count(*), sum(val)::bigint from ({S.mip(A30, 'survey')})",
-)
-def _(s, sf):
-    """The older system, one change at a time: rectangles, then k-d bricks, then the dynamic step."""
-    v = cube.survey(s, sf)
-    steps = [baseline.previous(v, SURVEY, A30), baseline.previous(v, SURVEY, A30, rects=True), baseline.previous(v, SURVEY, A30, rects=True, kd_plan=kd.kd(SURVEY.dims, 8)), baseline.previous(v, SURVEY, A30, rects=True, dynamic=True, kd_plan=kd.kd(SURVEY.dims, 8))]
-    out = None
-    for i, f in enumerate(steps):
-        part = f.agg(F.count("*").alias("pixels"), F.sum("val").alias("total")).select(F.lit(i).alias("step"), "pixels", "total")
-        out = part if out is None else out.unionByName(part)
-    return out
-
-
-for name in ("wide", "particle"):
-    add(f"w8_{name}", lambda s, sf, name=name: composite.final(array_frame(s, sf, ViewSpec(45), name)), S.mip(ViewSpec(45), name))
-for n in (3, 5, 6, 7, 12):
-    add(f"w10_{n}", lambda s, sf, n=n: composite.final(array_frame(s, sf, A30, n=n)).agg(F.count("*").alias("pixels"), F.sum("val").alias("total")), f"select count(*) as pixels, sum(val)::bigint as total from ({S.mip(A30, 'survey')})")
-
+# Workloads (those that render are in ``frames``)
 
 @query("w9", "select cube, (bytes + 12884901887) // 12884901888 as nodes from (values " + ", ".join(f"('{k}', {dims[0] * dims[1] * dims[2] * 4}::bigint)" for k, (dims, _) in PUBLISHED.items()) + ") t(cube, bytes)")
 def _(s, sf):

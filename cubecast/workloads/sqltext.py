@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from ..plans.spec import CUBES, ViewSpec
+from ..plans.spec import CUBES, ViewSpec, spec_of
 
 SURVEY = """m as (select max(l_partkey) + 1 as px, max(l_suppkey) + 1 as sx from lineitem),
 vox as (select (l_partkey * 40) // px as x, (l_suppkey * 40) // sx as y, (date_diff('day', date '1995-01-01', l_shipdate::date) * 18) // 2520 as z,
@@ -31,7 +31,9 @@ def nearest_scaled(base: str, n: int, m: int) -> str:
     return base.replace("vox as (", "vox0 as (") + f", {axis}, vox as (select a.i as x, b.i as y, c.i as z, v from vox0 join g a on a.s = x join g b on b.s = y join g c on c.s = z)"
 
 
-CUBE = {"survey": SURVEY, "wide": WIDE, "particle": cic(), "survey_scaled": scaled(SURVEY, 2), "particle_scaled": nearest_scaled(cic(), 32, 81)}
+VEC = """q as (select floor((embedding[1]::double + 1e0) * 16e0 * 256e0 + 5e-1)::bigint - 128 as qx, floor((embedding[2]::double + 1e0) * 16e0 * 256e0 + 5e-1)::bigint - 128 as qy, floor((embedding[3]::double + 1e0) * 16e0 * 256e0 + 5e-1)::bigint - 128 as qz from embeddings),
+""" + cic().split("from lineitem),\n", 1)[1]
+CUBE = {"survey": SURVEY, "wide": WIDE, "particle": cic(), "survey_scaled": scaled(SURVEY, 2), "particle_scaled": nearest_scaled(cic(), 32, 81), "vec": VEC}
 
 
 def d(x: float) -> str:
@@ -65,7 +67,7 @@ leaf as (select (row_number() over (order by path) - 1)::int as brick, x0::int a
 
 def frame_pixels(view: ViewSpec, cube_name: str) -> str:
     """px(u, v, ox, oy, oz): orthographic rays."""
-    cube = CUBES[cube_name]
+    cube = spec_of(cube_name)
     s, (cx, cy, cz) = view.scale(cube), cube.centre
     right, up = f"((u + 5e-1 - {d(view.width / 2)}) / {d(s)})", f"((v + 5e-1 - {d(view.height / 2)}) / {d(s)})"
     return f"""px as (select u, v, {d(cx)} + {right} * {d(view.cos)} as ox, {d(cy)} + {up} as oy, {d(cz)} + {right} * {d(view.sin)} as oz
@@ -125,6 +127,27 @@ rect0 as (select brick, node, case when bool_and(w > 0) then greatest(floor(min(
 rect as (select * from rect0 where u0 < u1 and v0 < v1)"""
 
 
+def hits_batch(views: list[ViewSpec], cube_name: str) -> str:
+    """hit(frame, u, v, x, y, z, value, te, tx) of many orthographic views on vox."""
+    cube = spec_of(cube_name)
+    cx, cy, cz = cube.centre
+    rows = ", ".join(f"({v.frame}::bigint, {d(v.cos)}, {d(v.sin)}, {d(v.scale(cube))}, {v.width}, {v.height})" for v in views)
+    slab = {a: (f"least(({a} - o{a}) / nullif(d{a}, 0), ({a} + 1 - o{a}) / nullif(d{a}, 0))", f"greatest(({a} - o{a}) / nullif(d{a}, 0), ({a} + 1 - o{a}) / nullif(d{a}, 0))") for a in "xz"}
+    te, tx = f"greatest({slab['x'][0]}, {slab['z'][0]})", f"least({slab['x'][1]}, {slab['z'][1]})"
+    inside = " and ".join(f"(d{a} <> 0 or (o{a} >= {a} and o{a} < {a} + 1))" for a in "xz")
+    return f"""hv(frame, cs, sn, sc, w, h) as (values {rows}),
+hp as (select frame, u, v, {d(cx)} + (u + 5e-1 - w / 2) / sc * cs as ox, {d(cy)} + (v + 5e-1 - h / 2) / sc as oy, {d(cz)} + (u + 5e-1 - w / 2) / sc * sn as oz, -sn as dx, cs as dz
+  from (select *, unnest(range(h))::int as v from (select *, unnest(range(w))::int as u from hv))),
+hit as (select hp.frame, hp.u, hp.v, b.x, b.y, b.z, b.value, {te} as te, {tx} as tx from hp join (select x, y, z, v as value from vox) b on b.y = floor(hp.oy)::bigint where {inside} and {tx} - {te} > 1e-9)"""
+
+
+def rects_of_nodes(view: ViewSpec, cube_name: str, counts) -> str:
+    """rect(n, brick, u0, u1, v0, v1): rectangles of the bricks of several plans."""
+    dims = CUBES[cube_name].dims
+    parts = " union all ".join(f"select * from (with {kd_tree(dims, n)} select {n} as n, brick, x0, x1, y0, y1, z0, z1 from leaf)" for n in counts)
+    return f"boxes as ({parts}), {rects(view, cube_name, boxes='boxes', node='n')}".replace("rect as (select * from rect0", "rect as (select *, node as n from rect0")
+
+
 def rects_batch(views: list[ViewSpec], cube_name: str, boxes: str = "leaf", node: str = "brick") -> str:
     """rect(frame, angle, brick, node, u0, u1, v0, v1) of many views."""
     rows = ", ".join(f"({v.frame}::bigint, {d(v.angle)}, {v.width}, {v.height}, [{', '.join(d(x) for x in v.matrix(CUBES[cube_name]))}])" for v in views)

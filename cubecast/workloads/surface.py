@@ -2,8 +2,7 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
+import time
 import uuid
 
 from pyspark.sql import Window
@@ -16,19 +15,13 @@ from ..plans.spec import SURVEY, ViewSpec
 from ..sources import cubebin, sinks, store
 from ..streaming import serve
 from . import sqltext as S
-from .methods import A30, partials, tbl
+from .methods import A30, MESSAGE, NODEHIT, partials, scratch, tbl
 from .registry import add, query
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 VOX = f"with {S.SURVEY}"
 
 
-def scratch(s) -> str:
-    """A folder that all executors share, if the session names one."""
-    base = s.conf.get("spark.checkpoint.dir", None) or os.path.join(tempfile.gettempdir(), "cubecast-scratch")
-    return f"{base}/{uuid.uuid4().hex}"
-
-
 def shared_path(s) -> str:
     """The same as a plain path, for writers that use files; refused where the shared folder is an object store."""
     path = scratch(s).removeprefix("file://").removeprefix("file:")
@@ -59,6 +52,16 @@ def v(s, sf):
     return cube.survey(s, sf)
 
 
+def nearest_centroid(vectors):
+    """label, nearest, n: how many vectors of a label lie nearest to the mean of which label. Centroids are one row a label."""
+    parts = vectors.select("label", F.posexplode("embedding").alias("i", "x"))
+    mean = parts.groupBy("label", "i").agg(F.avg(F.col("x").cast("double")).alias("m"))
+    centres = mean.groupBy(F.col("label").alias("centre")).agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "m"))), lambda p: p["m"]).alias("c"))
+    gap = F.zip_with("embedding", "c", lambda x, m: (x.cast("double") - m) * (x.cast("double") - m))
+    d = vectors.select("vec_id", "label", "embedding").crossJoin(F.broadcast(centres)).withColumn("d", F.round(F.aggregate(gap, F.lit(0.0), lambda a, x: a + x), 9))
+    return d.groupBy("vec_id", "label").agg(F.min_by("centre", F.struct("d", "centre")).alias("nearest")).groupBy("label", "nearest").agg(F.count("*").alias("n"))
+
+
 # Scans and filters
 add("e_scan_prune", lambda s, sf: tbl(s, sf, "lineitem").where("l_shipdate >= timestamp_ntz'1998-01-01' and l_shipdate < timestamp_ntz'1998-02-01'").select("l_orderkey", "l_quantity", "l_shipdate"), "select l_orderkey, l_quantity, l_shipdate from lineitem where l_shipdate >= '1998-01-01' and l_shipdate < '1998-02-01'")
 for fmt in ("csv", "json", "orc", "parquet"):
@@ -98,7 +101,15 @@ add("e_join_bcast", lambda s, sf: partition.assign(v(s, sf), kd.kd(SURVEY.dims,
 LO = "select o_orderpriority, count(*) as n from lineitem join orders on l_orderkey = o_orderkey group by o_orderpriority"
 for hint in ("shuffle_hash", "merge"):
     add("e_join_shj" if hint == "shuffle_hash" else "e_join_smj", lambda s, sf, h=hint: tbl(s, sf, "lineitem").select("l_orderkey").join(tbl(s, sf, "orders").hint(h), F.expr("l_orderkey = o_orderkey")).groupBy("o_orderpriority").agg(F.count("*").alias("n")), LO)
-add("e_join_nl_theta", lambda s, sf: (lambda r: r.alias("a").join(F.broadcast(r).alias("b"), F.expr("a.brick < b.brick and a.u0 < b.u1 and b.u0 < a.u1 and a.v0 < b.v1 and b.v0 < a.v1")).selectExpr("a.brick a", "b.brick b"))(view.rects(kd.kd(SURVEY.dims, 16).frame(s), A30, SURVEY)), f"with {S.kd_tree(SURVEY.dims, 16)}, {S.rects(A30, 'survey')} select p.brick as a, q.brick as b from rect p join rect q on p.brick < q.brick and p.u0 < q.u1 and q.u0 < p.u1 and p.v0 < q.v1 and q.v0 < p.v1")
+add(
+    "e_join_nl_theta",
+    lambda s, sf: s.range(64 * 64)
+    .selectExpr("int(id % 64) u", "int(id div 64) v")
+    .join(F.broadcast(view.rects(kd.kd(SURVEY.dims, 16).frame(s), A30, SURVEY)), F.expr("u >= u0 and u < u1 and v >= v0 and v < v1"))
+    .groupBy("u", "v")
+    .agg(F.count("*").alias("layers")),
+    f"with {S.kd_tree(SURVEY.dims, 16)}, {S.rects(A30, 'survey')} select u, v, count(*) as layers from (select unnest(range(64))::int as u), (select unnest(range(64))::int as v), rect where u >= u0 and u < u1 and v >= v0 and v < v1 group by u, v",
+)
 add("e_join_range", lambda s, sf: tbl(s, sf, "events").select("event_id", "value", F.floor(F.col("value") / 10).alias("band")).join(F.broadcast(s.range(60).select(F.col("id").alias("band"), (F.col("id") * 10 + 2.0).alias("lo"), (F.col("id") * 10 + 7.0).alias("hi"))), "band").where("value >= lo and value < hi").groupBy("band").agg(F.count("*").alias("n")), "select floor(value / 10)::bigint as band, count(*) as n from events where value - floor(value / 10) * 10 >= 2 and value - floor(value / 10) * 10 < 7 and value < 600 group by 1")
 both("e_join_interval", "select p.event_id as purchase, count(*) as clicks from events p join events c on p.user_id = c.user_id and c.ts <= p.ts and c.ts >= p.ts - interval '1' hour where p.event_type = 'purchase' and c.event_type = 'click' group by p.event_id")
 
@@ -116,7 +127,19 @@ add("e_join_anti", lambda s, sf: tbl(s, sf, "documents").select("doc_id", "lang"
 add("e_join_outer", lambda s, sf: render.axis_frame(v(s, sf), SURVEY, ViewSpec(0)).withColumnRenamed("val", "a").join(render.axis_frame(v(s, sf), SURVEY, ViewSpec(180)).withColumnRenamed("val", "b"), ["u", "v"], "full_outer").select("u", "v", F.coalesce("a", F.lit(0)).alias("a"), F.coalesce("b", F.lit(0)).alias("b")), f"with a as ({S.mip(ViewSpec(0), 'survey')}), b as ({S.mip(ViewSpec(180), 'survey')}) select coalesce(a.u, b.u) as u, coalesce(a.v, b.v) as v, coalesce(a.val, 0) as a, coalesce(b.val, 0) as b from a full join b on a.u = b.u and a.v = b.v")
 both("e_join_self", "select a.y, max(a.m) as along_z, max(b.m) as along_x from (select x, y, max(v) as m from vox group by x, y) a join (select z, y, max(v) as m from vox group by z, y) b on a.y = b.y group by a.y")
 add("e_join_cross", lambda s, sf: kd.kd(SURVEY.dims, 8).frame(s).select("brick").crossJoin(F.broadcast(s.range(24).select((F.col("id") * 15).alias("angle")))), "select brick::int as brick, angle * 15 as angle from (select unnest(range(8)) as brick), (select unnest(range(24)) as angle)")
-both("e_join_lateral", "select r.r_name, t.n_name from region r, lateral (select n_name from nation n where n.n_regionkey = r.r_regionkey order by n_name limit 2) t")
+
+
+@query(
+    "e_join_lateral",
+    f"with {S.kd_tree(SURVEY.dims, 8)}, {S.SURVEY}, own as (select vox.*, brick from vox join leaf on vox.x >= x0 and vox.x < x1 and vox.y >= y0 and vox.y < y1 and vox.z >= z0 and vox.z < z1) select b.brick, t.x, t.y, t.z, t.v from (select distinct brick from own) b, lateral (select x, y, z, v from own o where o.brick = b.brick order by v desc, x, y, z limit 2) t",
+)
+def _(s, sf):
+    """The two brightest voxels of each brick."""
+    partition.assign(v(s, sf), kd.kd(SURVEY.dims, 8)).createOrReplaceTempView("own")
+    kd.kd(SURVEY.dims, 8).frame(s).createOrReplaceTempView("bricks")
+    return s.sql("select b.brick, t.x, t.y, t.z, t.v from bricks b, lateral (select x, y, z, v from own o where o.brick = b.brick order by v desc, x, y, z limit 2) t")
+
+
 both("e_join_star", "select r_name, p_brand, round(sum(l_extendedprice * (1 - l_discount)), 2) as revenue from lineitem join orders on l_orderkey = o_orderkey join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey join part on l_partkey = p_partkey group by r_name, p_brand")
 # Aggregates
 both("e_agg_two_stage", "select x, y, max(m) as m from (select x, y, z % 4 as node, max(v) as m from vox group by x, y, z % 4) t group by x, y")
@@ -158,7 +181,11 @@ both("e_str_core", "select p_partkey, upper(trim(p_name)) as n, lpad(cast(p_size
 both("e_str_regex", "select doc_id, len(regexp_extract_all(text, '[0-9]+')) as numbers, regexp_matches(text, '(?i)license') as licence from documents", "select doc_id, regexp_count(text, '[0-9]+') as numbers, text rlike '(?i)license' as licence from documents")
 both("e_str_url", "select page_id, regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) as host, regexp_extract(url, '^[a-z]+://[^/?#]+([^?#]*)', 1) as path from pages")
 both("e_html_text", r"select page_id, regexp_extract(html, '<title>([^<]*)</title>', 1) as title, length(regexp_replace(html, '<[^>]*>', ' ', 'g')) as n from pages", r"select page_id, regexp_extract(html, '<title>([^<]*)</title>', 1) as title, length(regexp_replace(html, '<[^>]*>', ' ')) as n from pages")
-both("e_str_lev", "select a.p_partkey as a, b.p_partkey as b, levenshtein(a.p_name, b.p_name) as d from part a join part b on b.p_partkey = a.p_partkey + 1")
+both(
+    "e_str_lev",
+    "select item_id, doc_id, levenshtein(a, b) as d from (select item_id, doc_id, regexp_replace(substr(k.text, 1, 24), '[^ -~]', '?', 'g') as a, regexp_replace(substr(d.text, 1, 24), '[^ -~]', '?', 'g') as b from benchmark k join documents d on d.doc_id = k.item_id) t",
+    "select item_id, doc_id, levenshtein(a, b) as d from (select item_id, doc_id, regexp_replace(substr(k.text, 1, 24), '[^ -~]', '?') as a, regexp_replace(substr(d.text, 1, 24), '[^ -~]', '?') as b from benchmark k join documents d on d.doc_id = k.item_id) t",
+)
 add("e_date_core", lambda s, sf: tbl(s, sf, "orders").select("o_orderkey", F.datediff("o_orderdate", F.lit("1995-01-01").cast("date")).alias("day"), F.month("o_orderdate").alias("m"), F.dayofweek("o_orderdate").alias("dow"), F.date_format("o_orderdate", "yyyy-MM").alias("ym"), F.quarter("o_orderdate").alias("q")), "select o_orderkey, date_diff('day', date '1995-01-01', o_orderdate::date) as day, month(o_orderdate) as m, dayofweek(o_orderdate) + 1 as dow, strftime(o_orderdate, '%Y-%m') as ym, quarter(o_orderdate) as q from orders")
 add("e_date_interval", lambda s, sf: tbl(s, sf, "events").withColumn("u", F.unix_micros(F.col("ts").cast("timestamp"))).select("event_id", (F.col("u") - F.lag("u").over(Window.partitionBy("user_id").orderBy("u", "event_id"))).alias("gap")), "select event_id, epoch_us(ts) - lag(epoch_us(ts)) over (partition by user_id order by ts, event_id) as gap from events")
 both("e_math_core", "select event_id, floor(value) as f, ceil(value) as c, round(sqrt(value), 6) as s, round(power(value, 2), 4) as p, round(ln(value + 1), 6) as l, greatest(value, 10.0) as g, sign(value - 20) as sg, abs(value - 20) as a from events", "select event_id, floor(value) as f, ceil(value) as c, round(sqrt(value), 6) as s, round(power(value, 2), 4) as p, round(ln(value + 1), 6) as l, greatest(value, 10.0D) as g, sign(value - 20) as sg, abs(value - 20) as a from events")
@@ -166,13 +193,36 @@ both("e_math_bits", "select x, y, x & y as a, x | y as o, xor(x, y) as e, x << 3
 add("e_arr_hof", lambda s, sf: tbl(s, sf, "embeddings").select("vec_id", F.round(F.aggregate(F.transform("embedding", lambda x: x.cast("double") * x.cast("double")), F.lit(0.0), lambda a, x: a + x), 5).alias("sq"), F.size(F.filter("embedding", lambda x: x > 0)).alias("pos"), F.array_max("embedding").cast("double").alias("top"), F.exists("embedding", lambda x: x > 0.3).alias("big")), "select vec_id, round(list_sum(list_transform(embedding, lambda x: x::double * x::double)), 5) as sq, len(list_filter(embedding, lambda x: x > 0))::int as pos, list_max(embedding)::double as top, len(list_filter(embedding, lambda x: x > 3e-1)) > 0 as big from embeddings")
 add("e_arr_explode", lambda s, sf: tbl(s, sf, "embeddings").select("vec_id", F.posexplode("embedding").alias("i", "x")).where("i < 3").groupBy("vec_id").agg(F.round(F.sum(F.col("x").cast("double") * (F.col("i") + 1)), 6).alias("t")), "select vec_id, round(embedding[1]::double + embedding[2]::double * 2 + embedding[3]::double * 3, 6) as t from embeddings")
 add("e_vec_norm", lambda s, sf: tbl(s, sf, "embeddings").select("label", F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x).alias("q")).groupBy("label").agg(F.count("*").alias("n"), F.round(F.avg(F.sqrt("q")), 4).alias("norm")), "select label, count(*) as n, round(avg(sqrt(list_sum(list_transform(embedding, lambda x: x::double * x::double)))), 4) as norm from embeddings group by label")
+add(
+    "e_vec_nearest",
+    lambda s, sf: nearest_centroid(tbl(s, sf, "embeddings")),
+    """with e as (select vec_id, label, unnest(embedding)::double as x, generate_subscripts(embedding, 1) as i from embeddings), c as (select label as centre, i, avg(x) as m from e group by 1, 2),
+d as (select e.vec_id, e.label, centre, round(sum((x - m) * (x - m)), 9) as d from e join c on c.i = e.i group by 1, 2, 3), n as (select vec_id, label, arg_min(centre, (d, centre)) as nearest from d group by 1, 2) select label, nearest, count(*) as n from n group by 1, 2""",
+)
 add("e_map_core", lambda s, sf: tbl(s, sf, "events").groupBy("user_id").agg(F.map_from_entries(F.array_sort(F.collect_set(F.struct("event_type", F.lit(1))))).alias("m")).select("user_id", F.size(F.map_keys("m")).alias("kinds"), F.map_contains_key("m", "view").alias("viewed")), "select user_id, count(distinct event_type)::int as kinds, bool_or(event_type = 'view') as viewed from events group by user_id")
 add("e_struct_core", lambda s, sf: kd.kd(SURVEY.dims, 8).frame(s).select("brick", F.struct(F.struct("x0", "y0", "z0").alias("lo"), F.struct("x1", "y1", "z1").alias("hi")).alias("box")).select("brick", F.col("box.lo.x0").alias("x0"), (F.col("box.hi.z1") - F.col("box.lo.z0")).alias("depth")), f"with {S.kd_tree(SURVEY.dims, 8)} select brick, x0, z1 - z0 as depth from leaf")
 add("e_json_core", lambda s, sf: tbl(s, sf, "events").select("event_id", F.from_json("props", "k int").getField("k").alias("k"), F.to_json(F.struct(F.get_json_object("props", "$.k").cast("int").alias("k"))).alias("j")), """select event_id, (props->>'$.k')::int as k, '{"k":' || (props->>'$.k') || '}' as j from events""")
 add("e_json_variant", lambda s, sf: tbl(s, sf, "events").select("event_id", F.variant_get(F.parse_json("props"), "$.k", "int").alias("k")), "select event_id, (props->>'$.k')::int as k from events")
 # SQL
 both("e_sql_cte", "with big as (select x, y, sum(v) as t from vox group by x, y), top as (select max(t) as m from big) select x, y from big, top where t * 2 > m")
-both("e_sql_rec", "with recursive r(n, f) as (select 1, cast(1 as bigint) union all select n + 1, f * (n + 1) from r where n < 12) select n, f from r")
+
+
+@query("e_sql_rec", f"with {S.kd_tree(SURVEY.dims, 6)} select brick, x0, x1, y0, y1, z0, z1 from leaf")
+def _(s, sf):
+    """The k-d partition as a recursive query."""
+    axis = "case when x1 - x0 >= y1 - y0 and x1 - x0 >= z1 - z0 then 0 when y1 - y0 >= z1 - z0 then 1 else 2 end"
+    step = "select *, shiftleft(1, length(bin(n - 1)) - 1) lft, " + axis + " a from t where n > 1"
+    cut = "select *, case a when 0 then x0 when 1 then y0 else z0 end + (2 * (case a when 0 then x1 - x0 when 1 then y1 - y0 else z1 - z0 end) * lft + n) div (2 * n) c from p"
+    side = ", ".join(f"int(if(a = {i} and side = 1, c, {x}0)), int(if(a = {i} and side = 0, c, {x}1))" for i, x in enumerate("xyz"))
+    return s.sql(
+        f"""with recursive t(n, path, x0, x1, y0, y1, z0, z1) as (
+          select 6, cast('' as string), 0, {SURVEY.dims[0]}, 0, {SURVEY.dims[1]}, 0, {SURVEY.dims[2]}
+          union all
+          select int(if(side = 0, lft, n - lft)), path || side, {side} from (with p as ({step}) {cut}) q cross join (select explode(array(0, 1)) side) sides)
+        select int(row_number() over (order by path) - 1) brick, x0, x1, y0, y1, z0, z1 from t where n = 1"""
+    )
+
+
 both("e_sql_sub", "select c_custkey, (select count(*) from orders where o_custkey = c_custkey) as n from customer where c_acctbal > (select avg(c_acctbal) from customer)")
 both("e_sql_exists", "select s_suppkey from supplier where exists (select 1 from lineitem where l_suppkey = s_suppkey and l_quantity > 49)")
 
@@ -186,7 +236,11 @@ def _(s, sf):
 
 add("e_sql_values", lambda s, sf: s.sql("select a, b from values (1, 'x'), (2, 'y') t(a, b) where a >= :least", {"least": 2}), "select * from (values (1, 'x'), (2, 'y')) t(a, b) where a >= 2")
 both("e_sample_hash", "select x, y, z, v from vox where (x * 73 + y * 19 + z * 31) % 4 = 0")
-add("e_sample_strat", lambda s, sf: tbl(s, sf, "events").sampleBy("event_type", {"view": 0.5, "click": 0.1}, 7).groupBy("event_type").agg(F.count("*").alias("n")))
+add(
+    "e_sample_strat",
+    lambda s, sf: (lambda e, rate: e.sampleBy("event_type", rate, 7).groupBy("event_type").agg(F.count("*").alias("n")).join(e.groupBy("event_type").agg(F.count("*").alias("all")), "event_type").select("event_type", (F.abs(F.col("n") / F.col("all") - F.when(F.col("event_type") == "view", 0.5).otherwise(0.1)) < 0.1).alias("near")))(tbl(s, sf, "events"), {"view": 0.5, "click": 0.1}),
+    "select event_type, true as near from events where event_type in ('view', 'click') group by event_type",
+)
 # Functions
 COD = f"{VOX} select x, y, z, {MORTON} as code from vox"
 for name, f in (("py", udfs.morton_row), ("pandas", udfs.morton_pandas), ("arrow", udfs.morton_arrow)):
@@ -208,8 +262,8 @@ def _(s, sf):
     return s.sql("select * from kd_leaves(40, 40, 18, 6)")
 
 
-add("e_grp_pandas", lambda s, sf: composite.pack(composite.node(partials(s, sf)), view.node_rects(view.rects(kd.two_level(SURVEY.dims, [2] * 4).frame(s), A30, SURVEY))).select("node", F.length("data").alias("bytes")))
-add("e_map_arrow", lambda s, sf: partials(s, sf).groupBy("brick").agg(F.sum("samples").alias("samples")))
+add("e_grp_pandas", lambda s, sf: composite.pack(composite.node(partials(s, sf)), view.node_rects(view.rects(kd.two_level(SURVEY.dims, [2] * 4).frame(s), A30, SURVEY))).select("node", F.length("data").alias("bytes")), f"{MESSAGE} select node, (4 * count(*))::int as bytes from buf group by node")
+add("e_map_arrow", lambda s, sf: partials(s, sf).groupBy("brick").agg(F.sum("samples").alias("samples")), f"{NODEHIT} select brick, count(*) as samples from nh group by brick")
 add("e_cogroup", lambda s, sf: udfs.frame_diff(render.axis_frame(v(s, sf), SURVEY, ViewSpec(0)), render.axis_frame(v(s, sf), SURVEY, ViewSpec(180))), f"with a as ({S.mip(ViewSpec(0), 'survey')}), b as ({S.mip(ViewSpec(180), 'survey')}), j as (select coalesce(a.v, b.v) as v, coalesce(a.val, 0) as p, coalesce(b.val, 0) as q from a full join b on a.u = b.u and a.v = b.v) select v, count(*) filter (p <> q) as differ, max(abs(p - q)) as maxabs from j group by v")
 # Serving
 add("m_msg", lambda s, sf: serve.decode(tbl(s, sf, "events")).drop("ts"), "select event_id as frame, user_id as session, 15 * ((props->>'$.k')::int % 24) as angle, 1 + ((props->>'$.k')::int % 4) / 2 as zoom, event_type as cmap from events")
@@ -242,11 +296,14 @@ def _(s, sf):
     return s.table(name).groupBy("brick").agg(F.count("*").alias("n"))
 
 
-@query("e_sink_ppm")
+@query("e_sink_ppm", f"select count(distinct v) as lines, count(distinct v) * 64 as bytes from ({S.mip(A30, 'survey')})")
 def _(s, sf):
+    """Scan lines and pixel bytes of the image files; each has a text line before them."""
     path = shared_path(s)
     sinks.frame_pgm(composite.final(partials(s, sf)), 64, 64, path, 66_191_316)
-    return s.read.format("binaryFile").load(path).select(F.col("length").alias("bytes"))
+    head = F.substring_index(F.decode(F.substring("content", 1, 24), "ISO-8859-1"), "\n", 1)
+    files = s.read.format("binaryFile").load(path).select(F.split(head, " ")[2].cast("long").alias("lines"), (F.col("length") - F.length(head) - 1).alias("bytes"))
+    return files.agg(F.sum("lines").alias("lines"), F.sum("bytes").alias("bytes"))
 
 
 # Streams over files; each is run to its end and its result read back
@@ -292,16 +349,17 @@ def _(s, sf):
     return drained(s, stream.dropDuplicatesWithinWatermark(["event_id"]), "append").groupBy("event_type").agg(F.count("*").alias("n"))
 
 
-@query("s_late")
+@query("s_late", "select count(*) as n from events where time_bucket(interval '1 day', ts) + interval '1 day' <= (select max(ts) from events) - interval '1 hour'")
 def _(s, sf):
-    """Events re-sent a day late, after the watermark passed them, are dropped."""
+    """Every tenth event sent again twenty days earlier, after the watermark passed it, is dropped: closed days hold what came in time."""
     e = tbl(s, sf, "events")
-    folder = scratch(s)
-    e.coalesce(1).write.parquet(folder)
-    late = e.limit(50).withColumn("ts", F.expr("ts - interval 20 days"))
-    late.coalesce(1).write.mode("append").parquet(folder)
-    stream = serve.timed(s.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(folder)).withWatermark("ts", "1 hour")
-    return drained(s, stream.groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n")), "append").agg(F.sum("n").alias("n"))
+    folder, sink, mark = scratch(s), scratch(s), scratch(s)
+    for part in (e, e.where("event_id % 10 = 0").withColumn("ts", F.expr("ts - interval 20 days"))):
+        part.coalesce(1).write.mode("append").parquet(folder)
+        stream = serve.timed(s.readStream.schema(e.schema).parquet(folder)).withWatermark("ts", "1 hour")
+        days = stream.groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n"))
+        days.writeStream.format("parquet").option("path", sink).option("checkpointLocation", mark).trigger(availableNow=True).start().awaitTermination()
+    return s.read.parquet(sink).agg(F.sum("n").alias("n"))
 
 
 add("s_join_static", lambda s, sf: drained(s, streamed(s, sf).join(F.broadcast(s.createDataFrame([("view", 1), ("click", 2)], "event_type string, weight int")), "event_type").groupBy("event_type").agg(F.sum("weight").alias("total"))), "select event_type, sum(case event_type when 'view' then 1 else 2 end)::bigint as total from events where event_type in ('view', 'click') group by event_type")
@@ -333,15 +391,15 @@ def _(s, sf):
     return s.read.parquet(sink).groupBy("event_type").agg(F.count("*").alias("n"))
 
 
-@query("w11", "select user_id as session, max(event_id) as frame, max_by(15 * ((props->>'$.k')::int % 24), event_id) as angle from events group by user_id")
+@query("m_async", f"select count(*) as pixels, true as together from ({S.mip(ViewSpec(0), 'survey')}) union all select count(*), true from ({S.mip(ViewSpec(30), 'survey')})")
 def _(s, sf):
-    sink = scratch(s)
-    serve.start(streamed(s, sf), lambda r: r.select("session", "frame", "angle"), sink, scratch(s)).awaitTermination()
-    return s.read.parquet(sink).groupBy("session").agg(F.max_by("angle", "frame").alias("angle"), F.max("frame").alias("frame"))
+    """Two frames in flight: whether each began before the other was done."""
 
+    def job(a):
+        begin = time.time()
+        n = render.frame(v(s, sf), SURVEY, ViewSpec(a)).count()
+        return n, begin, time.time()
 
-@query("m_async", f"select count(*) as pixels from ({S.mip(ViewSpec(0), 'survey')}) union all select count(*) from ({S.mip(ViewSpec(30), 'survey')})")
-def _(s, sf):
-    """Two frames in flight."""
-    jobs = [lambda a=a: render.frame(v(s, sf), SURVEY, ViewSpec(a)).count() for a in (0, 30)]
-    return s.createDataFrame([(n,) for n in serve.pipeline(jobs, 2)], "pixels long")
+    out = serve.pipeline([lambda a=a: job(a) for a in (0, 30)], 2)
+    together = max(x[1] for x in out) < min(x[2] for x in out)
+    return s.createDataFrame([(n, together) for n, _, _ in out], "pixels long, together boolean")
