@@ -67,6 +67,19 @@ def slices(batches, text: str, limit: int = SLICE_BYTES):
             at = end
 
 
+def cut_text(data: bytes, limit: int, marks: bytes = bytes(WHITE)):
+    """Parts of a long text of about ``limit`` bytes, cut before one of some ASCII bytes; a part without any goes on to the next one."""
+    at = 0
+    while at < len(data):
+        end = at + limit
+        if end < len(data):
+            before = max(data.rfind(bytes([m]), at + 1, end) for m in marks)
+            after = min((x for m in marks if (x := data.find(bytes([m]), end)) >= 0), default=len(data))
+            end = before if before > at else after
+        yield data[at:end]
+        at = min(end, len(data)) if end > at else len(data)
+
+
 def eights(buf: np.ndarray) -> np.ndarray:
     """The little-endian 64-bit integer at every byte."""
     return np.ndarray((len(buf) - 7,), "<u8", buf, strides=(1,))

@@ -14,7 +14,7 @@ lengths probe the sorted piece keys once (a second hash confirms each hit), and
 Words longer than ``LONG`` code points go through the same lattice one by one.
 Code points that no piece holds become byte pieces, or the unknown piece.
 
-Null text: as empty, no pieces. Null or repeated identifiers and repeated rows: one output row each. Empty table: empty
+Long texts go in parts, cut before spaces. Null text: as empty, no pieces. Null or repeated identifiers and repeated rows: one output row each. Empty table: empty
 result. Other columns are ignored.
 """
 
@@ -26,7 +26,8 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
-from .arrays import U64, buffer_of, ragged, slices
+from .arrays import U64, buffer_of, cut_text, ragged, slices
+from .tables import named
 
 SLICE = 4_000_000
 LONG = 48
@@ -406,14 +407,28 @@ class Model:
         return np.where(lacking[row], self.unknown, ids)[keep], row[keep], byte[keep]
 
     def encode(self, column) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of all rows, one after the other, and n + 1 cuts."""
+        """Ids of all rows, one after the other, and n + 1 cuts. A long text goes in parts, cut before spaces, as no piece crosses the start of a run of spaces."""
+        if len(column) == 1 and (data := column.cast(pa.large_binary())[0].as_py() or b"") and len(data) > 2 * SLICE:
+            parts, held = [], b""
+            for part in cut_text(data, SLICE, b" "):
+                if held.endswith(b" ") or not held:  # a run of spaces stays in one part
+                    held += part
+                    continue
+                parts.append(self.encode_some(pa.array([held], pa.large_binary()), self.dummy_prefix and not parts)[0])
+                held = part
+            parts.append(self.encode_some(pa.array([held], pa.large_binary()), self.dummy_prefix and not parts)[0])
+            ids = np.concatenate(parts)
+            return ids, np.array([0, len(ids)])
+        return self.encode_some(column, self.dummy_prefix)
+
+    def encode_some(self, column, prefix: bool) -> tuple[np.ndarray, np.ndarray]:
         buf, offsets = buffer_of(column)
         sizes = np.diff(offsets)
         some = sizes > 0
-        shift = np.concatenate([[0], np.cumsum(some & self.dummy_prefix)])
+        shift = np.concatenate([[0], np.cumsum(some & prefix)])
         moved = offsets + shift  # each text goes behind a space
         text = np.full(int(moved[-1]), 32, np.uint8)
-        text[ragged(moved[:-1] + (some & self.dummy_prefix), sizes)] = buf[: offsets[-1]]
+        text[ragged(moved[:-1] + (some & prefix), sizes)] = buf[: offsets[-1]]
         space = text == 32
         start = space.copy()
         start[1:] &= ~space[:-1]
@@ -454,7 +469,7 @@ def encoded(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str =
             ids, cuts = model.encode(batch.column(text_col))
             yield pa.RecordBatch.from_arrays([batch.column(id_col), pa.ListArray.from_arrays(pa.array(cuts.astype(np.int32)), pa.array(ids))], ["doc_id", "ids"])
 
-    return docs.select(id_col, text_col).mapInArrow(run, f"doc_id {docs.schema[id_col].dataType.simpleString()}, ids array<int>")
+    return docs.select(named(id_col), named(text_col)).mapInArrow(run, f"doc_id {docs.schema[id_col].dataType.simpleString()}, ids array<int>")
 
 
 def decoded(rows: DataFrame, path: str, id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:
@@ -474,7 +489,7 @@ def decoded(rows: DataFrame, path: str, id_col: str = "doc_id", ids_col: str = "
                 texts = [data[a:b].decode("utf-8", "replace") for a, b in zip(total[:-1], total[1:], strict=True)]
                 yield pa.RecordBatch.from_arrays([part.column(id_col), pa.array(texts, pa.string())], ["doc_id", "text"])
 
-    return rows.select(id_col, ids_col).mapInArrow(run, f"doc_id {rows.schema[id_col].dataType.simpleString()}, text string")
+    return rows.select(named(id_col), named(ids_col)).mapInArrow(run, f"doc_id {rows.schema[id_col].dataType.simpleString()}, text string")
 
 
 def round_trip(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -500,4 +515,4 @@ def round_trip(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str
             )
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, text_col).mapInArrow(run, f"doc_id {kind}, n_ids long, ids array<int>, decoded_sha256 string, exact boolean")
+    return docs.select(named(id_col), named(text_col)).mapInArrow(run, f"doc_id {kind}, n_ids long, ids array<int>, decoded_sha256 string, exact boolean")

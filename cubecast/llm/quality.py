@@ -236,7 +236,7 @@ def judged(docs: DataFrame, scorer: Scorer, id_col: str = "doc_id", text_col: st
             score = scorer(Reader(batch.column(text_col)))
             yield pa.RecordBatch.from_arrays([batch.column(id_col), pa.array(score), pa.array(score >= least)], ["doc_id", "score", "kept"])
 
-    return docs.select(id_col, text_col).mapInArrow(run, f"doc_id {docs.schema[id_col].dataType.simpleString()}, score double, kept boolean")
+    return docs.select(named(id_col), named(text_col)).mapInArrow(run, f"doc_id {docs.schema[id_col].dataType.simpleString()}, score double, kept boolean")
 
 
 def accepted(docs: DataFrame, scorer: Scorer, text_col: str = "text", least: float = 0.5) -> DataFrame:

@@ -6,15 +6,17 @@ balanced by bytes, and the lengths are added up by document. A worker remembers
 to ``REMEMBERED`` pieces; what is forgotten is encoded again.
 
 Null or empty text: 0 bytes, 0 tokens. Null or repeated identifiers and repeated rows: one output row for
-each input row. A text without white space is encoded whole. An empty table gives an empty result. Columns besides
-the identifier and the text are ignored.
+each input row. A long text is cut at white space into parts of about a million bytes, so memory doesn't follow its length; a run
+without white space is encoded whole. An empty table gives an empty result. Columns besides the identifier and the text are ignored.
 """
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
-from .arrays import buffer_of, slices, word_bounds
+from .arrays import SLICE_BYTES, buffer_of, cut_text, slices, word_bounds
+from .tables import named
 
 REMEMBERED = 400_000
 BATCH_BYTES = 200_000
@@ -60,8 +62,8 @@ def count_tokens(docs: DataFrame, path: str, limit: int = 2048, id_col: str = "d
         def encode(texts):
             return [len(x) for x in tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-        for batch in slices(batches, text_col):
-            buf, offsets = buffer_of(batch.column(text_col))
+        def counted(column) -> np.ndarray:
+            buf, offsets = buffer_of(column)
             starts, ends, first = word_bounds(buf, offsets)
             # each word reaches to the next one's start: the piece keeps its white space off by the stripped end
             sizes = (ends - starts).astype(np.int32)
@@ -74,10 +76,16 @@ def count_tokens(docs: DataFrame, path: str, limit: int = 2048, id_col: str = "d
             coded = words.dictionary_encode()
             each = lengths(encode, coded.dictionary, known)[coded.indices.to_numpy(zero_copy_only=False)] if len(words) else np.zeros(0, np.int64)
             total = np.concatenate([[0], np.cumsum(each)])
-            n = total[first[1:]] - total[first[:-1]]
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(id_col), pa.array(np.diff(offsets)), pa.array(n), pa.array(n > limit)], ["doc_id", "n_bytes", "n_tokens", "over_limit"]
-            )
+            return total[first[1:]] - total[first[:-1]]
+
+        for batch in slices(batches, text_col):
+            column = batch.column(text_col)
+            sizes = pc.binary_length(column).fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64)
+            if batch.num_rows == 1 and sizes[0] > 2 * SLICE_BYTES:
+                n = np.array([sum(int(counted(pa.array([part]))[0]) for part in cut_text(column[0].as_buffer().to_pybytes(), SLICE_BYTES))])
+            else:
+                n = counted(column)
+            yield pa.RecordBatch.from_arrays([batch.column(id_col), pa.array(sizes), pa.array(n), pa.array(n > limit)], ["doc_id", "n_bytes", "n_tokens", "over_limit"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, text_col).mapInArrow(run, f"doc_id {kind}, n_bytes long, n_tokens long, over_limit boolean")
+    return docs.select(named(id_col), named(text_col)).mapInArrow(run, f"doc_id {kind}, n_bytes long, n_tokens long, over_limit boolean")
