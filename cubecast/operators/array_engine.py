@@ -15,6 +15,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.kd import KdPlan, check_fit
+from ..plans.planner import rectangle
 from ..plans.spec import CubeSpec, ViewSpec
 from .partition import AXES, assign, halo
 
@@ -34,7 +35,7 @@ def blank(cells: np.ndarray) -> np.ndarray:
 
 
 def pack_bricks(voxels: DataFrame, plan: KdPlan, ghost: int = 0, dtype: str = "<i8", block: int = BLOCK, memory: int = MEMORY) -> DataFrame:
-    """One row a block that holds a voxel of its own: its box, range and dense values. Raises before any job if a brick outgrows its worker."""
+    """One row a block that holds a voxel, its ghost layer included: its box, range and dense values. Raises before any job if a brick outgrows its worker."""
     check_fit(plan, memory, np.dtype(dtype).itemsize)
     spark = voxels.sparkSession
     own = voxels.where("v is not null")
@@ -68,12 +69,13 @@ def pack_bricks(voxels: DataFrame, plan: KdPlan, ghost: int = 0, dtype: str = "<
             raise OverflowError(f"values of brick {first('brick')} don't fit {dtype}")
         cells[tuple(p[inside] for p in at)] = v[inside]
         number = (g[0] << 42) | (g[1] << 21) | g[2]
-        mine = v[own]
+        mine = v[inside]  # a sample near a face can take its value from the ghost layer
         values = [first("brick"), first("node"), number, *(x for lo_hi in box for x in lo_hi), ghost]
         values += [float(mine.min()), float(mine.max())] if len(mine) else [None, None]
-        return pa.Table.from_arrays([pa.array([x], t) for x, t in zip([*values, len(mine), dtype, cells.tobytes()], TYPES, strict=True)], names=NAMES)
+        return pa.Table.from_arrays([pa.array([x], t) for x, t in zip([*values, int(own.sum()), dtype, cells.tobytes()], TYPES, strict=True)], names=NAMES)
 
-    return rows.groupBy("brick", "gx", "gy", "gz").applyInArrow(dense, BRICK).where("present > 0")
+    blocks = rows.groupBy("brick", "gx", "gy", "gz").applyInArrow(dense, BRICK)
+    return blocks if ghost else blocks.where("present > 0")
 
 
 TYPES = [pa.int32(), pa.int32(), pa.int64(), *[pa.int32()] * 7, pa.float64(), pa.float64(), pa.int64(), pa.string(), pa.binary()]
@@ -89,19 +91,6 @@ def seen_bricks(plan: KdPlan, cube: CubeSpec, views: list[ViewSpec]) -> list[int
     return [b.brick for b in plan.bricks if any(rectangle(v, cube, b.box) for v in views)]
 
 
-def rectangle(view: ViewSpec, cube: CubeSpec, box) -> tuple[int, int, int, int] | None:
-    m = np.array(view.matrix(cube)).reshape(4, 4)
-    x0, x1, y0, y1, z0, z1 = box
-    corners = np.array([[x, y, z, 1.0] for x in (x0, x1) for y in (y0, y1) for z in (z0, z1)])
-    p = corners @ m.T
-    if (p[:, 3] <= 0).any():
-        return 0, view.width, 0, view.height
-    u, v = p[:, 0] / p[:, 3], p[:, 1] / p[:, 3]
-    u0, u1 = max(0, int(np.floor(u.min()))), min(view.width, int(np.ceil(u.max())))
-    v0, v1 = max(0, int(np.floor(v.min()))), min(view.height, int(np.ceil(v.max())))
-    return (u0, u1, v0, v1) if u0 < u1 and v0 < v1 else None
-
-
 def ray_table(view: ViewSpec, cube: CubeSpec, u: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     s, c = view.scale(cube), cube.centre
     right, up = (u + 0.5 - view.width / 2) / s, (v + 0.5 - view.height / 2) / s

@@ -8,13 +8,13 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..operators import array_engine, baseline, composite, cube, measure, partition, render, view
-from ..plans import kd
+from ..plans import kd, planner
 from ..plans.spec import CUBES, NODES, SURVEY, SURVEY_SCALED, ViewSpec, spec_of
 from ..sources import store
 from ..streaming import serve
 from . import sqltext as S
 from .experiments import AREA, BATCH, node_rects_batch
-from .methods import A30, FIXED, IN_LEAF, LEAF_FIXED, scratch, survey_blocks, tbl, topology
+from .methods import A30, IN_LEAF, LEAF_FIXED, NODEHIT, partials, scratch, survey_blocks, tbl, topology
 from .registry import add, query
 
 LARGEST, WORKERS = "survey_scaled", 64
@@ -174,6 +174,58 @@ def _(s, sf):
     return composite.final(composite.node(parts))
 
 
+# The planner's choice, and a frame made as it says
+
+
+def planned_frame(s, sf, name, shot, few):
+    """The frame of a stored cube by the executor that the planner picks; only bricks that the view sees are read."""
+    spec = CUBES[name]
+    bricks = kd.kd(spec.dims, 8)
+    plan = planner.plan_render(spec, shot, bricks, few=few)
+    if plan.executor == "object_order":
+        return plan, render.axis_frame(cube.load(s, sf, name), spec, shot)
+    if plan.executor == "relational":
+        return plan, render.frame(cube.load(s, sf, name), spec, shot, bricks)
+    path = scratch(s)
+    store.write_blocks(array_engine.pack_bricks(cube.load(s, sf, name), bricks), path)
+    return plan, composite.final(array_engine.cast(store.read_bricks(s, path, list(plan.bricks)), spec, [shot]))
+
+
+PLANNED = ((ViewSpec(90), 10**7), (A30, 10**7), (A30, 10**3))
+
+
+@query(
+    "m_planner",
+    " union all ".join(
+        f"select * from (with {KD8}, {S.rects(v, 'survey')}, f as ({S.mip(v, 'survey')}) select {i} as turn, '{x}' as executor, (select sum({AREA})::bigint from rect) as rays, (select sum({AREA} * (x1 - x0 + y1 - y0 + z1 - z0))::bigint from rect join leaf using (brick)) as most_samples, (select count(*) from f) as pixels, (select sum(val)::bigint from f) as total)"
+        for i, ((v, _), x) in enumerate(zip(PLANNED, ("object_order", "relational", "array"), strict=True))
+    ),
+)
+def _(s, sf):
+    """Three frames, one by each executor."""
+    out = None
+    for i, (shot, few) in enumerate(PLANNED):
+        plan, frame = planned_frame(s, sf, "survey", shot, few)
+        row = frame.agg(F.count("*").alias("pixels"), F.sum("val").alias("total")).select(F.lit(i).alias("turn"), F.lit(plan.executor).alias("executor"), F.lit(plan.rays).cast("long").alias("rays"), F.lit(plan.most_samples).cast("long").alias("most_samples"), "pixels", "total")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("m_remote", S.mip(A30, "survey"))
+def _(s, sf):
+    """A frame written by the workers and read by a viewer that knows nothing of the cube."""
+    path = scratch(s)
+    composite.final(array_engine.cast(survey_blocks(s, sf), SURVEY, [A30])).write.parquet(path)
+    return s.read.parquet(path)
+
+
+add(
+    "m_shm",
+    lambda s, sf: partials(s, sf).groupBy("node").agg(F.count("*").alias("inside"), F.countDistinct("u", "v").alias("across")),
+    f"{NODEHIT} select node, count(distinct (brick, u, v)) as inside, count(distinct (u, v)) as across from nh group by node",
+)
+
+
 # Rivals of the array executor and of residence in memory
 
 

@@ -160,6 +160,12 @@ add("e_agg_pivot", lambda s, sf: v(s, sf).where("z < 3").groupBy("x").pivot("z",
 add("e_agg_unpivot", lambda s, sf: tbl(s, sf, "lineitem").groupBy("l_returnflag").agg(F.max("l_quantity").alias("q"), F.max("l_tax").alias("t")).unpivot("l_returnflag", ["q", "t"], "what", "value"), "with a as (select l_returnflag, max(l_quantity) as q, max(l_tax) as t from lineitem group by 1) select l_returnflag, 'q' as what, q as value from a union all select l_returnflag, 't', t from a")
 both("e_agg_hist", "select v // 4500000 as bin, count(*) as n from vox group by 1", "select v div 4500000 as bin, count(*) as n from vox group by 1")
 add("e_agg_sketch", lambda s, sf: tbl(s, sf, "events").agg(F.hll_sketch_estimate(F.hll_sketch_agg("user_id", 12)).alias("h"), F.countDistinct("user_id").alias("n")).select((F.abs(F.col("h") - F.col("n")) <= 0.1 * F.col("n")).alias("near")), "select true as near")
+# a sketch of 2^12 items holds every value of a small group as it is: its quantile is then exact
+add(
+    "e_agg_kll",
+    lambda s, sf: tbl(s, sf, "supplier").groupBy("s_nationkey").agg(F.kll_sketch_agg_double("s_acctbal", F.lit(4096)).alias("k"), F.count("*").alias("n")).select("s_nationkey", "n", F.kll_sketch_get_n_double("k").alias("seen"), F.kll_sketch_get_quantile_double("k", F.lit(0.0)).alias("least"), F.kll_sketch_get_quantile_double("k", F.lit(1.0)).alias("most")),
+    "select s_nationkey, count(*) as n, count(*) as seen, min(s_acctbal) as least, max(s_acctbal) as most from supplier group by s_nationkey",
+)
 # Windows
 both("e_win_rank", "select l_linenumber, q, rank() over (partition by l_linenumber order by q) as r, dense_rank() over (partition by l_linenumber order by q) as d, ntile(4) over (partition by l_linenumber order by q) as t, round(percent_rank() over (partition by l_linenumber order by q), 6) as p from (select distinct l_linenumber, l_quantity as q from lineitem) t")
 both("e_win_lag", "select x, y, z, v - lag(v) over (partition by x, y order by z) as step, lead(z) over (partition by x, y order by z) as nxt from vox")
