@@ -28,9 +28,9 @@ ROWS = 1_500_000
 #: Segments from which a quicksort goes on by a plain sort of the remaining columns.
 SEGMENT = 8192
 COLUMNS = ("lead", "gram", "digest", "doc", "place", "src", "dst")
-ORDER = COLUMNS[:4]
-PATH = "lead long, gram int, digest long, doc long, place long, src long, dst long"
-TYPES = dict(zip(COLUMNS, (np.int64, np.int32, *[np.int64] * 5), strict=True))
+ORDER, NODES = COLUMNS[:4], COLUMNS[5:]
+#: gram holds 32 bits, and above them the bucket that the row goes to, if it has one.
+GRAM_BITS = (1 << 32) - 1
 #: Kinds of rows that come out.
 WHOLE, CHECK, FIRST, LAST_KEY, SOURCE, SUMMARY = range(6)
 FOUND = "kind int, bucket int, id long, doc long, place long, src long, dst long, note binary"
@@ -38,12 +38,16 @@ NAMES = [x.split(" ")[0] for x in FOUND.split(", ")]
 Rows = dict[str, np.ndarray]
 
 
+def path_schema(nodes: bool) -> str:
+    return ", ".join(f"{c} long" for c in COLUMNS[: 7 if nodes else 5])
+
+
 def taken(rows: Rows, which) -> Rows:
     return {k: v[which] for k, v in rows.items()}
 
 
 def joined(parts: list[Rows]) -> Rows:
-    return {k: np.concatenate([p[k] for p in parts]) for k in COLUMNS}
+    return {k: np.concatenate([p[k] for p in parts]) for k in parts[0]}
 
 
 def size_of(rows: Rows) -> int:
@@ -105,9 +109,9 @@ def picked(rows: Rows, n: int) -> Rows:
 def splitters_of(sample: DataFrame, n: int) -> Rows:
     """Splitters of n buckets from path rows of a sample of documents; at most 40 rows a bucket reach the driver. Balance depends on them, results do not."""
     if n < 2:
-        return {c: np.zeros(0, TYPES[c]) for c in ORDER}
+        return {c: np.zeros(0, np.int64) for c in ORDER}
     table = sample.select(*ORDER).orderBy(F.xxhash64(*ORDER)).limit(40 * n).toArrow()
-    rows = {c: table.column(c).to_numpy().astype(TYPES[c]) for c in ORDER}
+    rows = {c: table.column(c).to_numpy().astype(np.int64) for c in ORDER}
     return picked(taken(rows, quicksort([rows[c] for c in ORDER])), n) if size_of(rows) else rows
 
 
@@ -147,14 +151,14 @@ def put(files, cut: Rows, rows: Rows) -> None:
     where = 2 * at - equal
     for i in np.unique(where):
         some = taken(rows, where == i)
-        data = marshal.dumps([some[c].tobytes() for c in COLUMNS])
+        data = marshal.dumps({c: x.tobytes() for c, x in some.items()})
         files[i].write(struct.pack("<q", len(data)) + data)
 
 
 def back(file):
     while head := file.read(8):
         data = marshal.loads(file.read(*struct.unpack("<q", head)))
-        yield {c: np.frombuffer(x, TYPES[c]) for c, x in zip(COLUMNS, data, strict=True)}
+        yield {c: np.frombuffer(x, np.int64) for c, x in data.items()}
 
 
 class Judge:
@@ -244,11 +248,13 @@ class Judge:
 
     def out(self, rows: Rows, kind: np.ndarray) -> pa.RecordBatch:
         n = size_of(rows)
-        m = odd(3, 77)
-        ident = mix(rows["lead"].view(U64) * m[0] + rows["gram"].astype(np.int64).view(U64) * m[1] + rows["digest"].view(U64) * m[2])
-        nodes = [pa.array(rows[c], mask=kind != SOURCE) for c in ("src", "dst")]
+        about = [pa.nulls(n, pa.int64())] * 3
+        if self.sources:
+            m = odd(3, 77)
+            ident = mix(rows["lead"].view(U64) * m[0] + rows["gram"].view(U64) * m[1] + rows["digest"].view(U64) * m[2])
+            about = [pa.array(ident.view(np.int64)), *(pa.array(rows[c], mask=kind != SOURCE) for c in NODES)]
         return pa.RecordBatch.from_arrays(
-            [pa.array(kind.astype(np.int32)), pa.array(np.full(n, self.bucket, np.int32)), pa.array(ident.view(np.int64)), pa.array(rows["doc"]), pa.array(rows["place"]), *nodes, pa.nulls(n, pa.binary())], NAMES
+            [pa.array(kind.astype(np.int32)), pa.array(np.full(n, self.bucket, np.int32)), about[0], pa.array(rows["doc"]), pa.array(rows["place"]), *about[1:], pa.nulls(n, pa.binary())], NAMES
         )
 
 
@@ -275,10 +281,10 @@ def compared(notes: list[tuple[int, bytes]]) -> list[tuple]:
     return [(bucket, carry, many[i], many[j]) for bucket, carry, i, j in out]
 
 
-def judged(rows: DataFrame, checks: bool, sources: bool = False) -> DataFrame:
+def judged(rows: DataFrame, checks: bool, sources: bool = False, ranges: bool = False) -> DataFrame:
     """kind (WHOLE, CHECK or SOURCE), id, doc, place, src, dst of what is repeated, to be checked, or the first of its class.
 
-    rows of PATH: with a bucket they go to it, else they are dealt by key.
+    rows of ``path_schema``: with ranges they go to their bucket, else they are dealt by key. Without sources ids and nodes are null.
     """
     spark = rows.sparkSession
     n = partitions(spark)
@@ -287,7 +293,8 @@ def judged(rows: DataFrame, checks: bool, sources: bool = False) -> DataFrame:
         def parts():
             for batch in batches:
                 if batch.num_rows:
-                    yield {c: batch.column(c).to_numpy(zero_copy_only=False) for c in COLUMNS}
+                    part = {c: batch.column(c).to_numpy(zero_copy_only=False) for c in batch.schema.names}
+                    yield part | {"gram": part["gram"] & GRAM_BITS}
 
         judge = Judge(TaskContext.get().partitionId(), checks, sources)
         with tempfile.TemporaryDirectory() as scratch:
@@ -295,8 +302,8 @@ def judged(rows: DataFrame, checks: bool, sources: bool = False) -> DataFrame:
                 yield from judge(block)
         yield from judge.end()
 
-    dealt = rows.repartitionById(n, F.col("bucket")) if "bucket" in rows.columns else rows.repartition(n, "lead", "gram")
-    raw = shared_table(dealt.select(*COLUMNS).mapInArrow(run, FOUND))
+    dealt = rows.repartitionById(n, F.shiftright("gram", 32).cast("int")) if ranges else rows.repartition(n, "lead", "gram")
+    raw = shared_table(dealt.mapInArrow(run, FOUND))
     notes = raw.where(F.col("kind") == SUMMARY).select("bucket", "note").collect()  # one row a bucket
     facts = spark.createDataFrame(compared([(r["bucket"], bytes(r["note"])) for r in notes]), "bucket int, carry long, first_many boolean, last_many boolean")
     kind = F.col("kind")

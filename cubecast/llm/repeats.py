@@ -27,6 +27,7 @@ from .arrays import U64, buffer_of, mix, odd, owners, ragged, slices, window_min
 from .tables import ident, named, partitions
 
 TAG_BITS = 26
+LONG_PART = 4_000_000
 #: Documents (in expectation) from which splitters are estimated.
 SAMPLED_DOCS = 2000
 
@@ -71,18 +72,16 @@ def anchors(grams: np.ndarray, at: np.ndarray, n: np.ndarray, value: np.ndarray)
     return out
 
 
-def path_batch(kind, buf, starts, grams, at, row, gram: int, length: int, bounds, doc, tag, splitters=None) -> pa.RecordBatch:
+def path_batch(kind, buf, starts, grams, at, row, gram: int, length: int, bounds, doc, tag, splitters=None, base: int = 0) -> pa.RecordBatch:
     at, n, row, value = paths(grams, at, row, gram, length)
     m = odd(2, 99)
     digest = mix(window_digest(grams, at, gram, length, 1) * m[0] + window_digest(grams, at + n - 1, gram, length, 2) * m[1] + n.astype(U64))
     lead, rest = kind.order(buf, starts, value, anchors(grams, at, n, value) if kind.by_bytes else None)
-    src, dst = kind.nodes(grams, at, n, gram, length)
-    rows = {"lead": lead, "gram": rest, "digest": digest.view(np.int64), "doc": doc[row], "place": (at - bounds[row]) << 31 | tag[row] << 5 | n - 1, "src": src, "dst": dst}
-    columns, names = [pa.array(rows[c]) for c in buckets.COLUMNS], list(buckets.COLUMNS)
+    rows = {"lead": lead, "gram": rest, "digest": digest.view(np.int64), "doc": doc[row], "place": (at - bounds[row] + base) << 31 | tag[row] << 5 | n - 1}
+    rows |= dict(zip(buckets.NODES, kind.nodes(grams, at, n, gram, length), strict=False))
     if splitters is not None:
-        columns.append(pa.array(buckets.places(splitters, rows).astype(np.int32)))
-        names.append("bucket")
-    return pa.RecordBatch.from_arrays(columns, names)
+        rows["gram"] = rest | buckets.places(splitters, rows) << 32
+    return pa.RecordBatch.from_arrays([pa.array(x) for x in rows.values()], list(rows))
 
 
 def window_digest(grams: np.ndarray, at: np.ndarray, gram: int, length: int, seed: int) -> np.ndarray:
@@ -100,12 +99,29 @@ def path_rows(docs: DataFrame, kind, splitters=None) -> DataFrame:
 
     def run(batches):
         for batch in slices(batches, "text"):
-            buf, offsets = buffer_of(batch.column("text"))
-            starts, bounds = kind.tokens(buf, offsets)
-            doc = batch.column("doc").to_numpy(zero_copy_only=False)
-            yield path_batch(kind, buf, starts, kind.grams(buf, starts, 0, gram), *all_windows(bounds, length), gram, length, bounds, doc, tags(buf, offsets), splitters)
-
-    return docs.mapInArrow(run, buckets.PATH + (", bucket int" if splitters is not None else ""))
+            whole, offsets = buffer_of(batch.column("text"))
+            doc, tag = batch.column("doc").to_numpy(zero_copy_only=False), tags(whole, offsets)
+            for base, buf, cut in parts_of(kind, whole, offsets):
+                starts, bounds = kind.tokens(buf, cut)
+                yield path_batch(kind, buf, starts, kind.grams(buf, starts, 0, gram), *all_windows(bounds, length), gram, length, bounds, doc, tag, splitters, base)
+
+    return docs.mapInArrow(run, buckets.path_schema(kind.has_nodes))
+
+
+def parts_of(kind, buf: np.ndarray, offsets: np.ndarray):
+    """(first token, bytes, offsets) of what is handled at once. A long text of bytes goes in parts that overlap by less than a window, so that each
+    window lies in one part; paths are cut there, which costs a closer look at them but no window."""
+    size = int(offsets[-1])
+    if not kind.by_bytes or len(offsets) != 2 or size <= 2 * LONG_PART:
+        yield 0, buf, offsets
+        return
+    for a in range(0, size, LONG_PART):
+        b = min(size, a + LONG_PART + kind.sizes[2] - 1)
+        if b - a < kind.sizes[2]:
+            return
+        part = np.zeros(b - a + 8, np.uint8)
+        part[:-8] = buf[a:b]
+        yield a, part, np.array([0, b - a])
 
 
 def sampled(docs: DataFrame, kind) -> buckets.Rows:
@@ -187,40 +203,44 @@ class Texts:
         return out
 
 
-def levels(docs: DataFrame, texts: Texts, kind, sources: bool = False) -> list[DataFrame]:
+def levels(docs: DataFrame, texts: Texts, kind) -> list[DataFrame]:
     """Found rows by whole paths, by paths under longer grams where keys branch, and window by window where they still do."""
     gram, longer, length = kind.sizes
-    first = buckets.judged(path_rows(docs, kind, sampled(docs, kind)), True, sources)
+    first = buckets.judged(path_rows(docs, kind, sampled(docs, kind)), True, kind.has_nodes, ranges=True)
 
     def open_windows(batches):
-        """(tokens, bounds, places, rows, doc, tag, buf) of the windows that are to be checked."""
-        for part, buf, offsets in unpacked(only(batches, "checks")):
-            starts, bounds = kind.tokens(buf, offsets)
+        """(first token, bytes, tokens, bounds, places, rows, doc, tag) of the windows that are to be checked."""
+        for part, whole, offsets in unpacked(only(batches, "checks")):
             flat, cut = lists(part.column("checks"))
             order = np.lexsort((flat, owners(cut)))
             row, at, size = owners(cut)[order], flat[order] >> 5, (flat[order] & 31) + 1
-            row, at = np.repeat(row, size), ragged(bounds[row] + at, size)
-            if len(at):
-                yield buf, starts, bounds, at, row, part.column("doc").to_numpy(), part.column("tag").to_numpy().astype(np.int64)
+            row, at = np.repeat(row, size), ragged(at, size)
+            doc, tag = part.column("doc").to_numpy(), part.column("tag").to_numpy().astype(np.int64)
+            for base, buf, some in parts_of(kind, whole, offsets):
+                starts, bounds = kind.tokens(buf, some)
+                mine = (at >= base) & (at < base + LONG_PART) if len(buf) < len(whole) else slice(None)
+                r, a = row[mine], at[mine] - base
+                if len(a):
+                    yield base, buf, starts, bounds, bounds[r] + a, r, doc, tag
 
     def finer(batches):
-        for buf, starts, bounds, at, row, doc, tag in open_windows(batches):
-            yield path_batch(kind, buf, starts, kind.grams(buf, starts, 0, longer), at, row, longer, length, bounds, doc, tag)
+        for base, buf, starts, bounds, at, row, doc, tag in open_windows(batches):
+            yield path_batch(kind, buf, starts, kind.grams(buf, starts, 0, longer), at, row, longer, length, bounds, doc, tag, None, base)
 
     def one_by_one(batches):
-        for buf, starts, bounds, at, row, doc, tag in open_windows(batches):
+        for base, buf, starts, bounds, at, row, doc, tag in open_windows(batches):
             grams = kind.grams(buf, starts, 0, gram)
             one, two = (window_digest(g, at, gram, length, 3 + seed).view(np.int64) for seed, g in ((0, grams), (1, kind.grams(buf, starts, 1, gram))))
-            src, dst = kind.nodes(grams, at, 1, gram, length)
-            columns = (one, np.zeros(len(at), np.int32), two, doc[row], (at - bounds[row]) << 31 | tag[row] << 5, src, dst)
-            yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], list(buckets.COLUMNS))
+            columns = (one, np.zeros(len(at), np.int64), two, doc[row], (at - bounds[row] + base) << 31 | tag[row] << 5, *kind.nodes(grams, at, 1, gram, length))
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], list(buckets.COLUMNS[: len(columns)]))
 
     def to_check(found: DataFrame) -> DataFrame:
         table = by_document(found.where(F.col("kind") == buckets.CHECK)).select("doc", "tag", "checks")
         return texts.joined(table).select("doc", "tag", "size", "packed", "checks")
 
-    second = buckets.judged(to_check(first).mapInArrow(finer, buckets.PATH), True, sources)
-    third = buckets.judged(to_check(second).mapInArrow(one_by_one, buckets.PATH), False, sources)
+    schema = buckets.path_schema(kind.has_nodes)
+    second = buckets.judged(to_check(first).mapInArrow(finer, schema), True, kind.has_nodes)
+    third = buckets.judged(to_check(second).mapInArrow(one_by_one, schema), False, kind.has_nodes)
     return [first, second, third]
 
 
@@ -232,7 +252,7 @@ def cover(part, names, bounds, length: int) -> np.ndarray:
         at = bounds[owners(cut)] + (flat >> 5)
         np.add.at(change, at, 1)
         np.add.at(change, at + (flat & 31) + length, -1)
-    return np.cumsum(change[:-1]) > 0
+    return np.cumsum(change[:-1], dtype=np.int32) > 0
 
 
 def named_out(schema: str) -> list[str]:

@@ -38,7 +38,7 @@ ROW = ("doc", "tag")
 class Edges:
     """Words as tokens; keys are gram values."""
 
-    sizes, by_bytes = SIZES, False
+    sizes, by_bytes, has_nodes = SIZES, False, True
 
     @staticmethod
     def tokens(buf, offsets):
@@ -51,7 +51,7 @@ class Edges:
 
     @staticmethod
     def order(buf, starts, value, at):
-        return value.view(np.int64), np.zeros(len(value), np.int32)
+        return value.view(np.int64), np.zeros(len(value), np.int64)
 
     @staticmethod
     def nodes(grams, at, n, gram, length):
@@ -151,7 +151,7 @@ def kept_words(buf, offsets, starts, bounds, gone):
 def removal(docs: DataFrame, id_col: str, text_col: str, finish, schema: str) -> DataFrame:
     d = texts_of(docs, id_col, text_col)
     texts = Texts(d)
-    found = levels(d, texts, Edges, sources=True)
+    found = levels(d, texts, Edges)
     paths = long_paths(rows_of(found, buckets.SOURCE, "src", "dst"))
     spans = shared_table(long_spans(rows_of(found, buckets.WHOLE), paths))
     gone_spans = verified(spans, texts).groupBy(*ROW).agg(F.collect_list(F.shiftleft("start", 31) + F.col("n")).alias("spans"))

@@ -10,7 +10,7 @@ one by one (see ``repeats``).
 
 Null text: no bytes. Texts under 50 bytes: nothing is removed. Null identifier: larger than all others. Rows repeating
 an identifier do not make each other repeated. One output row for each input row; empty table: empty result.
-Memory in a worker follows the longest text. Other columns are ignored.
+Long texts are read in parts; only the flags of what is removed are held for a whole text. Other columns are ignored.
 """
 
 import hashlib
@@ -30,7 +30,7 @@ SIZES = GRAM, LONGER, WINDOW = 20, 36, 50
 class Suffixes:
     """Bytes as tokens; keys are leading bytes."""
 
-    sizes, by_bytes = SIZES, True
+    sizes, by_bytes, has_nodes = SIZES, True, False
 
     @staticmethod
     def tokens(buf, offsets):
@@ -53,25 +53,31 @@ class Suffixes:
     def order(buf, starts, value, at):
         """Eight leading bytes in byte order, and 32 bits for the rest of the gram."""
         lead = eights(buf)[at].astype("<u8").byteswap() ^ U64(1 << 63)
-        return lead.view(np.int64), (value >> U64(32)).astype(np.uint32).view(np.int32)
+        return lead.view(np.int64), (value >> U64(32)).view(np.int64)
 
     @staticmethod
     def nodes(grams, at, n, gram, length):
-        none = np.zeros(len(at), np.int64)
-        return none, none
+        return ()
+
+
+def running(flags: np.ndarray) -> np.ndarray:
+    """Number of flags before each place, and in all."""
+    out = np.zeros(len(flags) + 1, np.int32 if len(flags) < 2**31 else np.int64)
+    np.cumsum(flags, out=out[1:])
+    return out
 
 
 def digests(buf, offsets, starts, bounds, gone):
     """n_bytes, n_removed, n_spans, kept_sha256."""
-    lost = np.concatenate([[0], np.cumsum(gone)])
+    lost = running(gone)
     rise = gone.copy()
     rise[1:] &= ~gone[:-1]
     rise[bounds[:-1][np.diff(bounds) > 0]] |= gone[bounds[:-1][np.diff(bounds) > 0]]
-    runs = np.concatenate([[0], np.cumsum(rise)])
+    runs = running(rise)
     kept = memoryview(buf[: len(gone)][~gone])
     cut = bounds - lost[bounds]
     sha = [hashlib.sha256(kept[a:b]).hexdigest() for a, b in zip(cut[:-1], cut[1:], strict=True)]
-    return [pa.array(np.diff(bounds)), pa.array(np.diff(lost[bounds])), pa.array(np.diff(runs[bounds])), pa.array(sha, pa.string())]
+    return [pa.array(np.diff(bounds)), pa.array(np.diff(lost[bounds]).astype(np.int64)), pa.array(np.diff(runs[bounds]).astype(np.int64)), pa.array(sha, pa.string())]
 
 
 def kept_bytes(buf, offsets, starts, bounds, gone):
