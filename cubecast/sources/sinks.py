@@ -15,7 +15,7 @@ def frame_json(frame: DataFrame) -> DataFrame:
 
 
 def frame_pgm(frame: DataFrame, width: int, height: int, folder: str, top: int) -> None:
-    """Grey image bytes, one part file a band of scan lines; written by the tasks, the driver sees no pixel."""
+    """Grey image bytes, one part file a band of scan lines; written by the tasks, the driver sees no pixel. folder is of a file system that all tasks have mounted."""
 
     def band(rows):
         import numpy as np

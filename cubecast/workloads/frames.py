@@ -357,12 +357,12 @@ def _(s, sf):
 
 @query(
     "b_dyn",
-    f"""with a as (with {S.SURVEY}, {sampled_weights((30,))}, {weighted_sql('wv')} select * from wl), b as (with {S.SURVEY}, {sampled_weights((45,))}, {weighted_sql('wv')} select * from wl), {S.SURVEY}
+    f"""with a as (with {S.SURVEY}, {sampled_weights((30,))}, {weighted_sql('wv')} select * from wl), b as (with {S.SURVEY}, {sampled_weights((15,))}, {weighted_sql('wv')} select * from wl), {S.SURVEY}
 select a.brick as old, b.brick as new, count(*) as n from vox join a on x >= a.x0 and x < a.x1 and y >= a.y0 and y < a.y1 join b on x >= b.x0 and x < b.x1 and y >= b.y0 and y < b.y1 where a.brick <> b.brick group by 1, 2""",
 )
 def _(s, sf):
-    """Voxels that change owner if every view had its own balanced plan: from 30 to 45 degrees."""
-    plans = [kd.weighted(sample_weights(s, sf, (a,)), SURVEY.dims, 4, "w") for a in (30, 45)]
+    """Voxels that change owner if every view had its own balanced plan: from 30 to 15 degrees."""
+    plans = [kd.weighted(sample_weights(s, sf, (a,)), SURVEY.dims, 4, "w") for a in (30, 15)]
     return partition.migrated(cube.survey(s, sf), *plans).groupBy("old", "new").agg(F.count("*").alias("n"))
 
 

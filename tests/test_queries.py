@@ -11,6 +11,7 @@ from cubecast import workloads
 NAMES = [
     "m_bin_survey", "m_cic", "m_kdf_6", "m_kd2", "m_rect_30", "m_rect_persp", "m_slab", "m_exec_sql_30", "m_exec_arr_60", "m_exec_obj_90", "m_tf_a", "m_cmp_fill", "m_color", "m_compr_runs",
     "b_prev", "b_splat", "b_shear", "c_med", "c_p75", "c_crit", "c_nm", "c_waste", "q_mom", "q_peak", "q_clip", "w7", "e_join_asof", "e_win_rle", "e_json_variant", "m_fsm", "s_cube_inc",
+    "m_kd2_uneven", "m_skip_array", "m_planner", "m_int_t_array", "m_tf_a_array", "m_compr_bytes", "b_ooc", "b_shear_error", "b_shader", "w1", "w2", "w3_ratio", "w8_vec", "w10_topology", "w11", "c_cov", "e_sql_rec", "e_join_lateral", "s_late",
 ]
 
 
