@@ -57,7 +57,7 @@ def without(docs: DataFrame, keys: DataFrame) -> DataFrame:
     """docs less the rows whose key has ``gone`` set; of equal rows whose key has it unset, one stays. keys: key, gone."""
     name = unused(docs, "row_key")
     keyed = docs.withColumn(name, row_key(docs))
-    keys = keys.withColumnRenamed("key", name)
+    keys = shared_table(keys.withColumnRenamed("key", name))  # read twice
     out = keyed.join(keys.select(name).distinct(), name, "left_anti").drop(name)
     many = keys.where(~F.col("gone")).select(name).distinct()
     if many.isEmpty():
