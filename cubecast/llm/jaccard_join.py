@@ -45,6 +45,8 @@ LEAF = 24
 PIVOTS = 6
 #: Pivots of a large region, on average.
 STARS = 12
+#: Cells that a set of a region may lie in, on average, for the cells to be used.
+SPREAD = 1.5
 FAR = -(2**63)
 SLACK = 1e-9
 SEEN = 500_000
@@ -415,16 +417,20 @@ def links_of(members: DataFrame, size: int, percent: int) -> DataFrame:
     counted = roots.groupBy("region", "root").count()
     main = counted.groupBy("region").agg(F.max_by("root", F.struct("count", "root")).alias("main"))
     opened = roots.join(main, "region").select("d1", (F.col("root") != F.col("main")).alias("open"))
-    cells = shared_table(star.select("region", "d1", F.explode("cells").alias("cell")).join(opened, "d1"))
-    counts = cells.groupBy("region", "cell").agg(F.ceil(F.count("*") / TILE).cast("int").alias("all_parts"), F.ceil(F.count_if("open") / TILE).cast("int").alias("open_parts"))
+    # windows that hold most of a region twice don't part it: such a region is one cell
+    spread = star.groupBy("region").agg((F.avg(F.size("cells")) > SPREAD).alias("whole"))
+    cell = F.explode(F.when(F.col("whole"), F.array(F.lit(FAR))).otherwise(F.col("cells")))
+    cells = shared_table(star.join(spread, "region").select("region", "d1", cell.alias("cell")).join(opened, "d1"))
+    some = lambda c: F.ceil(F.count_if(c) / TILE).cast("int")
+    counts = cells.groupBy("region", "cell").agg(some(F.col("open")).alias("open_parts"), some(~F.col("open")).alias("settled_parts"))
     dealt = cells.join(counts.where("open_parts > 0"), ["region", "cell"])
-    # open sets as the one side, all sets as the other; an open set is on both sides
-    one = F.pmod(F.xxhash64("d1", F.lit(3)), F.col("open_parts")).cast("int")
-    other = F.pmod(F.xxhash64("d1", F.lit(4)), F.col("all_parts")).cast("int")
-    across = F.transform(F.sequence(F.lit(0), F.col("open_parts") - 1), lambda x: F.struct(x.alias("i"), other.alias("j")))
-    along = F.transform(F.sequence(F.lit(0), F.col("all_parts") - 1), lambda x: F.struct(one.alias("i"), x.alias("j")))
-    both = dealt.withColumn("at", F.explode(F.array_distinct(F.when(F.col("open"), F.concat(across, along)).otherwise(across))))
-    tiles = both.select("region", "cell", "at.i", "at.j", "d1", F.col("open").alias("flag")).join(large.select("d1", "size", "packed"), "d1")
+    # open sets fill the first parts, settled ones the others; tiles are pairs of parts of which the first is open
+    mix = F.xxhash64("d1", F.lit(3))
+    mine = F.when(F.col("open"), F.pmod(mix, F.col("open_parts"))).otherwise(F.col("open_parts") + F.pmod(mix, F.col("settled_parts"))).cast("int")
+    last = F.when(F.col("open"), F.col("open_parts") + F.col("settled_parts")).otherwise(F.col("open_parts")) - 1
+    both = dealt.withColumn("mine", mine).withColumn("other", F.explode(F.sequence(F.lit(0), last)))
+    both = both.select("region", "cell", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "d1", F.col("open").alias("flag"))
+    tiles = both.join(large.select("d1", "size", "packed"), "d1")
     return found.unionByName(tiles_joined(tiles, size, percent)).unionByName(links)
 
 
