@@ -29,4 +29,6 @@ def components(edges: DataFrame) -> DataFrame:
 
 def stars(e: DataFrame) -> bool:
     """Whether each node hangs on one other, and that one on none."""
-    return e.groupBy("u").count().where("count > 1").isEmpty() and e.select(F.col("v").alias("u")).distinct().join(e, "u", "left_semi").isEmpty()
+    hangs = e.groupBy(F.col("u").alias("node")).agg(F.count("*").alias("n"))
+    bears = e.select(F.col("v").alias("node"), F.lit(1).cast("long").alias("n")).distinct()
+    return hangs.unionByName(bears).groupBy("node").agg(F.sum("n").alias("n")).where("n > 1").isEmpty()

@@ -153,18 +153,47 @@ def estimated(patterns: np.ndarray, counts: np.ndarray, rounds: int = 100) -> tu
     return post, table, float(prior)
 
 
-def fitted(x: np.ndarray, y: np.ndarray, rounds: int = 300, decay: float = 2e-5) -> tuple[np.ndarray, float]:
+class Shares:
+    """Rows of feature shares, most of them zero, as places and values by row and by feature. ``rows``: bytes of two-byte places, then of as many two-byte reals."""
+
+    def __init__(self, rows: list[bytes], width: int):
+        n = np.array([len(r) // 4 for r in rows], np.int64)
+        place = np.concatenate([np.frombuffer(r, "<u2", len(r) // 4) for r in rows])
+        self.values = np.concatenate([np.frombuffer(r, "<f2", offset=len(r) // 2) for r in rows]).astype(np.float32)
+        self.places, self.shape = place.astype(np.int32), (len(rows), width)
+        order = np.argsort(place, kind="stable")
+        self.row = np.repeat(np.arange(len(rows), dtype=np.int32), n)[order]
+        self.by_place = self.values[order]
+        self.full, self.used = np.flatnonzero(n), np.flatnonzero(np.bincount(place, minlength=width))
+        self.starts = np.concatenate([[0], np.cumsum(n)])[self.full]
+        self.heads = np.searchsorted(place[order], self.used)
+
+    def times(self, w: np.ndarray) -> np.ndarray:
+        out = np.zeros(self.shape[0], np.float32)
+        if len(self.full):
+            out[self.full] = np.add.reduceat(self.values * w[self.places], self.starts)
+        return out
+
+    def turned(self, g: np.ndarray) -> np.ndarray:
+        """The transpose times a vector."""
+        out = np.zeros(self.shape[1], np.float32)
+        if len(self.used):
+            out[self.used] = np.add.reduceat(self.by_place * g[self.row], self.heads)
+        return out
+
+
+def fitted(x: Shares, y: np.ndarray, rounds: int = 300, decay: float = 2e-5) -> tuple[np.ndarray, float]:
     """Logistic regression on rows of feature shares, soft labels, by accelerated gradient steps."""
     weight = 1 / len(y)
     w, b = np.zeros(x.shape[1], np.float32), 0.0
     ww, bb = w.copy(), b
     rate = 8.0
     for i in range(rounds):
-        p = 1 / (1 + np.exp(-np.clip(x @ ww + bb, -30, 30)))
+        p = 1 / (1 + np.exp(-np.clip(x.times(ww) + bb, -30, 30)))
         g = (weight * (p - y)).astype(np.float32)
-        new, newb = ww - rate * (x.T @ g + decay * ww), bb - rate * float(g.sum())
+        new, newb = ww - rate * (x.turned(g) + decay * ww), bb - rate * float(g.sum())
         m = i / (i + 3)
-        ww, bb = new + m * (new - w), newb + m * (newb - b)
+        ww, bb = (new + m * (new - w)).astype(np.float32), newb + m * (newb - b)
         w, b = new, newb
     return w, b
 
@@ -210,7 +239,9 @@ def trained(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", row
             for f in r.features():
                 np.add.at(x, (r.row, f), 1)
             x /= (r.count + CALM)[:, None]
-            yield pa.RecordBatch.from_arrays([pa.array(votes.astype(np.int64)), pa.array([row.astype(np.float16).tobytes() for row in x], pa.binary())], ["pattern", "x"])
+            some = [np.flatnonzero(row) for row in x]  # few features of a text: dense rows would fill the driver
+            packed = [at.astype("<u2").tobytes() + row[at].astype("<f2").tobytes() for at, row in zip(some, x, strict=True)]
+            yield pa.RecordBatch.from_arrays([pa.array(votes.astype(np.int64)), pa.array(packed, pa.binary())], ["pattern", "x"])
 
     # the share is set so that about ``rows`` documents are picked, equal ones once; the limit, in the order of the hash, is a
     # guard that chance doesn't reach
@@ -222,7 +253,7 @@ def trained(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", row
     sample = part.select("text").mapInArrow(run, "pattern long, x binary").collect()
     if not sample:
         return Scorer(np.zeros(PARTS << BITS, np.float32), 0.0), {"posterior": posterior, "labellers": {}, "good": prior}
-    x = np.stack([np.frombuffer(s["x"], np.float16) for s in sample]).astype(np.float32)
+    x = Shares([s["x"] for s in sample], PARTS << BITS)
     y = np.array([posterior[s["pattern"]] for s in sample])
     w, b = fitted(x, y)
     return Scorer(w, b), {"posterior": posterior, "labellers": dict(zip(LABELLERS, table.tolist(), strict=True)), "good": prior}
