@@ -36,7 +36,7 @@ from pyspark.sql import functions as F
 from .arrays import U64, buffer_of, hash_ranges, lower_table, mix, odd, owners, ragged, slices, word_bounds
 from .components import components
 from .repeats import packed_docs, texts_of, unpacked
-from .tables import partitions, row_key, shared_table, unident, without
+from .tables import forget, partitions, row_key, shared_table, unident, without
 
 WORDS = 4
 PERCENT = 85
@@ -50,8 +50,8 @@ SPREAD = 1.5
 FAR = -(2**63)
 SLACK = 1e-9
 SEEN = 500_000
-#: Documents looked at for frequent shingles, sets from which one is frequent, and the longest list.
-SAMPLED, OFTEN, MOST = 4000, 5, 200_000
+#: A shingle of so many in so many sets is frequent; the longest list, and the most counts that a task holds.
+OFTEN, SETS, MOST, HELD = 5, 4000, 200_000, 2_000_000
 
 
 def shingles(buf: np.ndarray, offsets: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
@@ -167,19 +167,64 @@ def signatures(value: np.ndarray, bounds: np.ndarray, percent: int, frequent: np
     return np.concatenate(rows), np.concatenate(keys)
 
 
+class Heavy:
+    """Counts of shingles in a task's different sets; when more than ``HELD`` would be held, the rarest go, by rising counts."""
+
+    def __init__(self):
+        self.key, self.count, self.waiting, self.size, self.sets, self.seen = np.zeros(0, U64), np.zeros(0, np.int64), [], 0, 0, set()
+
+    def add(self, value: np.ndarray, bounds: np.ndarray, d1: np.ndarray) -> None:
+        fresh = np.zeros(len(d1), bool)
+        for i, d in enumerate(d1.tolist()):
+            if d not in self.seen and bounds[i] < bounds[i + 1]:
+                fresh[i] = True
+                self.seen.add(d)
+        if len(self.seen) > SEEN:
+            self.seen = set()
+        self.sets += int(fresh.sum())
+        self.waiting.append(value[np.repeat(fresh, np.diff(bounds))])
+        self.size += len(self.waiting[-1])
+        if self.size > HELD:
+            self.fold()
+
+    def fold(self) -> None:
+        fresh, n = np.unique(np.concatenate([*self.waiting, np.zeros(0, U64)]), return_counts=True)
+        self.waiting, self.size = [], 0
+        both = np.concatenate([self.key, fresh])
+        order = np.argsort(both, kind="stable")
+        both, n = both[order], np.concatenate([self.count, n])[order]
+        head = np.flatnonzero(np.concatenate([[True], both[1:] != both[:-1]])) if len(both) else np.zeros(0, np.int64)
+        self.key, self.count = both[head], np.add.reduceat(n, head) if len(head) else np.zeros(0, np.int64)
+        least = 1
+        while len(self.key) > HELD:
+            keep = self.count > least
+            self.key, self.count, least = self.key[keep], self.count[keep], 2 * least
+
+    def found(self) -> tuple[np.ndarray, np.ndarray]:
+        """Those of at least two sets and half the share that makes a shingle frequent."""
+        self.fold()
+        keep = self.count >= max(2, OFTEN * self.sets / SETS / 2)
+        return self.key[keep], self.count[keep]
+
+
 def frequent_shingles(texts: DataFrame, size: int) -> np.ndarray:
-    """Shingles that at least ``OFTEN`` different sets of about ``SAMPLED`` documents have; a hint for cost that no result depends on."""
+    """Shingles that at least ``OFTEN`` in ``SETS`` of all documents' sets have, counted over every document; equal sets of a task
+    count once. A hint for cost that no result depends on: where a task has few sets with a shingle, they may go uncounted."""
 
     def run(batches):
+        heavy = Heavy()
         for batch in slices(batches, "text"):
             value, bounds = shingles(*buffer_of(batch.column("text")), size)
-            d1, _ = set_digests(value, bounds)
-            yield pa.RecordBatch.from_arrays([pa.array(d1[owners(bounds)]), pa.array(value.view(np.int64))], ["d1", "shingle"])
-
-    total = texts.count()
-    part = texts if total <= SAMPLED else texts.where(F.pmod(F.xxhash64("doc", "text"), F.lit(1 << 24)) < int((1 << 24) * SAMPLED / total))
-    found = part.mapInArrow(run, "d1 long, shingle long").distinct().groupBy("shingle").count().where(F.col("count") >= OFTEN)
-    rows = found.orderBy(F.desc("count"), "shingle").limit(MOST).select("shingle").toArrow()
+            heavy.add(value, bounds, set_digests(value, bounds)[0])
+        key, count = heavy.found()
+        yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(count)], ["shingle", "count"])
+        yield pa.RecordBatch.from_arrays([pa.array([None], pa.int64()), pa.array([heavy.sets])], ["shingle", "count"])  # all sets
+
+    found = shared_table(texts.mapInArrow(run, "shingle long, count long").groupBy("shingle").agg(F.sum("count").alias("count")))
+    sets = found.where("shingle is null").first()
+    least = max(OFTEN, OFTEN * (sets["count"] if sets else 0) / SETS)
+    rows = found.where(F.col("shingle").isNotNull() & (F.col("count") >= least)).orderBy(F.desc("count"), "shingle").limit(MOST).select("shingle").toArrow()
+    forget(found)
     return np.sort(rows.column(0).to_numpy().view(U64))
 
 
