@@ -1,9 +1,11 @@
 """Blocks of the array executor: odd values, borders, ghost layers, transfers, pruned scans, the planner."""
 
+import math
+
 import pytest
 from pyspark.sql import functions as F
 
-from cubecast.operators import array_engine, composite, cube, partition, render
+from cubecast.operators import array_engine, composite, cube, measure, partition, render
 from cubecast.plans import planner
 from cubecast.plans.kd import kd, two_level
 from cubecast.plans.spec import SURVEY, CubeSpec, ViewSpec
@@ -106,3 +108,8 @@ def test_planner_picks_and_explains():
     assert planner.plan_render(big, ViewSpec(30, 1024, 1024), kd(big.dims, 128)).executor == "array"
     assert planner.plan_render(SURVEY, ViewSpec(90), plan, interpolate=True).executor == "relational"
     assert "scan: 8 bricks" in planner.explain_render(SURVEY, ViewSpec(30), plan)
+
+
+def test_image_error_of_large_values(spark):
+    a, b = (spark.createDataFrame([(0, 0, x)], "u int, v int, val long") for x in (2**40, 2**38))
+    assert measure.image_error(a, b).first()["psnr"] == pytest.approx(10 * math.log10(2.0**80 / (2.0**40 - 2.0**38) ** 2))
