@@ -110,6 +110,20 @@ def test_planner_picks_and_explains():
     assert "scan: 8 bricks" in planner.explain_render(SURVEY, ViewSpec(30), plan)
 
 
+def test_wide_messages_keep_values_of_eight_bytes(spark):
+    vals = [2**40, -(2**40), 2**31, -(2**31), 2**32 + 2**31, 0, 7, 2**40 + 2**32]
+    parts = spark.createDataFrame([(0, i // 4, i % 4, x) for i, x in enumerate(vals)], "node int, u int, v int, val long")
+    packed = composite.pack(parts, spark.createDataFrame([(0, 0, 4, 0, 4)], "node int, u0 int, u1 int, v0 int, v1 int"), True)
+    want = rows(parts)
+    assert rows(composite.unpack(packed)) == want
+    for kind in ("zlib", "sparse", "rle"):
+        assert rows(composite.unpack(composite.decoded(composite.encoded(packed, kind), kind))) == want
+    cost = {r.kind: (r.raw, r.bytes) for r in composite.encoding_cost(packed, repeat=1).collect()}
+    assert cost["sparse"] == (64, 4 + 8 * len(vals)) and cost["rle"] == (64, 4 + 8 * (len(vals) + 1))
+    two = composite.pack(parts, spark.createDataFrame([(0, 0, 4, 0, 4), (1, 0, 2, 0, 2)], "node int, u0 int, u1 int, v0 int, v1 int"), True)
+    assert rows(two.select("node", F.length("data"))) == [(0, 64), (1, 16)] and rows(composite.unpack(two)) == want
+
+
 def test_image_error_of_large_values(spark):
     a, b = (spark.createDataFrame([(0, 0, x)], "u int, v int, val long") for x in (2**40, 2**38))
     assert measure.image_error(a, b).first()["psnr"] == pytest.approx(10 * math.log10(2.0**80 / (2.0**40 - 2.0**38) ** 2))
