@@ -44,3 +44,11 @@ def test_entry_runs(spark, sf):
 
 def test_registry_is_consistent():
     assert set(workloads.ORACLES) <= set(workloads.QUERIES)
+
+
+def test_appended_rows_do_not_stay_at_the_driver(spark, sf):
+    before = spark.conf.get("spark.sql.streaming.stateStore.providerClass", None)
+    out = workloads.QUERIES["s_dedup"](spark, sf)
+    assert "Scan parquet" in out._jdf.queryExecution().executedPlan().toString() and "LocalTableScan" not in out._jdf.queryExecution().executedPlan().toString()
+    assert spark.conf.get("spark.sql.streaming.stateStore.providerClass", None) == before
+    assert sorted(map(tuple, out.collect())) == sorted(map(tuple, spark.read.parquet(f"{sf}/events.parquet").groupBy("event_type").count().collect()))
