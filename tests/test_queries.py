@@ -5,6 +5,7 @@ import os
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 from cubecast import workloads
 
@@ -73,3 +74,22 @@ def test_sessions_of_events_whose_times_start_again_with_later_ids(spark, sf, tm
     assert same_as_sql(spark, tmp_path, "s_session")
     # closed sessions come as files, not through the driver
     assert "Scan parquet" in workloads.QUERIES["s_session"](spark, str(tmp_path))._jdf.queryExecution().executedPlan().toString()
+
+
+@pytest.fixture(scope="module")
+def dear(spark, sf, tmp_path_factory):
+    """Prices so high that a pixel needs more than four bytes."""
+    folder = tmp_path_factory.mktemp("dear")
+    line = spark.read.parquet(f"{sf}/lineitem.parquet")
+    line.withColumn("l_extendedprice", F.col("l_extendedprice") * 1e6).write.parquet(str(folder / "lineitem.parquet"))
+    return folder
+
+
+@pytest.mark.parametrize("name", ["m_compr_bytes", "m_cmp_clip", "m_compr_rle", "m_compr_sparse", "m_compr_zlib"])
+def test_messages_of_large_values(spark, dear, name):
+    assert same_as_sql(spark, dear, name)
+
+
+def test_measures_of_messages_of_large_values(spark, dear):
+    run = {n: workloads.QUERIES[n](spark, str(dear)) for n in ("m_compr_cost", "c_tr_measured", "c_stage_measured", "c_scale_measured")}
+    assert {n: d.count() for n, d in run.items()} == {"m_compr_cost": 12, "c_tr_measured": 4, "c_stage_measured": 4, "c_scale_measured": 3}
