@@ -93,3 +93,9 @@ def test_messages_of_large_values(spark, dear, name):
 def test_measures_of_messages_of_large_values(spark, dear):
     run = {n: workloads.QUERIES[n](spark, str(dear)) for n in ("m_compr_cost", "c_tr_measured", "c_stage_measured", "c_scale_measured")}
     assert {n: d.count() for n, d in run.items()} == {"m_compr_cost": 12, "c_tr_measured": 4, "c_stage_measured": 4, "c_scale_measured": 3}
+
+
+@pytest.mark.parametrize("name", ["b_full"])
+def test_measures_of_plans_read_a_table(spark, sf, name):
+    assert "FileScan parquet" in workloads.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert same_as_sql(spark, sf, name)
