@@ -95,7 +95,7 @@ def test_measures_of_messages_of_large_values(spark, dear):
     assert {n: d.count() for n, d in run.items()} == {"m_compr_cost": 12, "c_tr_measured": 4, "c_stage_measured": 4, "c_scale_measured": 3}
 
 
-@pytest.mark.parametrize("name", ["b_full", "b_slab", "c_bal_published", "c_bal_slab", "c_msg", "c_cov", "c_nm", "c_occ", "c_ovl", "c_ovl_total", "c_recta"])
+@pytest.mark.parametrize("name", ["b_full", "b_slab", "c_bal_published", "c_bal_slab", "c_msg", "c_cov", "c_nm", "c_occ", "c_ovl", "c_ovl_total", "c_recta", "c_samp_0"])
 def test_measures_of_plans_read_a_table(spark, sf, name):
     assert "FileScan parquet" in workloads.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert same_as_sql(spark, sf, name)
