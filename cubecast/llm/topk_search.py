@@ -30,8 +30,8 @@ from .tables import ident, named, partitions, unident
 SHARD_ROWS = 65_536
 LEAST_SHARD = 2_048
 LEAF = 128
-BLOCK = 256
-TOGETHER = 16
+BLOCK = 2_048
+TOGETHER = 256
 
 
 class BallTree:
@@ -131,6 +131,7 @@ def search(tree: BallTree, ids: np.ndarray, queries: np.ndarray, own: np.ndarray
         # what float64 may lose in a sum of products of this length
         slack = (queries.shape[1] + 8) * 2.3e-16 * norm[:, None] * size[None, :] + 1e-6
         bound = np.nan_to_num(queries @ tree.centre.T + norm[:, None] * tree.radius[None, :] + slack, nan=np.inf, posinf=np.inf, neginf=-np.inf)
+        exact = bool(norm.max(initial=0) * size[0] < 2.0**52)  # products of whole numbers, no sum of them rounded
     names = ids[tree.order]
     stack = [(0, np.arange(len(queries)))]
     while stack:
@@ -149,6 +150,16 @@ def search(tree: BallTree, ids: np.ndarray, queries: np.ndarray, own: np.ndarray
             continue
         a, b = tree.range[node]
         name = names[a:b]
+        if exact:
+            score = queries[rows] @ tree.points[a:b].T
+            r, c = np.nonzero(score >= best.reach[rows][:, None].astype(np.float64))
+            at, found, who = rows[r], score[r, c].astype(np.int64), name[c]
+            keep = (who != own[at]) & ((found > best.reach[at]) | (who <= best.limit[at]))
+            if keep.any():
+                best.add(at[keep], found[keep], np.full(int(keep.sum()), None, object), who[keep])
+                if best.waiting > 4 * k * len(queries) or (best.reach[rows] == LONG.min).any():
+                    best.settle()
+            continue
         other = name[None, :] != own[rows][:, None]
         with np.errstate(over="ignore", invalid="ignore"):
             rough = np.nan_to_num(queries[rows] @ tree.points[a:b].T + slack[rows, node][:, None], nan=np.inf, posinf=np.inf)
